@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from hotkeys.llm import exact_dedup, quality_rules
+from hotkeys.llm import best_fit_packing, exact_dedup, minmax_dedup, pii, quality_rules
 from hotkeys.llm.common import written
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
@@ -22,7 +22,24 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return exact_dedup.kept_rows(docs)
 
 
-STAGES: list[tuple[str, Stage]] = [("quality", quality), ("exact", exact)]
+def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group linked by a similarity of 0.8 on five-word shingles."""
+    return minmax_dedup.kept_rows(docs)
+
+
+def sanitise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents, personal data and the terms that reveal it generalised or removed."""
+    return pii.sanitised(docs)
+
+
+def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token pieces of all documents with their places in sequences of 4096 tokens."""
+    import public_tokenizers
+
+    return best_fit_packing.pack_documents(docs, public_tokenizers.path("word_bpe_49k.json"))
+
+
+STAGES: list[tuple[str, Stage]] = [("quality", quality), ("exact", exact), ("near", near), ("sanitise", sanitise), ("pack", pack)]
 
 #: SQL can't express near-dedup, sanitisation and packing; tests hold run() against brute force.
 ORACLE_SQL: str | None = None
