@@ -14,6 +14,7 @@ from hotkeys.llm.minmax_dedup import op9_minmax_dedup
 from hotkeys.llm.oracles import ORACLES
 from hotkeys.llm.pii import op3_pii
 from hotkeys.llm.quality_rules import op1_quality_rules
+from hotkeys.llm.repeated_passages import op2_suffix_dedup
 from hotkeys.llm.token_counts import op8_token_counts
 from hotkeys.llm.url_filter import op4_url_filter
 
@@ -21,6 +22,7 @@ from hotkeys.llm.url_filter import op4_url_filter
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality_rules": op1_quality_rules,
+        "op2_suffix_dedup": op2_suffix_dedup,
         "op3_pii": op3_pii,
         "op4_url_filter": op4_url_filter,
         "op5_best_fit_packing": op5_best_fit_packing,
