@@ -223,9 +223,11 @@ def absorb(routed: DataFrame, stream: DataFrame, m: int, inner: str = "minmax")
 def build_summary(stream: DataFrame, spec: SupportSpec, inner: str = "minmax", how: str = "hash", bounds: list | None = None, deterministic: bool = False, mode: str = "batch") -> DataFrame:
     """The stream's summary: (owner, m, n_seen, f_min, f_max, slots), at most 1 / eps slots in all.
 
-    It is kept, for it is small and every query reads it; lost parts are computed again.
+    mode 'direct' leaves the buffers out: arrivals go to their owners as they are. The bucket list,
+    which takes no weights, gets them in no other way. The summary is kept, for it is small and
+    every query reads it; lost parts are computed again.
     """
-    if inner == "bucketlist" and mode == "batch" and spec.every > 1:
+    if mode == "direct" or not KERNELS[inner].weighted:
         pairs = with_owner(stream, spec, how, bounds).select("owner", F.spark_partition_id().alias("src"), F.lit(0).cast("long").alias("seq"), "e", "w")
     else:
         pairs = handover(stream, spec, mode, how, bounds)
