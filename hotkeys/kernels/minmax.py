@@ -60,11 +60,14 @@ class MinMaxSummary:
     # --- heap order ---
 
     def _swap(self, i: int, j: int) -> None:
-        for column in (self.count, self.over, self.owner):
-            column[i], column[j] = column[j], column[i]
-        for k in (i, j):
-            if self.owner[k] is not None:
-                self.place[self.owner[k]] = k
+        count, over, owner, place = self.count, self.over, self.owner, self.place
+        count[i], count[j] = count[j], count[i]
+        over[i], over[j] = over[j], over[i]
+        owner[i], owner[j] = owner[j], owner[i]
+        if owner[i] is not None:
+            place[owner[i]] = i
+        if owner[j] is not None:
+            place[owner[j]] = j
 
     def _lift(self, i: int) -> None:
         """Carry a grown count at an odd level up over smaller odd-level ancestors."""
@@ -73,19 +76,28 @@ class MinMaxSummary:
             i >>= 2
 
     def _sink(self, i: int) -> None:
-        """Carry a grown count at an even level down under smaller descendants."""
-        count = self.count
-        while 2 * i <= self.m:
-            below = [k for k in (2 * i, 2 * i + 1, 4 * i, 4 * i + 1, 4 * i + 2, 4 * i + 3) if k <= self.m]
-            least = min(below, key=count.__getitem__)
-            if count[least] >= count[i]:
+        """Carry a grown count at an even level down under smaller descendants.
+
+        A slot has four grandchildren or none, and those are never above their parents.
+        """
+        count, m = self.count, self.m
+        grown = count[i]
+        while 4 * i + 3 <= m:
+            least = 4 * i
+            for k in (least + 1, least + 2, least + 3):
+                if count[k] < count[least]:
+                    least = k
+            if count[least] >= grown:
                 return
             self._swap(i, least)
-            if least < 4 * i:
-                return
-            if count[least] > count[least >> 1]:
+            if grown > count[least >> 1]:
                 self._swap(least, least >> 1)
+                grown = count[least]
             i = least
+        if 2 * i + 1 <= m:
+            least = 2 * i if count[2 * i] <= count[2 * i + 1] else 2 * i + 1
+            if count[least] < grown:
+                self._swap(i, least)
 
     def _grown(self, i: int) -> None:
         if i.bit_length() % 2 == 0:

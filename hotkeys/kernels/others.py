@@ -66,7 +66,7 @@ class MinHeapSummary:
 
     def query(self, phi, n: int | None = None) -> list[tuple[Hashable, int]]:
         phi, n = exact(phi), self.n if n is None else n
-        self.stats = QueryStats(self.m)
+        self.stats = QueryStats(len(self.heap))
         return [(x[2], x[0]) for x in self.heap if exceeds(x[0], phi, n)]
 
     def estimate(self, e: Hashable) -> int:
