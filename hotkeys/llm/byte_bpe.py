@@ -19,6 +19,8 @@ repeated rows are encoded each; other columns are not read.
 from __future__ import annotations
 
 import base64
+import re
+from array import array
 from collections.abc import Iterable, Iterator
 from itertools import takewhile
 
@@ -30,9 +32,12 @@ from pyspark.sql import functions as F
 
 from hotkeys.llm.common import table, text_of
 
-MAX_STATES = 400_000
-MAX_KNOWN = 600_000
-_END = -1
+MAX_STATES = 150_000
+MAX_KNOWN = 400_000
+#: After so many meetings a move is worth keeping.
+MEETINGS = 4
+#: Stands for the end of a pre-token among the bytes.
+_END = 256
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -41,14 +46,19 @@ def read_ranks(path: str) -> dict[bytes, int]:
 
 
 class Merges:
-    """Ranks, the tokens' prefixes, and which pairs of tokens are compatible."""
+    """Ranks, the strings that tokens start and end with, and which pairs of tokens are compatible.
+
+    A token's id is its rank.
+    """
 
     def __init__(self, ranks: dict[bytes, int]):
         self.ranks = ranks
-        self.starts = {t[:k] for t in ranks for k in range(1, len(t))}
         self.by_id = {i: t for t, i in ranks.items()}
-        self.pairs: dict[tuple[bytes, bytes], bool] = {}
-        self.proven: dict[bytes, bool] = {}
+        self.size = {i: len(t) for t, i in ranks.items()}
+        self.starts = {t[:k] for t in ranks for k in range(1, len(t))}
+        #: Ends of tokens: -1, or for a whole token its id, less than -1 until it is proven.
+        self.ends = {t[k:]: -1 for t in ranks for k in range(1, len(t))} | {t: -2 - i for t, i in ranks.items()}
+        self.pairs: dict[int, bool] = {}
         self.made_of: dict[bytes, tuple[bytes, bytes]] = {}
 
     def merge(self, data: bytes, least: int = 1) -> list[bytes]:
@@ -61,11 +71,9 @@ class Merges:
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
         return parts
 
-    def sound(self, token: bytes) -> bool:
-        """Whether merging the token's bytes gives the token."""
-        known = self.proven.get(token)
-        if known is None:
-            known = self.proven[token] = self.merge(token) == [token]
+    def proven(self, token: bytes) -> int:
+        """The token's id if merging its bytes gives the token, else -1; kept in ends."""
+        known = self.ends[token] = self.ranks[token] if self.merge(token) == [token] else -1
         return known
 
     def halves(self, token: bytes) -> tuple[bytes, bytes]:
@@ -76,31 +84,27 @@ class Merges:
             self.made_of[token] = known
         return known
 
-    def compatible(self, left: bytes, right: bytes) -> bool:
+    def compatible(self, left_id: int, right_id: int) -> bool:
         """Whether no merge crosses the seam, looked up along the seam's sides of both merge trees.
 
         Of the two tokens at the seam the one made later is undone first; a crossing merge
         wins if it ranks before the merge that was undone last.
         """
-        key = (left, right)
-        known = self.pairs.get(key)
-        if known is not None:
-            return known
         if len(self.pairs) > MAX_KNOWN:
             self.pairs.clear()
         ranks, bound, fits = self.ranks, 1 << 40, True
+        left, right = self.by_id[left_id], self.by_id[right_id]
         while True:
             if ranks.get(left + right, 1 << 40) < bound:
                 fits = False
                 break
-            later_left = ranks[left] > ranks[right]
             if len(left) == 1 and len(right) == 1:
                 break
-            if len(right) == 1 or later_left and len(left) > 1:
+            if len(right) == 1 or len(left) > 1 and ranks[left] > ranks[right]:
                 bound, left = ranks[left], self.halves(left)[1]
             else:
                 bound, right = ranks[right] + 1, self.halves(right)[0]
-        self.pairs[key] = fits
+        self.pairs[left_id << 32 | right_id] = fits
         return fits
 
 
@@ -109,76 +113,118 @@ class Transducer:
 
     def __init__(self, merges: Merges):
         self.merges = merges
-        self.longest = max(map(len, merges.ranks))
         self.clear()
 
     def clear(self) -> None:
-        self.states: dict[tuple[bytes, bytes], int] = {(b"", b""): 0}
+        """States are numbered in steps of 512, so that state + byte is the key of a move.
+
+        chains[k][j] is state k's last token of the first j pending bytes, at 0 the one emitted or -1.
+        """
+        self.states: dict[tuple[int, bytes], int] = {(-1, b""): 0}
         self.pending: list[bytes] = [b""]
-        self.chains: list[list[bytes | None]] = [[b""]]
-        self.moves: list[dict[int, tuple[int, tuple[int, ...]]]] = [{}]
+        self.chains: list[list[int | None]] = [[-1]]
+        self.moves: dict[int, tuple[int, tuple[int, ...]]] = {}
+        self.met: dict[int, int] = {}
 
-    def _last(self, tokens: list[bytes | None], pending: bytes) -> bytes | None:
-        """The last token of all of pending, given those of its shorter prefixes.
+    def _extend(self, tokens: list[int | None], pending: bytes) -> None:
+        """Append to tokens the last token of each longer prefix of pending, given those of the shorter.
 
-        None if pending is dead: its tokens don't go through the last emitted one, and no longer
-        text uses them.
+        None for a dead prefix: its tokens don't go through the last emitted one, and no longer
+        text uses it.
         """
-        m, end = self.merges, len(pending)
-        for start in range(max(0, end - self.longest), end):
-            token = pending[start:]
-            if token in m.ranks and (left := tokens[start]) is not None and (not left or m.compatible(left, token)) and m.sound(token):
-                return token
-        return None
+        m = self.merges
+        ends, pairs = m.ends, m.pairs
+        for end in range(len(tokens), len(pending) + 1):
+            found = None
+            for start in range(end - 1, -1, -1):
+                token = ends.get(pending[start:end])
+                if token is None:
+                    break
+                if token < -1:
+                    token = m.proven(pending[start:end])
+                left = tokens[start]
+                if token < 0 or left is None:
+                    continue
+                if left >= 0:
+                    fits = pairs.get(left << 32 | token)
+                    if not (m.compatible(left, token) if fits is None else fits):
+                        continue
+                found = token
+                break
+            tokens.append(found)
 
-    @staticmethod
-    def _path(tokens: list[bytes | None], end: int) -> list[int]:
-        cuts = [end]
+    def _path(self, tokens: list[int | None], end: int) -> list[int]:
+        """Where the tokens of the first `end` pending bytes end, from 0 on."""
+        size, cuts = self.merges.size, [end]
         while cuts[-1]:
-            cuts.append(cuts[-1] - len(tokens[cuts[-1]]))
+            cuts.append(cuts[-1] - size[tokens[cuts[-1]]])
         return cuts[::-1]
 
     def _make(self, state: int, byte: int) -> tuple[int, tuple[int, ...]]:
-        """chains[state][k] is the last token of the first k pending bytes, at 0 the one emitted."""
-        pending, tokens, ids = self.pending[state], self.chains[state], self.merges.ranks
+        pending, tokens = self.pending[state >> 9], self.chains[state >> 9]
         if byte == _END:
-            return 0, tuple(ids[tokens[c]] for c in self._path(tokens, len(pending))[1:])
+            return 0, tuple([tokens[c] for c in self._path(tokens, len(pending))[1:]])
         pending += bytes((byte,))
-        tokens = [*tokens, self._last(tokens, pending)]
-        n = len(pending)
-        starts = self.merges.starts
+        tokens = list(tokens)
+        self._extend(tokens, pending)
+        starts, size = self.merges.starts, self.merges.size
         if pending in starts:  # one token may yet cover all that is pending
-            shared = [0]
-        else:
-            live = [k for k in range(1, n + 1) if tokens[k] is not None and (k == n or pending[k:] in starts)]
-            shared = self._path(tokens, live[0])
-            for k in live[1:]:
-                shared = [a for a, _ in takewhile(lambda ab: ab[0] == ab[1], zip(shared, self._path(tokens, k), strict=False))]
+            return self._state(pending, tokens), ()
+        n = len(pending)
+        live = [k for k in range(1, n + 1) if tokens[k] is not None and (k == n or pending[k:] in starts)]
+        shared = self._path(tokens, live[0])
+        for k in live[1:]:
+            shared = [x for x, _ in takewhile(lambda xy: xy[0] == xy[1], zip(shared, self._path(tokens, k), strict=False))]
         cut = shared[-1]
-        out = tuple(ids[tokens[c]] for c in shared[1:])
-        name = (tokens[cut], pending[cut:])
-        if name not in self.states:
+        chain = tokens
+        if cut:
             chain = [tokens[cut]]
             for k in range(cut + 1, n + 1):
                 token = tokens[k]
-                at = k - cut - len(token) if token is not None else -1
+                at = k - cut - size[token] if token is not None else -1
                 chain.append(token if at >= 0 and chain[at] is not None else None)
-            self.states[name] = len(self.pending)
-            self.pending.append(name[1])
+        return self._state(pending[cut:], chain), tuple([tokens[c] for c in shared[1:]])
+
+    def _state(self, pending: bytes, chain: list[int | None]) -> int:
+        name = (chain[0], pending)
+        number = self.states.get(name)
+        if number is None:
+            number = self.states[name] = len(self.pending) << 9
+            self.pending.append(pending)
             self.chains.append(chain)
-            self.moves.append({})
-        return self.states[name], out
+        return number
+
+    def _rest(self, state: int, data: bytes) -> list[int]:
+        """What is emitted from state on if data is all that follows, without making states."""
+        pending, tokens, size = self.pending[state >> 9] + data, list(self.chains[state >> 9]), self.merges.size
+        self._extend(tokens, pending)
+        out, at = [], len(pending)
+        while at:
+            token = tokens[at]
+            out.append(token)
+            at -= size[token]
+        return out[::-1]
 
     def encode(self, data: bytes) -> list[int]:
-        """Ids of one pre-token."""
+        """Ids of one pre-token.
+
+        A move is made when it has been met MEETINGS times; until then, what is left of a short
+        pre-token is worked out from the state, since most pre-tokens with a new move are new words.
+        """
         if len(self.pending) > MAX_STATES:
             self.clear()
+        if len(self.met) > 2 * MAX_STATES:
+            self.met.clear()
         out: list[int] = []
-        state = 0
-        for byte in (*data, _END):
-            move = self.moves[state].get(byte)
+        state, moves, met, short = 0, self.moves, self.met, len(data) <= 64
+        for at, byte in enumerate((*data, _END)):
+            move = moves.get(state + byte)
             if move is None:
-                move = self.moves[state][byte] = self._make(state, byte)
+                times = met.get(state + byte, 0)
+                if short and times < MEETINGS:
+                    met[state + byte] = times + 1
+                    return out + self._rest(state, data[at:])
+                move = moves[state + byte] = self._make(state, byte)
             state = move[0]
             if move[1]:
                 out += move[1]
@@ -189,7 +235,10 @@ class Encoder:
     """Splits by the pattern and encodes each match; a table keeps the ids of known matches."""
 
     def __init__(self, ranks: dict[bytes, int], pattern: str):
-        self.find = regex.compile(pattern).findall
+        self.find_any = regex.compile(pattern).findall
+        # in ASCII text letters, digits and white space are these, and the plain engine is faster
+        plain = pattern.replace(r"\s\p{L}\p{N}", r"\t-\r A-Za-z0-9").replace(r"\p{L}", "[A-Za-z]").replace(r"\p{N}", "[0-9]").replace(r"\s", r"[\t-\r ]").replace(r"\S", r"[^\t-\r ]")
+        self.find_ascii = None if "\\p" in plain else re.compile(plain).findall
         self.ranks = ranks
         self.transducer = Transducer(Merges(ranks))
         encoder = self
@@ -199,7 +248,7 @@ class Encoder:
                 data = piece.encode()
                 whole = encoder.ranks.get(data)
                 ids = [whole] if whole is not None else encoder.transducer.encode(data)
-                packed = np.array(ids, "<u4").tobytes()
+                packed = array("I", ids).tobytes()
                 if len(self) > MAX_KNOWN:
                     self.clear()
                 self[piece] = packed
@@ -211,6 +260,9 @@ class Encoder:
         """Ids as little-endian unsigned 32-bit integers."""
         return b"".join(map(self.known.__getitem__, self.find(text)))
 
+    def find(self, text: str) -> list[str]:
+        return self.find_ascii(text) if self.find_ascii and text.isascii() else self.find_any(text)
+
     def encode(self, text: str) -> list[int]:
         return np.frombuffer(self.encode_packed(text), "<u4").tolist()
 
@@ -225,7 +277,9 @@ class Utf8Machine:
         """The next state, or None where no UTF-8 text goes on so."""
         due, low, high = state
         if due:
-            return (due - 1, 0x80, 0xBF) if low <= byte <= high else None
+            if not low <= byte <= high:
+                return None
+            return (due - 1, 0x80, 0xBF) if due > 1 else Utf8Machine.START
         if byte < 0x80:
             return Utf8Machine.START
         if 0xC2 <= byte <= 0xDF:
@@ -291,19 +345,41 @@ def encode_documents(docs: DataFrame, ranks_path: str, pattern: str, id_col: str
     return asked.mapInArrow(run, f"id {id_type}, ids binary, n_tokens long").withColumnRenamed("id", id_col)
 
 
+def _decoded(by_id: dict[int, bytes], packed: bytes, chunk: int) -> str:
+    """The text of packed ids, decoded as a stream of chunks."""
+    ids, stream = np.frombuffer(packed, "<u4").tolist(), StreamDecoder(by_id)
+    return "".join([stream.feed(ids[at : at + chunk]) for at in range(0, len(ids), chunk)]) + stream.close()
+
+
 def decode_documents(encoded: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id", chunk: int = 4096) -> DataFrame:
-    """Beside id, ids and n_tokens: the text that the ids decode to, in chunks of a stream."""
-    asked = encoded.select(F.col(id_col).alias("id"), "ids", "n_tokens")
+    """id and the text that the ids decode to."""
+    asked = encoded.select(F.col(id_col).alias("id"), "ids")
     id_type = asked.schema["id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         by_id = encoder(ranks_path, pattern).transducer.merges.by_id
         for batch in batches:
-            texts = []
-            for packed in batch.column("ids").to_pylist():
-                ids, stream = np.frombuffer(packed, "<u4").tolist(), StreamDecoder(by_id)
-                texts.append("".join([stream.feed(ids[at : at + chunk]) for at in range(0, len(ids), chunk)]) + stream.close())
-            yield pa.RecordBatch.from_arrays([batch.column("id"), batch.column("ids"), batch.column("n_tokens"), pa.array(texts, pa.string())], ["id", "ids", "n_tokens", "decoded"])
+            texts = [_decoded(by_id, p, chunk) for p in batch.column("ids").to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(texts, pa.string())], ["id", "decoded"])
+
+    return asked.mapInArrow(run, f"id {id_type}, decoded string").withColumnRenamed("id", id_col)
+
+
+def round_trip(docs: DataFrame, ranks_path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", chunk: int = 4096) -> DataFrame:
+    """id, ids, n_tokens and decoded, both ways by one worker, which then holds one set of tables."""
+    asked = docs.select(F.col(id_col).alias("id"), text_of(text_col).alias("text"))
+    id_type = asked.schema["id"].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = encoder(ranks_path, pattern)
+        by_id = own.transducer.merges.by_id
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                packed = [own.encode_packed(t) for t in part.column("text").to_pylist()]
+                decoded = [_decoded(by_id, p, chunk) for p in packed]
+                n = pa.array([len(p) // 4 for p in packed], pa.int64())
+                yield pa.RecordBatch.from_arrays([part.column("id"), pa.array(packed, pa.binary()), n, pa.array(decoded, pa.string())], ["id", "ids", "n_tokens", "decoded"])
 
     return asked.mapInArrow(run, f"id {id_type}, ids binary, n_tokens long, decoded string").withColumnRenamed("id", id_col)
 
@@ -311,6 +387,5 @@ def decode_documents(encoded: DataFrame, ranks_path: str, pattern: str, id_col:
 def op7_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    how = (public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
-    found = decode_documents(encode_documents(table(spark, sf_dir, "documents"), *how), *how)
+    found = round_trip(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
     return found.select("doc_id", "n_tokens", F.sha2("ids", 256).alias("ids_sha256"), F.sha2(F.col("decoded").cast("binary"), 256).alias("decoded_sha256"))
