@@ -243,13 +243,16 @@ def _events(spark: SparkSession, sf: str) -> DataFrame:
     return streams.element_stream(streams.read(spark, sf, "events"), "event_type", order=["ts", "user_id"])
 
 
-_START = F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start")
+def _start():
+    return F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start")
+
+
 _WINDOW_SQL = "WITH x AS (%s), c AS (SELECT d, e, count(*) AS f FROM x GROUP BY ALL), g AS (SELECT *, sum(f) OVER (PARTITION BY d) AS n FROM c) SELECT strftime(d, '%%Y-%%m-%%d %%H:%%M:%%S') AS start, e, f AS est FROM g WHERE " + _over("0.2")
-add("frequent_tumbling_events", lambda spark, sf: live.frequent_windowed(_events(spark, sf), "ts", "0.2", "1 day", m=63).select(_START, "e", "est"), _WINDOW_SQL % "SELECT date_trunc('day', ts) AS d, event_type AS e FROM events")
-add("frequent_sliding_events", lambda spark, sf: live.frequent_windowed(_events(spark, sf), "ts", "0.2", "2 days", "1 day", m=63).select(_START, "e", "est"), _WINDOW_SQL % "SELECT CAST(date_trunc('day', ts) - to_days(CAST(k AS INTEGER)) AS TIMESTAMP) AS d, event_type AS e FROM events, range(2) AS r(k)")
+add("frequent_tumbling_events", lambda spark, sf: live.frequent_windowed(_events(spark, sf), "ts", "0.2", "1 day", m=63).select(_start(), "e", "est"), _WINDOW_SQL % "SELECT date_trunc('day', ts) AS d, event_type AS e FROM events")
+add("frequent_sliding_events", lambda spark, sf: live.frequent_windowed(_events(spark, sf), "ts", "0.2", "2 days", "1 day", m=63).select(_start(), "e", "est"), _WINDOW_SQL % "SELECT CAST(date_trunc('day', ts) - to_days(CAST(k AS INTEGER)) AS TIMESTAMP) AS d, event_type AS e FROM events, range(2) AS r(k)")
 add(
     "frequent_session_events",
-    lambda spark, sf: live.frequent_sessions(_events(spark, sf), "ts", "user_id", "12 hours", "0.5").select("user_id", _START, "e", "f"),
+    lambda spark, sf: live.frequent_sessions(_events(spark, sf), "ts", "user_id", "12 hours", "0.5").select("user_id", _start(), "e", "f"),
     "WITH a AS (SELECT user_id, ts, event_type AS e, CASE WHEN ts - lag(ts) OVER w < INTERVAL 12 HOURS THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), b AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM a), s AS (SELECT user_id, k, min(ts) AS st, count(*) AS n FROM b GROUP BY ALL), c AS (SELECT user_id, k, e, count(*) AS f FROM b GROUP BY ALL) SELECT user_id, strftime(st, '%Y-%m-%d %H:%M:%S') AS start, e, f FROM c JOIN s USING (user_id, k) WHERE 2 * f > n",
 )
 
