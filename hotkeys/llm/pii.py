@@ -128,10 +128,14 @@ def disclosing_terms(docs: DataFrame, found: DataFrame, id_col: str = "doc_id",
     contexts = with_terms.groupBy("entity", "term", "context").agg(F.lit(1).alias("one")).groupBy("entity", "term").agg(F.count("*").alias("n_contexts")).filter(F.col("n_contexts") >= MIN_CONTEXTS)
     near = with_terms.groupBy("entity", "term", "id").agg(F.lit(1).alias("one")).groupBy("entity", "term").agg(F.count("*").alias("df_ct"))
     holds = seen.groupBy("entity", "id").agg(F.lit(1).alias("one")).groupBy("entity").agg(F.count("*").alias("df_c"))
-    pairs = written(spark, contexts.join(near, ["entity", "term"]).join(holds, "entity"), "term-pairs")
+    total = found.count()
+    # a term is in at least as many documents as it is near some entity in: common words drop out here
+    at_least = with_terms.groupBy("term", "id").agg(F.lit(1).alias("one")).groupBy("term").agg(F.count("*").alias("df_least"))
+    most = F.col("df_ct") * F.pow(F.lit(float(total)) / F.col("df_c"), F.lit(1.0 - alpha))
+    scored = contexts.join(near, ["entity", "term"]).join(holds, "entity").join(at_least, "term").filter(F.col("df_least") <= most + 1e-6)
+    pairs = written(spark, scored, "term-pairs")
     candidates = written(spark, pairs.select("term").distinct(), "candidate-terms")
     few = candidates.count()
-    total = found.count()
     if not few:
         counts = candidates.withColumn("df_t", F.lit(0).cast("long"))
     else:
