@@ -86,3 +86,10 @@ def fitted_skew(counts: DataFrame, k: int = 200) -> DataFrame:
     """One row: the slope of log f against log rank over the top k, its sign turned."""
     curve = rank_curve(counts, k)
     return curve.agg((-F.regr_slope(F.log("f"), F.log("rank"))).alias("skew"))
+
+
+def state_bytes(summary: DataFrame) -> DataFrame:
+    """One row: counters held, their bytes in the memory model, and the bytes of the state as JSON."""
+    from hotkeys.plans.sizing import SLOT_BYTES
+
+    return summary.agg(F.sum(F.size("slots")).alias("counters"), (F.sum(F.size("slots")) * SLOT_BYTES).alias("model_bytes"), F.sum(F.octet_length(F.to_json("slots"))).alias("json_bytes"))

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hotkeys import workloads
+from hotkeys import timing, workloads
 from hotkeys.functions import metrics
 from hotkeys.operators import baselines, sketches
 from hotkeys.operators import owner_split as engine
@@ -298,6 +298,49 @@ def _method_overlap(spark: SparkSession, sf: str) -> DataFrame:
 
 add("method_overlap", _method_overlap, f"WITH {_counts('words')} SELECT count(*) AS n_true, count(*) AS common, 0::BIGINT AS missing FROM c, t WHERE {_over(_phi)}")
 
+def _counts_by_stream(spark: SparkSession, sf: str) -> DataFrame:
+    """Frequent elements of three streams, a column for each support."""
+    parts = [metrics.frequent_count(exact_counts(STREAMS[s](spark, sf)), list(workloads.SCALED)).withColumn("source", F.lit(s)) for s in ("words", "conversations", "lines")]
+    whole = parts[0].unionByName(parts[1]).unionByName(parts[2])
+    return whole.groupBy("source").pivot("phi", list(workloads.SCALED)).agg(F.sum("n_frequent")).select("source", *[F.col(f"`{p}`").alias(f"over_{p.replace('.', '_')}") for p in workloads.SCALED])
+
+
+def _counts_by_stream_sql() -> str:
+    columns = ", ".join(f"CAST(count(*) FILTER (WHERE {_over(p)}) AS BIGINT) AS over_{p.replace('.', '_')}" for p in workloads.SCALED)
+    return " UNION ALL ".join(f"SELECT * FROM (WITH {_counts(s)} SELECT '{s}' AS source, {columns} FROM c, t)" for s in ("words", "conversations", "lines"))
+
+
+add("frequent_counts_pivot", _counts_by_stream, _counts_by_stream_sql())
+
+
+def _adverse(spark: SparkSession, sf: str) -> DataFrame:
+    """Guarantees under adverse orders of the same arrivals."""
+    given = streams.element_stream(streams.read(spark, sf, "events"), "user_id", order=["event_id"]).withColumnRenamed("event_id", "ord")
+    spec = SupportSpec("0.004", owners=4)
+    parts = []
+    for how in ("ascending", "descending", "round_robin", "tail_first"):
+        answer = engine.frequent(streams.reordered(given, how), spec, deterministic=True)
+        parts.append(metrics.violations(answer, exact_counts(given), spec.phi, spec.eps).select(F.lit(how).alias("how"), "n", "n_true", *_ALL))
+    return parts[0].unionByName(parts[1]).unionByName(parts[2]).unionByName(parts[3])
+
+
+add("adverse_orders_users", _adverse, f"SELECT how, v.* FROM ({_verdict_sql('user', '0.004', _ALL)}) AS v, (VALUES ('ascending'), ('descending'), ('round_robin'), ('tail_first')) AS h(how)")
+add("builtin_items_types", lambda spark, sf: sketches.builtin_frequent_items(streams.element_stream(streams.read(spark, sf, "events"), "event_type"), 0.1), "SELECT DISTINCT event_type AS e FROM events")
+add("state_bytes_words", lambda spark, sf: metrics.state_bytes(engine.build_summary(_words(spark, sf), SupportSpec(_phi, owners=OWNERS))))
+
+
+def _as_of(spark: SparkSession, sf: str) -> DataFrame:
+    """Each purchase with the user's latest event before it: an as-of join as one window."""
+    from pyspark.sql import Window as W
+
+    events = streams.read(spark, sf, "events")
+    before = W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, -1)
+    seen = events.withColumn("last_type", F.last("event_type", ignorenulls=True).over(before))
+    return seen.filter("event_type = 'purchase'").groupBy("last_type").agg(F.count("*").alias("purchases"))
+
+
+add("as_of_purchases", _as_of, "WITH a AS (SELECT event_type, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS last_type FROM events) SELECT last_type, count(*) AS purchases FROM a WHERE event_type = 'purchase' GROUP BY 1")
+
 # --- experiments without an SQL form ---
 
 add("accuracy_by_skew", lambda spark, sf: workloads.accuracy_by_skew(spark, sf, skews=(0.75, 1.25), supports=("0.01",)))
@@ -307,3 +350,4 @@ add("inner_costs_by_skew", workloads.inner_costs_by_skew)
 add("frequent_counts_by_skew", workloads.frequent_counts_by_skew)
 add("shuffled_pairs", lambda spark, sf: workloads.shuffled_pairs(spark, sf, skews=(0.5, 1.0, 3.0), every=(1_000, 100_000)))
 add("qualitative_report", workloads.qualitative)
+add("latency_by_skew", lambda spark, sf: timing.latency_by_skew(spark))

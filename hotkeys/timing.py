@@ -7,7 +7,7 @@ from collections.abc import Callable, Hashable
 from dataclasses import replace
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 from hotkeys.kernels.minmax import MinMaxSummary
 from hotkeys.kernels.others import MinHeapSummary
@@ -82,3 +82,18 @@ def looped(stream: DataFrame, spec: SupportSpec, limit_s: float = 10.0) -> float
         seconds(engine.frequent(stream, spec))
         rounds += 1
     return rounds * n / (time.perf_counter() - start)
+
+
+def latency_by_skew(spark: SparkSession, skews: tuple[float, ...] = (0.5, 1.0, 2.0, 3.0), n: int = 50_000, m: int = 2_000, phi: str = "0.005") -> DataFrame:
+    """(skew, kernel, query_us, comparisons, operations_per_s, answers): one run for each skew, on the executors."""
+
+    def run(batches):
+        import pandas as pd
+
+        for batch in batches:
+            for a in batch["skew"]:
+                timed = inner_timing(zipf_list(n, a), m, phi, 5_000)
+                yield pd.DataFrame([(a, k, v["query_us"], v["comparisons"], v["operations_per_s"], v["answers"]) for k, v in timed.items()], columns=["skew", "kernel", "query_us", "comparisons", "operations_per_s", "answers"])
+
+    grid = spark.createDataFrame([(a,) for a in skews], "skew double").repartition(len(skews))
+    return grid.mapInPandas(run, "skew double, kernel string, query_us double, comparisons double, operations_per_s double, answers long")
