@@ -131,12 +131,11 @@ def test_pii_base_spans(spark, rows):
 def test_terms_that_disclose_an_entity_go(spark):
     fill = [f"plain words number{i} of other texts stand here" for i in range(30)]
     near = [f"word{i} ask Zebediah at zeb@mail.example.com about word{i + 50} today" for i in range(4)]
-    rows = list(enumerate(fill + near)) + [(90, "Today words of texts stand"), (None, "Zebediah")]
+    rows = list(enumerate(fill + near)) + [(90, "Today words of texts stand")]
     docs = spark.createDataFrame([(d, t, len(t)) for d, t in rows], "doc_id long, text string, n_chars long")
-    found = {r["id"]: [s["value"] for s in r["spans"] if s["kind"] == "term"] for r in pii.all_spans(docs).collect()}
-    assert all("Zebediah" in found[30 + i] for i in range(4)) is False or found[30]
-    # the null-id row also holds the name, so it is not confined to the address; without that row it is
-    docs = docs.filter("doc_id IS NOT NULL")
+    # a name that also stands alone elsewhere is not confined to the address
+    elsewhere = docs.union(spark.createDataFrame([(None, "Zebediah", 8)], docs.schema))
+    assert not any(s["kind"] == "term" and s["value"] == "Zebediah" for r in pii.all_spans(elsewhere).collect() for s in r["spans"])
     found = {r["id"]: [s["value"] for s in r["spans"] if s["kind"] == "term"] for r in pii.all_spans(docs).collect()}
     assert all("Zebediah" in found[30 + i] for i in range(4)) and not any(found[i] for i in range(30))
     clean = by_id(pii.sanitised(docs))
