@@ -7,13 +7,14 @@ its smallest id goes on, so groups of copies add no work.
 
 In a band's bucket every class is compared with the bucket's smallest id (partial aggregates find
 it, so a crowded bucket is no hot key). Links join classes to components; then only the buckets
-that still hold several components matter, and there all pairs across components are weighed on
-byte signatures, in blocks of bounded size, and the likely ones confirmed. So no link between
-buckets' members is lost and no group is expanded into all of its pairs.
+that still hold several components matter. There all pairs across components are weighed on byte
+signatures, in blocks of bounded size, and the likely ones confirmed until their components are
+joined. So no link between buckets' members is lost and no group is expanded into all of its pairs.
 
 Sets are 64-bit shingle hashes. Defined results: null or wordless text has an empty set, links with
-nothing and is its own component; fewer words than a shingle make one shingle; a null id is not compared, has a null component and is kept;
-rows that repeat an id share its fate; other columns are not touched.
+nothing and is its own component; fewer words than a shingle make one shingle; rows with a null
+id are not compared: `near_duplicates` leaves them out, `kept_rows` keeps them; rows that repeat an
+id share its fate; other columns are not touched.
 """
 
 from __future__ import annotations
@@ -30,10 +31,10 @@ from hotkeys.llm.common import sized_broadcast, table, text_of, written
 from hotkeys.llm.components import components
 
 FUNCTIONS, BANDS, ROWS = 126, 42, 6
-#: Least share of equal signature bytes with which a pair is worth confirming: five deviations low.
-LIKELY = 0.67
+#: Least share of equal signature bytes with which a pair is worth confirming: four deviations low.
+LIKELY = 0.7
 BLOCK = 1_500
-MAX_KNOWN = 1_000_000
+MAX_KNOWN = 100_000
 _RANDOM = np.random.Generator(np.random.PCG64(20240917))
 _FACTORS = _RANDOM.integers(0, 1 << 64, 2 * FUNCTIONS, np.uint64, endpoint=False) | np.uint64(1)
 _WORD_FACTORS = _RANDOM.integers(0, 1 << 64, 64, np.uint64, endpoint=False) | np.uint64(1)
@@ -56,11 +57,8 @@ class _Words(dict):
         return value
 
 
-_WORDS = _Words()
-
-
-def shingle_sets(texts: list[str], k: int) -> list[np.ndarray]:
-    """Sorted distinct 64-bit hashes of the k-word shingles of each text."""
+def shingle_sets(texts: list[str], k: int, known: _Words) -> list[np.ndarray]:
+    """Sorted distinct 64-bit hashes of the k-word shingles of each text; known is a task's table of word hashes."""
     words = [t.encode("utf-8", "surrogatepass").lower().split() for t in texts]  # of bytes: A-Z and ASCII white space only
     out = []
     for ws in words:
@@ -68,7 +66,7 @@ def shingle_sets(texts: list[str], k: int) -> list[np.ndarray]:
         if not n:
             out.append(np.empty(0, np.uint64))
             continue
-        h = np.fromiter(map(_WORDS.__getitem__, ws), np.uint64, n)
+        h = np.fromiter(map(known.__getitem__, ws), np.uint64, n)
         if n < k:
             k_own = n
             h = h + np.uint64(n)
@@ -119,10 +117,11 @@ def sketches(docs: DataFrame, k: int, id_col: str, text_col: str) -> DataFrame:
     asked = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), text_of(text_col).alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words = _Words()
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
-                sets = shingle_sets(part.column("text").to_pylist(), k)
+                sets = shingle_sets(part.column("text").to_pylist(), k, words)
                 full = [i for i, s in enumerate(sets) if len(s)]
                 digests = np.zeros((len(sets), 2), np.int64)
                 bands: list[np.ndarray | None] = [None] * len(sets)
@@ -153,6 +152,7 @@ def confirmed(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataF
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept: dict[int, np.ndarray] = {}
+        words = _Words()
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
@@ -162,7 +162,7 @@ def confirmed(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataF
                 for ids, column in ((a, "text_a"), (b, "text_b")):
                     new = {i: row for row, i in enumerate(ids) if i not in kept}
                     column_texts = part.column(column)
-                    kept.update(zip(new, shingle_sets([column_texts[row].as_py() for row in new.values()], k), strict=True))
+                    kept.update(zip(new, shingle_sets([column_texts[row].as_py() for row in new.values()], k, words), strict=True))
                 u, v = [], []
                 for x, y in zip(a, b, strict=True):
                     s, t = kept[x], kept[y]
@@ -175,33 +175,77 @@ def confirmed(pairs: DataFrame, texts: DataFrame, k: int, percent: int) -> DataF
     return both.mapInArrow(run, "u long, v long")
 
 
-def likely_pairs(crowded: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) across components of a bucket whose byte signatures agree often enough.
+def full_sets(texts: DataFrame, k: int) -> DataFrame:
+    """(id, members): the sorted shingle hashes of each text, packed."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words = _Words()
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                sets = shingle_sets(part.column("text").to_pylist(), k, words)
+                yield pa.RecordBatch.from_arrays([part.column("id"), pa.array([s.tobytes() for s in sets], pa.binary())], ["id", "members"])
+
+    return texts.mapInArrow(run, "id long, members binary")
+
 
-    crowded: key, id, component, n, sig. A bucket is cut into blocks by a hash of the id, and each
-    pair of blocks is one group, so a group never holds more than about two blocks.
+def links_across(crowded: DataFrame, percent: int) -> DataFrame:
+    """Links (u, v) between components that meet in a bucket, confirmed on the full sets.
+
+    crowded: key, band, id, component, n, sig, bands, members. A bucket is cut into blocks by a hash
+    of the id, and each pair of blocks is one group, so a group never holds more than about two
+    blocks. A pair is weighed in the first band that it shares, and confirmed, the most alike first,
+    unless links found before it have already joined its components.
     """
     sizes = crowded.groupBy("key").agg(F.count("*").alias("k"))
     blocks = F.ceil(F.col("k") / BLOCK).cast("int")
     placed = crowded.join(sizes, "key").withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
     spread = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    grouped = spread.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id", "component", "n", "sig")
+    grouped = spread.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "band", "own", "id", "component", "n", "sig", "bands", "members")
 
     def run(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        members = pa.Table.from_batches(list(batches))
-        i, j = key[1].as_py(), key[2].as_py()
-        own, ids = members.column("own").to_numpy(), members.column("id").to_numpy()
-        component, n = members.column("component").to_numpy(), members.column("n").to_numpy()
-        sig = np.frombuffer(b"".join(members.column("sig").to_pylist()), np.uint8).reshape(len(ids), 2 * FUNCTIONS)
+        rows = pa.Table.from_batches(list(batches))
+        i, j, band = key[1].as_py(), key[2].as_py(), rows.column("band")[0].as_py()
+        own, ids, component, n = (rows.column(c).to_numpy() for c in ("own", "id", "component", "n"))
+        sig = np.frombuffer(b"".join(rows.column("sig").to_pylist()), np.uint8).reshape(len(ids), 2 * FUNCTIONS)
+        before = np.stack(rows.column("bands").to_numpy(zero_copy_only=False))[:, :band]
+        members = rows.column("members").to_pylist()
         right = np.flatnonzero(own == j)
+        left_side, right_side, alike = [], [], []
         for x in np.flatnonzero(own == i):
             rest = right[(component[right] != component[x]) & (100 * np.minimum(n[right], n[x]) >= percent * np.maximum(n[right], n[x])) & ((ids[right] > ids[x]) if i == j else True)]
             if len(rest):
-                hit = rest[(sig[rest] == sig[x]).mean(axis=1) >= LIKELY]
-                if len(hit):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.minimum(ids[hit], ids[x])), pa.array(np.maximum(ids[hit], ids[x]))], ["a", "b"])
-
-    return grouped.groupBy("key", "i", "j").applyInArrow(run, "a long, b long").distinct()
+                rest = rest[~(before[rest] == before[x]).any(axis=1)]
+                same = (sig[rest] == sig[x]).sum(axis=1)
+                hit = same >= LIKELY * 2 * FUNCTIONS
+                if hit.any():
+                    left_side.append(np.full(int(hit.sum()), x))
+                    right_side.append(rest[hit])
+                    alike.append(same[hit])
+        if not alike:
+            return
+        x, y, same = np.concatenate(left_side), np.concatenate(right_side), np.concatenate(alike)
+        joined: dict[int, int] = {}
+
+        def root(c: int) -> int:
+            while c in joined:
+                c = joined[c]
+            return c
+
+        u, v = [], []
+        for at in np.argsort(-same, kind="stable"):
+            a, b = root(int(component[x[at]])), root(int(component[y[at]]))
+            if a != b:
+                s, t = np.frombuffer(members[x[at]], np.uint64), np.frombuffer(members[y[at]], np.uint64)
+                common = len(np.intersect1d(s, t, assume_unique=True))
+                if 100 * common >= percent * (len(s) + len(t) - common):
+                    joined[max(a, b)] = min(a, b)
+                    u.append(int(ids[x[at]]))
+                    v.append(int(ids[y[at]]))
+        if u:
+            yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
+
+    return grouped.groupBy("key", "i", "j").applyInArrow(run, "u long, v long").distinct()
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -210,24 +254,25 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str
     made = written(spark, sketches(docs, k, id_col, text_col), "sketches")
     classes = written(spark, made.filter("n > 0").groupBy("set_hi", "set_lo").agg(F.min("id").alias("rep")), "set-classes")
     reps = made.join(classes.select(F.col("rep").alias("id")), "id", "left_semi").select("id", "n", "bands", "sig")
-    banded = reps.select("id", "n", F.explode("bands").alias("key"))
-    leaders = banded.groupBy("key").agg(F.min(F.struct("id", "n")).alias("lead"), F.count("*").alias("k")).filter("k > 1").select("key", "lead")
-    shared = written(spark, banded.join(leaders, "key").select("key", "id", "n", F.col("lead.id").alias("lead"), F.col("lead.n").alias("lead_n")), "shared-bands")
+    banded = reps.select("id", "n", F.posexplode("bands").alias("band", "key"))
+    leaders = banded.groupBy("key").agg(F.min(F.struct("id", "n")).alias("lead"), F.count("*").alias("k")).filter("k > 1")
+    shared = written(spark, banded.join(leaders, "key").select("key", "band", "id", "n", "k", F.col("lead.id").alias("lead"), F.col("lead.n").alias("lead_n")), "shared-bands")
     pairs = written(spark, shared.filter("id <> lead AND " + _fits("n", "lead_n", percent)).select(F.col("lead").alias("a"), F.col("id").alias("b")).distinct(), "leader-pairs")
-    involved = written(spark, shared.select("id").distinct(), "involved")
-    wanted = sized_broadcast(involved, involved.count(), 500_000)
     own = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), text_of(text_col).alias("text"))
-    texts = own.join(wanted, "id", "left_semi")
-    links = written(spark, confirmed(pairs, texts, k, percent), "links-leaders")
-    first = written(spark, components(spark, links), "components-leaders")
-    labelled = shared.join(first, "id", "left").select("key", "id", "n", F.coalesce("component", "id").alias("component"))
-    several = labelled.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("k")).filter("low <> high AND k > 2").select("key")
-    crowded = labelled.join(several, "key").join(made.select("id", "sig").dropDuplicates(["id"]), "id")
-    more = written(spark, likely_pairs(crowded, percent), "likely-pairs")
-    if more.isEmpty():
-        final = first
-    else:
-        final = written(spark, components(spark, links.union(confirmed(more, texts, k, percent))), "components")
+
+    def texts_of(ids: DataFrame) -> DataFrame:
+        return own.join(sized_broadcast(ids, ids.count(), 500_000), "id", "left_semi")
+
+    involved = written(spark, pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), "involved")
+    links = written(spark, confirmed(pairs, texts_of(involved), k, percent), "links")
+    first = written(spark, components(spark, links), "components")
+    labelled = shared.filter("k > 2").join(first, "id", "left").select("key", "band", "id", "n", F.coalesce("component", "id").alias("component"))
+    several = labelled.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).filter("low <> high").select("key")
+    crowded = written(spark, labelled.join(several, "key"), "crowded")
+    rest = written(spark, crowded.select("id").distinct(), "crowded-ids")
+    known = made.select("id", "sig", "bands").dropDuplicates(["id"]).join(full_sets(texts_of(rest).dropDuplicates(["id"]), k), "id")
+    more = written(spark, links_across(crowded.join(known, "id"), percent), "more-links")
+    final = first if more.isEmpty() else written(spark, components(spark, links.union(more)), "components")
     by_class = classes.join(final.withColumnRenamed("id", "rep"), "rep", "left").select("set_hi", "set_lo", F.coalesce("component", "rep").alias("component"))
     out = made.select("id", "n", F.when(F.col("n") > 0, F.col("set_hi")).alias("set_hi"), "set_lo").join(by_class, ["set_hi", "set_lo"], "left")
     return out.select("id", F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component"))
