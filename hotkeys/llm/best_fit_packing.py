@@ -18,10 +18,10 @@ from __future__ import annotations
 
 import os
 import zlib
+from array import array
 from bisect import bisect_right
 from collections import Counter
 from collections.abc import Iterator
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -32,7 +32,7 @@ from pyspark.sql import Window as W
 from hotkeys.llm.common import table, text_of, written
 
 CAPACITY = 4096
-MAX_KNOWN = 1_500_000
+MAX_KNOWN = 700_000
 #: Steps of the search after which the incumbent is the answer.
 SEARCH_STEPS = 20_000
 #: Fillings looked at for one piece; they come best first.
@@ -48,28 +48,48 @@ def _spaced(text: str) -> str:
     return text
 
 
-class WordIds:
-    """Ids of texts by a tokenizer whose tokens never cross white space; known words are kept."""
+class WordIds(dict):
+    """Ids of texts by a tokenizer whose tokens never cross white space; known words are kept.
+
+    A new word is first brought to the form that it shares with others: Latin-1 words to lower case, as the
+    tokenizer does, and without the one comma or full stop behind a letter, which is a token of its own.
+    """
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
+        super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
-        self.known: dict[str, bytes] = {"": b""}
+        self[""] = b""
+
+    def _encoded(self, word: str) -> bytes:
+        return array("I", self.tokenizer.encode(word, add_special_tokens=False).ids).tobytes()
+
+    def __missing__(self, word: str) -> bytes:
+        plain = (word.isascii() or max(word) <= "\xff") and "<|" not in word
+        base = word.lower() if plain else word
+        tail = ""
+        if plain and len(base) > 1 and base[-1] in ".," and "a" <= base[-2] <= "z":
+            base, tail = base[:-1], base[-1]
+        found = self.get(base)
+        new = found is None
+        if new:
+            found = self._encoded(base)
+            if len(self) > MAX_KNOWN:
+                self.clear()
+                self[""] = b""
+            self[base] = found
+        if tail:
+            found += self[tail]
+        if not new:  # forms of a word that came before are worth keeping, those of most words aren't
+            self[word] = found
+        return found
 
     def packed(self, texts: list[str]) -> list[bytes]:
-        """Little-endian unsigned 32-bit ids of each text."""
-        if len(self.known) > MAX_KNOWN:
-            self.known = {"": b""}
-        words = [_spaced(t).split(" ") for t in texts]
-        new = list(set(chain.from_iterable(words)).difference(self.known))
-        for at in range(0, len(new), 5_000):
-            part = new[at : at + 5_000]
-            for word, found in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False), strict=True):
-                self.known[word] = np.array(found.ids, "<u4").tobytes()
-        get = self.known.__getitem__
-        return [b"".join(map(get, w)) for w in words]
+        """Native (little-endian) unsigned 32-bit ids of each text."""
+        get = self.__getitem__
+        return [b"".join(map(get, _spaced(t).split(" "))) for t in texts]
 
 
 _WORDS: dict[str, WordIds] = {}
