@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from hotkeys.llm.common import table, text_of
 
-MAX_KNOWN = 1_000_000
+MAX_KNOWN = 300_000
 #: Fixed value: the model's mark for a space.
 MARK = "▁"
 _RUN = re.compile(" +[^ ]*")
