@@ -154,12 +154,18 @@ def sample_stream(spark: SparkSession, sf_dir: str, k: int = 4_000) -> DataFrame
     """The first k words of documents, in order: a bounded stream for the simulator."""
     ordered = streams.read(spark, sf_dir, "documents").filter("doc_id < 40").select("doc_id", F.posexplode(F.split(F.lower(F.trim("text")), streams.NOT_WORD)).alias("pos", "e")).filter("e <> ''")
     top = ordered.orderBy("doc_id", "pos").limit(k)
-    return top.select((F.col("doc_id") * 1_000_000 + F.col("pos")).alias("ord"), "e")
+    return top.select((F.col("doc_id") * 1_000_000 + F.col("pos")).alias("ord"), F.array("e").alias("es"))
 
 
-def overlap_runs(spark: SparkSession, sf_dir: str, count_buffers: bool = False, runs: int = 4) -> DataFrame:
+def word_arrays(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All words of documents in order, an array for each document: the simulator's whole stream."""
+    split = F.array_remove(F.split(F.lower(F.trim("text")), streams.NOT_WORD), "")
+    return streams.read(spark, sf_dir, "documents").filter(F.col("text").isNotNull()).select(F.col("doc_id").alias("ord"), split.alias("es"))
+
+
+def overlap_runs(spark: SparkSession, sf_dir: str, count_buffers: bool = False, runs: int = 4, stream=word_arrays) -> DataFrame:
     settings = [Setting(owners=t, slots=d, every=e, phi="0.01", eps="0.001", query_every=200, count_buffers=count_buffers, seed=k) for k, (t, d, e) in enumerate([(2, 8, 50), (4, 8, 50), (8, 16, 100), (24, 32, 20)][:runs])]
-    return simulate(sample_stream(spark, sf_dir), settings, spark)
+    return simulate(stream(spark, sf_dir), settings, spark)
 
 
 def enhancement_ab(spark: SparkSession, sf_dir: str) -> DataFrame:

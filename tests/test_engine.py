@@ -12,6 +12,7 @@ from hotkeys.operators import baselines, sketches
 from hotkeys.operators import owner_split as engine
 from hotkeys.operators.exact import exact_counts, exact_frequent
 from hotkeys.plans import planner
+from hotkeys.queries import QUERIES
 from hotkeys.sim import Setting, Simulation
 from hotkeys.sources import streams
 from hotkeys.spec import SupportSpec
@@ -179,6 +180,31 @@ def test_overlapping_queries_keep_their_bounds(seed):
     assert mean(records) < mean(off)
 
 
+def test_a_run_takes_the_whole_stream_and_holds_little_of_it():
+    import random
+
+    rng, given = random.Random(3), [0]
+    setting = Setting(owners=4, slots=8, every=20, phi="0.02", eps="0.002", query_every=70)
+
+    def arrivals():
+        for _ in range(20_000):
+            given[0] += 1
+            yield min(int(rng.paretovariate(1.0)), 400)
+
+    run, most = Simulation(arrivals(), setting), 0
+    for record in run.stream():
+        most = max(most, given[0] - run.n)
+        assert record["missed"] == record["spurious"] == record["outside"] == record["pending_over"] == 0
+    assert record["n_end"] == 20_000 and most < 2_000
+
+
+def test_overlap_queries_see_every_word(spark, sf):
+    n = streams.documents_words(spark, sf).count()
+    assert n > 4_000
+    ends = QUERIES["overlap_records_sim"](spark, sf).groupBy("run_id").agg(F.max("n_end").alias("n")).collect()
+    assert {r["n"] for r in ends} == {n} and len(ends) == 4
+
+
 def test_planner_chooses(spark, zipf):
     few = stream_of(spark, [(f"k{i % 5}", 1) for i in range(100)])
     plan = planner.choose(few, SupportSpec("0.1"), fraction=1.0)
