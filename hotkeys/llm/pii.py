@@ -1,11 +1,13 @@
 """PII by information-theoretic sanitisation, in DataFrame form.
 
 Protected entities are the e-mail addresses, IP addresses, card and phone numbers that patterns and
-checks find. The corpus then tells which other terms reveal them: for an entity c and a term t near it,
+checks find. The corpus then tells which other terms reveal them: for an entity c and a term t of its documents,
 PMI(c, t) = log(N * df(c, t) / (df(c) * df(t))) is held against ALPHA times the information content
 of c, log(N / df(c)). A term that reaches it in at least MIN_CONTEXTS different contexts of c
 discloses c and is generalised, where a given taxonomy has a broader term that discloses less,
-or else removed. Document frequencies are counted over the whole corpus.
+or else removed. Document frequencies, those of c and t together too, are counted over whole documents of
+the whole corpus. A context is what stands around a mention of c: a term has those of the mentions that it is
+near, and one for each document that it shares with c.
 
 Match places come from splitting a text at its matches, so no user function runs. The patterns
 start only where a run of their characters starts, or where the last match ended, and possessive
@@ -34,7 +36,6 @@ _BYTE = "0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[0-9]{1,2})"
 ALPHA = 1.0
 MIN_CONTEXTS = 3
 CONTEXT_CHARS = 80
-MIN_TERM_CHARS = 4
 #: Words of texts that can be terms.
 TERM = r"\p{L}[\p{L}\p{M}]*"
 MOST_BROADCAST = 200_000
@@ -95,8 +96,7 @@ def base_spans(text: Column) -> Column:
 
 
 def _terms(context: Column) -> Column:
-    words = F.regexp_extract_all(F.lower(context), F.lit(TERM), F.lit(0))
-    return F.array_distinct(F.filter(words, lambda w: F.length(w) >= MIN_TERM_CHARS))
+    return F.array_distinct(F.regexp_extract_all(F.lower(context), F.lit(TERM), F.lit(0)))
 
 
 def _contexts(text: Column, spans: Column) -> Column:
@@ -114,25 +114,33 @@ def _contexts(text: Column, spans: Column) -> Column:
 
 
 def entities(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, spans and contexts of every row."""
+    """id, spans and contexts of every row, and all terms of those with spans."""
     own = docs.select(F.col(id_col).alias("id"), text_of(text_col).alias("text"))
-    return own.select("id", let(F.col("text"), lambda t: let(base_spans(t), lambda s: F.struct(s.alias("spans"), _contexts(t, s).alias("contexts")))).alias("x")).select("id", "x.spans", "x.contexts")
+    return own.select("id", let(F.col("text"), lambda t: let(base_spans(t), lambda s: F.struct(s.alias("spans"), _contexts(t, s).alias("contexts"), F.when(F.size(s) > 0, _terms(t)).alias("terms")))).alias("x")).select("id", "x.spans", "x.contexts", "x.terms")
 
 
 def disclosing_terms(docs: DataFrame, found: DataFrame, id_col: str = "doc_id", text_col: str = "text", alpha: float = ALPHA) -> DataFrame:
     """(term, entity, pmi, information) of the terms that reveal an entity, from the whole corpus."""
     spark = docs.sparkSession
-    seen = found.select("id", F.explode("contexts").alias("c")).select("id", "c.entity", "c.context", "c.terms")
-    with_terms = seen.select("id", "entity", "context", F.explode("terms").alias("term"))
+    mentions = found.select("id", F.explode("contexts").alias("c")).select("id", "c.entity", "c.context")
     # two plain aggregates each, so that a common entity or term is combined before it is shuffled
+    holds = mentions.groupBy("entity", "id").agg(F.lit(1).alias("one")).groupBy("entity").agg(F.count("*").alias("df_c"))
+    met = mentions.groupBy("entity", "context").agg(F.lit(1).alias("one")).groupBy("entity").agg(F.count("*").alias("n")).filter(F.col("n") >= MIN_CONTEXTS)
+    # entities with fewer contexts than a term needs drop out before any term is looked at
+    able = written(spark, holds.join(met, "entity").select("entity", "df_c"), "able-entities")
+    known = sized_broadcast(able.select("entity"), able.count(), MOST_BROADCAST)
+    least = F.array_min(F.transform(F.filter("contexts", lambda c: c["entity"] == F.col("entity")), lambda c: c["context"]))
+    held = found.filter(F.size("spans") > 0).withColumn("entity", F.explode(F.array_distinct(F.transform("contexts", lambda c: c["entity"])))).join(known, "entity", "left_semi")
+    shared = held.select("id", "entity", least.alias("context"), "terms")
+    close = found.select("id", F.explode("contexts").alias("c")).select("id", "c.entity", "c.context", "c.terms").join(known, "entity", "left_semi")
+    with_terms = shared.unionByName(close).select("entity", "context", F.explode("terms").alias("term"))
     contexts = with_terms.groupBy("entity", "term", "context").agg(F.lit(1).alias("one")).groupBy("entity", "term").agg(F.count("*").alias("n_contexts")).filter(F.col("n_contexts") >= MIN_CONTEXTS)
-    near = with_terms.groupBy("entity", "term", "id").agg(F.lit(1).alias("one")).groupBy("entity", "term").agg(F.count("*").alias("df_ct"))
-    holds = seen.groupBy("entity", "id").agg(F.lit(1).alias("one")).groupBy("entity").agg(F.count("*").alias("df_c"))
+    both = shared.select("id", "entity", F.explode("terms").alias("term")).groupBy("entity", "term", "id").agg(F.lit(1).alias("one")).groupBy("entity", "term").agg(F.count("*").alias("df_ct"))
     total = found.count()
-    # a term is in at least as many documents as it is near some entity in: common words drop out here
-    at_least = with_terms.groupBy("term", "id").agg(F.lit(1).alias("one")).groupBy("term").agg(F.count("*").alias("df_least"))
+    # a term is in at least as many documents as it shares with some entity: common words drop out here
+    at_least = found.filter(F.size("spans") > 0).select("id", F.explode("terms").alias("term")).groupBy("term", "id").agg(F.lit(1).alias("one")).groupBy("term").agg(F.count("*").alias("df_least"))
     most = F.col("df_ct") * F.pow(F.lit(float(total)) / F.col("df_c"), F.lit(1.0 - alpha))
-    scored = contexts.join(near, ["entity", "term"]).join(holds, "entity").join(at_least, "term").filter(F.col("df_least") <= most + 1e-6)
+    scored = contexts.join(both, ["entity", "term"]).join(able, "entity").join(at_least, "term").filter(F.col("df_least") <= most + 1e-6)
     pairs = written(spark, scored, "term-pairs")
     candidates = written(spark, pairs.select("term").distinct(), "candidate-terms")
     few = candidates.count()

@@ -145,6 +145,22 @@ def test_terms_that_disclose_an_entity_go(spark):
     assert spark.range(1).select(pii.redacted(F.lit("Rome is old"), spans, {"rome": "a city"}).alias("t")).first()["t"] == "a city is old"
 
 
+def test_terms_far_from_their_entity_are_found(spark):
+    gap = " ".join(["plain words of other texts stand here"] * 8)
+    fill = [f"plain words number{i} of other texts stand here" for i in range(30)]
+    held = [f"word{i} Li and Quorley wrote {gap} to zeb@mail.example.com with Zebediah line{i}" for i in range(3)]
+    held.append(f"Zebediah {gap} word9 Li, Quorley {gap} zeb@mail.example.com line9")
+    rows = list(enumerate([*fill, *held, "Quorley"]))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+
+    def terms(alpha):
+        return {r["id"]: {s["value"] for s in r["spans"] if s["kind"] == "term"} for r in pii.all_spans(docs, alpha=alpha).collect()}
+
+    strict, loose = terms(1.0), terms(0.5)
+    assert all({"Li", "Zebediah"} <= strict[d] and "Quorley" not in strict[d] and "plain" not in strict[d] for d in range(30, 34))
+    assert all("Quorley" in loose[d] for d in range(30, 35)) and not any(strict[d] for d in [*range(30), 34])
+
+
 # --- 4 URLs ---
 
 
