@@ -289,15 +289,19 @@ def certify(summary: DataFrame, spec: SupportSpec) -> DataFrame:
     return one.withColumn("level", F.when(within(eps), "full").when(within(phi), "recall").otherwise("none"))
 
 
-def frequent_certified(stream: DataFrame, spec: SupportSpec, doublings: int = 4, **options) -> tuple[DataFrame, str]:
-    """The answer with the level that its summary proves, counters being doubled until that is full."""
+def frequent_certified(stream: DataFrame, spec: SupportSpec, doublings: int | None = None, **options) -> tuple[DataFrame, str]:
+    """The answer with the level that its summary proves, counters being doubled until that is full.
+
+    It is full at the latest when an owner has a counter for each of its elements; doublings is a caller's own limit.
+    """
     from dataclasses import replace
 
-    for _ in range(doublings + 1):
+    while True:
         summary = build_summary(stream, spec, **options)
         level = certify(summary, spec).first()["level"]
-        if level == "full":
+        if level == "full" or doublings == 0:
             break
+        doublings = None if doublings is None else doublings - 1
         spec = replace(spec, counters=2 * spec.per_owner())
     return query(summary, spec.phi), level
 

@@ -198,6 +198,12 @@ def test_a_run_takes_the_whole_stream_and_holds_little_of_it():
     assert record["n_end"] == 20_000 and most < 2_000
 
 
+def test_certified_answers_double_until_the_proof_is_full(spark):
+    apart = stream_of(spark, [(f"k{i}", 1) for i in range(2_000)])
+    answer, level = engine.frequent_certified(apart, SupportSpec("0.1", owners=2, counters=1))
+    assert level == "full" and answer.count() == 0
+
+
 def test_overlap_queries_see_every_word(spark, sf):
     n = streams.documents_words(spark, sf).count()
     assert n > 4_000
