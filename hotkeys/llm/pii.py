@@ -4,18 +4,20 @@ Protected entities are the e-mail addresses, IP addresses, card and phone number
 checks find. The corpus then tells which other terms reveal them: for an entity c and a term t of its documents,
 PMI(c, t) = log(N * df(c, t) / (df(c) * df(t))) is held against ALPHA times the information content
 of c, log(N / df(c)). A term that reaches it in at least MIN_CONTEXTS different contexts of c
-discloses c and is generalised, where a given taxonomy has a broader term that discloses less,
-or else removed. Document frequencies, those of c and t together too, are counted over whole documents of
-the whole corpus. A context is what stands around a mention of c: a term has those of the mentions that it is
-near, and one for each document that it shares with c.
+discloses c and is generalised, where a given taxonomy has a broader term whose own PMI stays under the
+threshold for every entity that t discloses, or else removed. Document frequencies, those of c and t together
+too, are counted over whole documents of the whole corpus. A context is the text of CONTEXT_CHARS characters on
+each side of a mention of c: a term has those of the mentions that it is near, and one for each document
+that it shares with c.
 
 Match places come from splitting a text at its matches, so no user function runs. The patterns
 start only where a run of their characters starts, or where the last match ended, and possessive
 repeats don't backtrack: time is linear in the text and the matches stay the leftmost ones.
 
 Defined results: null counts as empty and has no spans; repeated rows are searched each; matches
-of different kinds may overlap and are all reported, but a term span that touches one is dropped;
-rows with a null id are searched for entities, not for disclosing terms; other columns are not touched.
+of different kinds may overlap and are all reported, but a term span that touches one is dropped; a document is
+a pair of id (null is one as well) and text, so rows that share an id have each their own spans and rows that
+repeat both count once; other columns are not touched.
 """
 
 from __future__ import annotations
@@ -33,8 +35,11 @@ CARD = r"[0-9](?:[\x20-]?[0-9])++"
 PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
 _BYTE = "0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[0-9]{1,2})"
 
-ALPHA = 1.0
-MIN_CONTEXTS = 3
+#: Share of an entity's information content that a term must give away to count as disclosing it.
+ALPHA = 0.9
+#: Different contexts of the entity that must hold the term: what one text or its copies hold is no evidence.
+MIN_CONTEXTS = 2
+#: Characters on each side of a mention that make its context.
 CONTEXT_CHARS = 80
 #: Words of texts that can be terms.
 TERM = r"\p{L}[\p{L}\p{M}]*"
@@ -114,31 +119,46 @@ def _contexts(text: Column, spans: Column) -> Column:
 
 
 def entities(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, spans and contexts of every row, and all terms of those with spans."""
-    own = docs.select(F.col(id_col).alias("id"), text_of(text_col).alias("text"))
-    return own.select("id", let(F.col("text"), lambda t: let(base_spans(t), lambda s: F.struct(s.alias("spans"), _contexts(t, s).alias("contexts"), F.when(F.size(s) > 0, _terms(t)).alias("terms")))).alias("x")).select("id", "x.spans", "x.contexts", "x.terms")
+    """id, h (hash of the text), spans and contexts of every row, and all terms of those with spans."""
+    own = docs.select(F.col(f"`{id_col}`").alias("id"), text_of(text_col).alias("text"))
+    return own.select("id", F.xxhash64("text").alias("h"), let(F.col("text"), lambda t: let(base_spans(t), lambda s: F.struct(s.alias("spans"), _contexts(t, s).alias("contexts"), F.when(F.size(s) > 0, _terms(t)).alias("terms")))).alias("x")).select("id", "h", "x.spans", "x.contexts", "x.terms")
+
+
+def _documents_with(rows: DataFrame, by: list[str], name: str) -> DataFrame:
+    """Distinct documents for each value of by, in two plain aggregates: a common one is combined before the shuffle."""
+    return rows.groupBy(*by, "id", "h").agg(F.lit(1).alias("one")).groupBy(*by).agg(F.count("*").alias(name))
+
+
+def _hits(docs: DataFrame, terms: DataFrame, n_terms: int, id_col: str, text_col: str) -> DataFrame:
+    """(id, h, term): which documents hold which of the terms."""
+    own = docs.select(F.col(f"`{id_col}`").alias("id"), text_of(text_col).alias("text"))
+    words = own.select("id", F.xxhash64("text").alias("h"), F.explode(_terms(F.col("text"))).alias("term"))
+    return words.join(sized_broadcast(terms, n_terms, MOST_BROADCAST), "term", "left_semi").select("id", "h", "term")
+
+
+def _discloses(pmi: Column, information: Column, alpha: float) -> Column:
+    return (information > 0) & (pmi >= alpha * information - 1e-9)
 
 
 def disclosing_terms(docs: DataFrame, found: DataFrame, id_col: str = "doc_id", text_col: str = "text", alpha: float = ALPHA) -> DataFrame:
-    """(term, entity, pmi, information) of the terms that reveal an entity, from the whole corpus."""
+    """(term, entity, df_c, pmi, information) of the terms that reveal an entity, from the whole corpus."""
     spark = docs.sparkSession
-    mentions = found.select("id", F.explode("contexts").alias("c")).select("id", "c.entity", "c.context")
-    # two plain aggregates each, so that a common entity or term is combined before it is shuffled
-    holds = mentions.groupBy("entity", "id").agg(F.lit(1).alias("one")).groupBy("entity").agg(F.count("*").alias("df_c"))
+    mentions = found.select("id", "h", F.explode("contexts").alias("c")).select("id", "h", "c.entity", "c.context")
+    holds = _documents_with(mentions, ["entity"], "df_c")
     met = mentions.groupBy("entity", "context").agg(F.lit(1).alias("one")).groupBy("entity").agg(F.count("*").alias("n")).filter(F.col("n") >= MIN_CONTEXTS)
     # entities with fewer contexts than a term needs drop out before any term is looked at
     able = written(spark, holds.join(met, "entity").select("entity", "df_c"), "able-entities")
     known = sized_broadcast(able.select("entity"), able.count(), MOST_BROADCAST)
     least = F.array_min(F.transform(F.filter("contexts", lambda c: c["entity"] == F.col("entity")), lambda c: c["context"]))
     held = found.filter(F.size("spans") > 0).withColumn("entity", F.explode(F.array_distinct(F.transform("contexts", lambda c: c["entity"])))).join(known, "entity", "left_semi")
-    shared = held.select("id", "entity", least.alias("context"), "terms")
-    close = found.select("id", F.explode("contexts").alias("c")).select("id", "c.entity", "c.context", "c.terms").join(known, "entity", "left_semi")
+    shared = held.select("id", "h", "entity", least.alias("context"), "terms")
+    close = found.select("id", "h", F.explode("contexts").alias("c")).select("id", "h", "c.entity", "c.context", "c.terms").join(known, "entity", "left_semi")
     with_terms = shared.unionByName(close).select("entity", "context", F.explode("terms").alias("term"))
     contexts = with_terms.groupBy("entity", "term", "context").agg(F.lit(1).alias("one")).groupBy("entity", "term").agg(F.count("*").alias("n_contexts")).filter(F.col("n_contexts") >= MIN_CONTEXTS)
-    both = shared.select("id", "entity", F.explode("terms").alias("term")).groupBy("entity", "term", "id").agg(F.lit(1).alias("one")).groupBy("entity", "term").agg(F.count("*").alias("df_ct"))
-    total = found.count()
+    both = _documents_with(shared.select("id", "h", "entity", F.explode("terms").alias("term")), ["entity", "term"], "df_ct")
+    total = found.select("id", "h").distinct().count()
     # a term is in at least as many documents as it shares with some entity: common words drop out here
-    at_least = found.filter(F.size("spans") > 0).select("id", F.explode("terms").alias("term")).groupBy("term", "id").agg(F.lit(1).alias("one")).groupBy("term").agg(F.count("*").alias("df_least"))
+    at_least = _documents_with(found.filter(F.size("spans") > 0).select("id", "h", F.explode("terms").alias("term")), ["term"], "df_least")
     most = F.col("df_ct") * F.pow(F.lit(float(total)) / F.col("df_c"), F.lit(1.0 - alpha))
     scored = contexts.join(both, ["entity", "term"]).join(able, "entity").join(at_least, "term").filter(F.col("df_least") <= most + 1e-6)
     pairs = written(spark, scored, "term-pairs")
@@ -147,48 +167,84 @@ def disclosing_terms(docs: DataFrame, found: DataFrame, id_col: str = "doc_id",
     if not few:
         counts = candidates.withColumn("df_t", F.lit(0).cast("long"))
     else:
-        words = docs.select(F.explode(_terms(text_of(text_col))).alias("term"))
-        counts = words.join(sized_broadcast(candidates, few, MOST_BROADCAST), "term", "left_semi").groupBy("term").agg(F.count("*").alias("df_t"))
+        counts = _documents_with(_hits(docs, candidates, few, id_col, text_col), ["term"], "df_t")
     pmi = F.log2(F.lit(float(total)) * F.col("df_ct") / (F.col("df_c") * F.col("df_t")))
     information = F.log2(F.lit(float(total)) / F.col("df_c"))
-    scored = pairs.join(counts, "term").select("term", "entity", pmi.alias("pmi"), information.alias("information"))
-    return written(spark, scored.filter((F.col("information") > 0) & (F.col("pmi") >= alpha * F.col("information") - 1e-9)), "disclosing-terms")
+    scored = pairs.join(counts, "term").select("term", "entity", "df_c", pmi.alias("pmi"), information.alias("information"))
+    return written(spark, scored.filter(_discloses(F.col("pmi"), F.col("information"), alpha)), "disclosing-terms")
+
 
+def broader_terms(docs: DataFrame, found: DataFrame, terms: DataFrame, taxonomy: DataFrame, id_col: str = "doc_id", text_col: str = "text", alpha: float = ALPHA, levels: int = 4) -> DataFrame:
+    """(term, label): for a disclosing term the nearest broader one that discloses none of the term's entities.
 
-def all_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", alpha: float = ALPHA) -> DataFrame:
-    """id, base (entity spans) and spans (those and the spans of disclosing terms) of every row."""
+    taxonomy: (term, broader). A broader term is in every document that holds it or a term under it; its
+    PMI with an entity, counted so, is held against the same threshold. Terms without a safe one are absent.
+    """
+    spark = docs.sparkSession
+    given = taxonomy.select(F.lower("term").alias("term"), F.lower("broader").alias("broader")).filter("term <> broader").distinct()
+    step = given.select("term", F.col("broader").alias("above"), F.lit(1).alias("level"))
+    above = step
+    for level in range(2, levels + 1):
+        step = step.join(given.select(F.col("term").alias("above"), "broader"), "above").select("term", F.col("broader").alias("above"), F.lit(level).alias("level"))
+        above = above.unionByName(step)
+    asked = terms.select("term", "entity", "df_c", "information").join(above, "term")
+    wanted = asked.select("above").distinct()
+    under = written(spark, above.join(wanted, "above", "left_semi").select("term", "above").union(wanted.select(F.col("above").alias("term"), "above")).distinct(), "narrower-terms")
+    members = under.select("term").distinct()
+    hits = written(spark, _hits(docs, members, members.count(), id_col, text_col).join(under, "term").select("id", "h", "above").distinct(), "broader-hits")
+    own = found.select("id", "h", F.explode("contexts").alias("c")).select("id", "h", "c.entity").join(terms.select("entity").distinct(), "entity", "left_semi").distinct()
+    df_b = hits.groupBy("above").agg(F.count("*").alias("df_b"))
+    df_cb = own.join(hits, [own["id"].eqNullSafe(hits["id"]), own["h"] == hits["h"]]).groupBy("entity", "above").agg(F.count("*").alias("df_cb"))
+    total = found.select("id", "h").distinct().count()
+    weighed = asked.join(df_b, "above").join(df_cb, ["entity", "above"], "left")
+    pmi = F.log2(F.lit(float(total)) * F.col("df_cb") / (F.col("df_c") * F.col("df_b")))
+    safe = F.col("df_cb").isNull() | ~_discloses(pmi, F.col("information"), alpha)
+    judged = weighed.groupBy("term", "above").agg(F.min("level").alias("level"), F.bool_and(safe).alias("safe"))
+    return written(spark, judged.filter("safe").groupBy("term").agg(F.min_by("above", F.struct("level", "above")).alias("label")), "broader-terms")
+
+
+def all_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", alpha: float = ALPHA, taxonomy: DataFrame | None = None) -> DataFrame:
+    """id, h (hash of the text), base (entity spans), spans (those and the spans of disclosing terms) and labels of every row.
+
+    labels maps the row's terms that a taxonomy generalises to what stands for them.
+    """
     spark = docs.sparkSession
     found = written(spark, entities(docs, id_col, text_col), "entities")
-    terms = disclosing_terms(docs, found, id_col, text_col, alpha).select("term").distinct()
+    pairs = disclosing_terms(docs, found, id_col, text_col, alpha)
+    terms = pairs.select("term").distinct()
     n_terms = terms.count()
-    base = found.select("id", F.col("spans").alias("base"))
+    base = found.select("id", "h", F.col("spans").alias("base"))
+    none = F.from_json(F.lit("{}"), "map<string,string>")
     if not n_terms:
-        return base.withColumn("spans", F.col("base"))
-    own = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).alias("id"), text_of(text_col).alias("text"))
-    hits = own.select("id", F.explode(_terms(F.col("text"))).alias("term")).join(sized_broadcast(terms, n_terms, MOST_BROADCAST), "term", "left_semi")
-    of_doc = written(spark, hits.groupBy("id").agg(F.sort_array(F.collect_set("term")).alias("terms")), "terms-of-documents")
-    texts = own.join(sized_broadcast(of_doc, of_doc.count(), MOST_BROADCAST), "id")
-    more = texts.select("id", F.xxhash64("text").alias("h"), F.filter(_matches(F.col("text"), TERM, "term", lambda h: F.array_contains(F.col("terms"), F.lower(h))), lambda s: F.lit(True)).alias("more"))
-    more = more.dropDuplicates(["id"]).select("id", "more")
+        return base.withColumn("spans", F.col("base")).withColumn("labels", none)
+    labelled = terms.withColumn("label", F.lit(None).cast("string")) if taxonomy is None else terms.join(broader_terms(docs, found, pairs, taxonomy, id_col, text_col, alpha), "term", "left")
+    hits = _hits(docs, terms, n_terms, id_col, text_col).join(sized_broadcast(labelled, n_terms, MOST_BROADCAST), "term")
+    of_doc = written(spark, hits.groupBy("id", "h").agg(F.sort_array(F.collect_set(F.struct("term", "label"))).alias("known")), "terms-of-documents")
+    weight = of_doc.agg(F.coalesce(F.sum(F.size("known")), F.lit(0))).first()[0]  # a row's array counts by its length
+    own = docs.select(F.col(f"`{id_col}`").alias("id"), text_of(text_col).alias("text")).withColumn("h", F.xxhash64("text"))
+    few = sized_broadcast(of_doc.select(F.col("id").alias("doc"), F.col("h").alias("hash"), "known"), weight, MOST_BROADCAST)
+    texts = own.join(few, F.col("id").eqNullSafe(F.col("doc")) & (F.col("h") == F.col("hash")))
+    listed = F.transform("known", lambda k: k["term"])
+    more = texts.select(F.col("id").alias("doc"), F.col("h").alias("hash"), _matches(F.col("text"), TERM, "term", lambda t: F.array_contains(listed, F.lower(t))).alias("more"), F.map_from_entries(F.filter("known", lambda k: k["label"].isNotNull())).alias("labels"))
+    more = written(spark, more.dropDuplicates(["doc", "hash"]), "term-spans")
     touches = lambda s, b: (s["start"] < b["end"]) & (b["start"] < s["end"])
     free = F.filter(F.coalesce("more", F.from_json(F.lit("[]"), f"array<{SPAN}>")), lambda s: ~F.exists("base", lambda b: touches(s, b)))
-    return base.join(more, "id", "left").select("id", "base", F.array_sort(F.concat("base", free)).alias("spans"))
+    both = base.join(sized_broadcast(more, weight, MOST_BROADCAST), F.col("id").eqNullSafe(F.col("doc")) & (F.col("h") == F.col("hash")), "left")
+    return both.select("id", "h", "base", F.array_sort(F.concat("base", free)).alias("spans"), F.coalesce("labels", none).alias("labels"))
 
 
 def spans_text(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
-def redacted(text: Column, spans: Column, broader: dict[str, str] | None = None) -> Column:
-    """text with every span generalised: entities to their kind, terms to a broader term or nothing.
+def redacted(text: Column, spans: Column, labels: Column | None = None) -> Column:
+    """text with every span generalised: entities to their kind, terms to the label that the map has for them or nothing.
 
     spans in order; overlapping ones are replaced together, by the label of the first.
     """
 
     def label(s: Column) -> Column:
-        known = F.lit(None).cast("string")
-        for term, general in (broader or {}).items():
-            known = F.when(F.lower(s["value"]) == term, F.lit(general)).otherwise(known)
+        known = F.try_element_at(labels, F.lower(s["value"])) if labels is not None else F.lit(None).cast("string")
         return F.when(s["kind"] == "term", F.coalesce(known, F.lit("[REMOVED]"))).otherwise(F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]")))
 
     merged_type = "struct<done:array<struct<start:int,end:int,label:string>>>"
@@ -211,30 +267,32 @@ def redacted(text: Column, spans: Column, broader: dict[str, str] | None = None)
     return F.when(F.size(spans) == 0, text).otherwise(let(F.aggregate(spans, start, merge)["done"], built))
 
 
-def sanitised(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", alpha: float = ALPHA) -> DataFrame:
+def sanitised(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", alpha: float = ALPHA, taxonomy: DataFrame | None = None) -> DataFrame:
     """The rows of docs with spans redacted in the text, and its length in n_chars if there is one.
 
-    Only texts with spans change. They are found by the id; of rows with a null id, and of rows that share
-    an id, entities are redacted from the row's own text.
+    Only texts with spans change. A row's term spans are found by its id and its text together, so rows that
+    share an id get their own. With a taxonomy (term, broader), terms are generalised where a broader term is safe.
     """
     spark = docs.sparkSession
-    spans = all_spans(docs, id_col, text_col, alpha)
+    spans = all_spans(docs, id_col, text_col, alpha, taxonomy)
     term_spans = F.filter("spans", lambda s: s["kind"] == "term")
-    with_terms = written(spark, spans.filter(F.size(term_spans) > 0).select(F.col("id").alias("__id"), term_spans.alias("__terms")).dropDuplicates(["__id"]), "term-spans")
-    n = with_terms.count()
-    text = text_of(text_col)
-    own = base_spans(text)
-    if n:
-        docs_in = docs.join(sized_broadcast(with_terms, n, MOST_BROADCAST), F.col(f"`{id_col}`") == F.col("__id"), "left")
-        own = F.array_sort(F.concat(own, F.coalesce("__terms", F.from_json(F.lit("[]"), f"array<{SPAN}>"))))
+    with_terms = written(spark, spans.filter(F.size(term_spans) > 0).select(F.col("id").alias("doc"), F.col("h").alias("hash"), term_spans.alias("terms"), "labels").dropDuplicates(["doc", "hash"]), "spans-to-redact")
+    weight = with_terms.agg(F.coalesce(F.sum(F.size("terms")), F.lit(0))).first()[0]
+    # the input's row stays apart from the columns that are added, whatever its names are
+    rows = docs.select(F.struct("*").alias("row"), text_of(text_col).alias("own"))
+    if weight:
+        on = F.col(f"row.`{id_col}`").eqNullSafe(F.col("doc")) & (F.xxhash64("own") == F.col("hash"))
+        rows = rows.join(sized_broadcast(with_terms, weight, MOST_BROADCAST), on, "left")
+        own = F.array_sort(F.concat(base_spans(F.col("own")), F.coalesce("terms", F.from_json(F.lit("[]"), f"array<{SPAN}>"))))
+        labels = F.coalesce("labels", F.from_json(F.lit("{}"), "map<string,string>"))
     else:
-        docs_in = docs
-    changed = docs_in.withColumn("__new", let(text, lambda t: let(own, lambda s: redacted(t, s))))
-    columns = {text_col: F.when(F.col(text_col).isNotNull(), F.col("__new"))}
+        own, labels = base_spans(F.col("own")), None
+    changed = rows.withColumn("new", let(F.col("own"), lambda t: let(own, lambda s: redacted(t, s, labels))))
+    given = F.col(f"row.`{text_col}`").isNotNull()
+    columns = {text_col: F.when(given, F.col("new"))}
     if "n_chars" in docs.columns:
-        columns["n_chars"] = F.when(F.col(text_col).isNotNull() & (F.col("__new") != F.col(text_col)), F.length("__new").cast("long")).otherwise(F.col("n_chars"))
-    out = [columns[c].alias(c) if c in columns else F.col(f"`{c}`") for c in docs.columns]
-    return changed.select(*out)
+        columns["n_chars"] = F.when(given & (F.col("new") != F.col("own")), F.length("new").cast("long")).otherwise(F.col("row.n_chars"))
+    return changed.select(*[columns[c].alias(c) if c in columns else F.col(f"row.`{c}`") for c in docs.columns])
 
 
 def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import random
 import re
 import zlib
@@ -10,6 +11,8 @@ from collections import Counter, defaultdict
 import numpy as np
 import public_tokenizers as P
 import pytest
+import regex
+import xxhash
 from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
@@ -135,14 +138,89 @@ def test_terms_that_disclose_an_entity_go(spark):
     docs = spark.createDataFrame([(d, t, len(t)) for d, t in rows], "doc_id long, text string, n_chars long")
     # a name that also stands alone elsewhere is not confined to the address
     elsewhere = docs.union(spark.createDataFrame([(None, "Zebediah", 8)], docs.schema))
-    assert not any(s["kind"] == "term" and s["value"] == "Zebediah" for r in pii.all_spans(elsewhere).collect() for s in r["spans"])
+    assert not any(s["kind"] == "term" and s["value"] == "Zebediah" for r in pii.all_spans(elsewhere, alpha=1.0).collect() for s in r["spans"])
     found = {r["id"]: [s["value"] for s in r["spans"] if s["kind"] == "term"] for r in pii.all_spans(docs).collect()}
     assert all("Zebediah" in found[30 + i] for i in range(4)) and not any(found[i] for i in range(30))
     clean = by_id(pii.sanitised(docs))
     assert "Zebediah" not in clean[30]["text"] and "[EMAIL]" in clean[30]["text"] and "[REMOVED]" in clean[30]["text"]
     assert clean[90]["text"] == "Today words of texts stand"
     spans = F.array(F.struct(F.lit(0).alias("start"), F.lit(4).alias("rank"), F.lit(4).alias("end"), F.lit("term").alias("kind"), F.lit("Rome").alias("value")))
-    assert spark.range(1).select(pii.redacted(F.lit("Rome is old"), spans, {"rome": "a city"}).alias("t")).first()["t"] == "a city is old"
+    labels = F.create_map(F.lit("rome"), F.lit("a city"))
+    assert spark.range(1).select(pii.redacted(F.lit("Rome is old"), spans, labels).alias("t")).first()["t"] == "a city is old"
+
+
+def brute_terms(rows, alpha):
+    """(term, entity) -> (pmi, information) of disclosing terms, by counting every pair of the corpus."""
+    white = " \t\n\x0b\f\r"
+    held_by, holders, near, mentions = {}, {}, {}, {}
+    for key in {(d, t or "") for d, t in rows}:
+        text = key[1]
+        for t in {m.lower() for m in regex.findall(pii.TERM, text)}:
+            held_by.setdefault(t, set()).add(key)
+        for span in [s.split(":") for s in h.base_spans(text).split(",") if s]:
+            start, end = int(span[1]), int(span[2])
+            entity = (span[0] + ":" + text[start:end]).lower()
+            low, cut = max(start - pii.CONTEXT_CHARS, 0), text[end : end + pii.CONTEXT_CHARS]
+            left = text[low:start] if not low else text[low:start].lstrip("".join(set(text) - set(white)))
+            left, cut = (left.rstrip("".join(set(text) - set(white)))), (cut if len(cut) < pii.CONTEXT_CHARS else cut.rstrip("".join(set(text) - set(white))))
+            around = left + " " + cut.lstrip("".join(set(text) - set(white)))
+            context = xxhash.xxh64_intdigest(around.encode(), 42)
+            context -= (context >> 63) << 64
+            holders.setdefault(entity, set()).add(key)
+            mentions.setdefault((entity, key), set()).add(context)
+            for t in {m.lower() for m in regex.findall(pii.TERM, around)}:
+                near.setdefault((entity, t), set()).add(context)
+    n, out = len({(d, t or "") for d, t in rows}), {}
+    for entity, keys in holders.items():
+        for t in {t for t, where in held_by.items() if where & keys}:
+            both = held_by[t] & keys
+            evidence = near.get((entity, t), set()) | {min(mentions[entity, k]) for k in both}
+            pmi, information = math.log2(n * len(both) / (len(keys) * len(held_by[t]))), math.log2(n / len(keys))
+            if len(evidence) >= pii.MIN_CONTEXTS and information > 0 and pmi >= alpha * information - 1e-9:
+                out[t, entity] = (pmi, information)
+    return out
+
+
+def test_terms_of_documents_equal_a_count_of_all_pairs(spark, sf):
+    larger = sf.replace("0.001", "0.01")
+    rows = [tuple(r) for r in spark.read.parquet(f"{larger}/documents.parquet").select("doc_id", "text").collect()]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {(r["term"], r["entity"]): (r["pmi"], r["information"]) for r in pii.disclosing_terms(frame, pii.entities(frame)).collect()}
+    want = brute_terms(rows, pii.ALPHA)
+    assert set(got) == set(want) and got
+    assert all(abs(got[k][0] - want[k][0]) < 1e-9 and abs(got[k][1] - want[k][1]) < 1e-9 for k in got)
+    terms = {t for t, _ in want}
+    texts = dict(rows)
+    for r in QUERIES["op3_pii"](spark, larger).collect():
+        text = texts[r["doc_id"]] or ""
+        base = [s for s in h.base_spans(text).split(",") if s]
+        cut = [(int(a), int(b)) for _, a, b in (s.split(":") for s in base)]
+        spans = [f"term:{m.start()}:{m.end()}" for m in regex.finditer(pii.TERM, text) if m[0].lower() in terms and not any(m.start() < b and a < m.end() for a, b in cut)]
+        assert sorted(r["spans"].split(",") if r["spans"] else []) == sorted(base + spans), r["doc_id"]
+
+
+def test_rows_that_share_an_id_get_their_own_terms(spark):
+    fill = [(i, f"plain words number{i} of other texts stand here") for i in range(30)]
+    near = [(100 + i, f"word{i} ask Zebediah at zeb@mail.example.com about word{i + 50} today") for i in range(4)]
+    twin = (100, "an innocent text under the same id but nothing else")
+    docs = spark.createDataFrame([(*r, "own", 7) for r in [*fill, *near, twin, (None, near[0][1])]], "doc_id long, text string, __new string, row int")
+    clean = pii.sanitised(docs)
+    assert clean.columns == docs.columns
+    texts = [r["text"] for r in clean.filter("doc_id = 100").collect()]
+    assert twin[1] in texts and sum("[EMAIL]" in t and "Zebediah" not in t for t in texts) == 1
+    assert "Zebediah" not in clean.filter("doc_id IS NULL").first()["text"] and clean.filter("__new = 'own' AND row = 7").count() == 36
+
+
+def test_terms_are_generalised_where_a_broader_one_is_safe(spark):
+    names = ["zebediah", "amelia", "bruno", "clara"]
+    fill = [(i, f"plain words number{i} of {names[1 + i % 3]} stand here") for i in range(60)]
+    near = [(100 + i, f"word{i} ask Zebediah at zeb@mail.example.com about Quorley word{i + 50} today") for i in range(4)]
+    docs = spark.createDataFrame([*fill, *near], "doc_id long, text string")
+    taxonomy = spark.createDataFrame([(n, "person") for n in names] + [("quorley", "hamlet"), ("hamlet", "place")], "term string, broader string")
+    clean = by_id(pii.sanitised(docs, taxonomy=taxonomy))
+    # person covers all names and so says little; hamlet and place cover nothing but the disclosing term
+    assert "ask person at [EMAIL] about [REMOVED]" in clean[100]["text"]
+    assert clean[5]["text"] == fill[5][1]
 
 
 def test_terms_far_from_their_entity_are_found(spark):
