@@ -213,7 +213,7 @@ def test_rows_that_share_an_id_get_their_own_terms(spark):
 
 def test_terms_are_generalised_where_a_broader_one_is_safe(spark):
     names = ["zebediah", "amelia", "bruno", "clara"]
-    fill = [(i, f"plain words number{i} of {names[1 + i % 3]} stand here") for i in range(60)]
+    fill = [(i, f"ask about plain words number{i} of {names[1 + i % 3]} at a word today") for i in range(60)]
     near = [(100 + i, f"word{i} ask Zebediah at zeb@mail.example.com about Quorley word{i + 50} today") for i in range(4)]
     docs = spark.createDataFrame([*fill, *near], "doc_id long, text string")
     taxonomy = spark.createDataFrame([(n, "person") for n in names] + [("quorley", "hamlet"), ("hamlet", "place")], "term string, broader string")
@@ -334,10 +334,41 @@ def test_exact_copies(rows, docs, empty, spark):
     assert sorted((r["doc_id"] is None, r["doc_id"]) for r in exact_dedup.kept_rows(tied).collect()) == [(False, 1), (False, 3), (True, None)]
 
 
-def test_directory_doubles_where_cells_are_crowded():
-    buckets = exact_dedup.directory({0: 50, 1: 50, 900: 3}, 60, depth=10)
-    assert sorted(x for lo, hi, _ in buckets for x in range(lo, hi + 1)) == list(range(1024))
-    assert {d for lo, hi, d in buckets if lo in (0, 1) and lo == hi} == {10} and min(d for *_, d in buckets) == 1
+def test_directory_doubles_where_cells_are_crowded(spark):
+    cells = {0: 50, 1: 50, 900: 3}  # hashes by their first ten bits
+    hashes = [((c << 54) | i) - ((c >> 9) << 64) for c, n in cells.items() for i in range(n)]
+    counts = spark.createDataFrame([(x,) for x in hashes], "h64 long")
+    got = {r["cell"]: (r["depth"], r["bucket"]) for r in exact_dedup.directory(counts, 10, 60).collect()}
+    assert sorted(got) == list(range(1024))
+    assert got[0] == (10, 0) and got[1] == (10, 1) and got[900] == (1, 512) and got[2] == (9, 2) and got[3] == (9, 2)
+    shared = Counter(got.values())
+    assert all(n == 1 << (10 - depth) for (depth, _), n in shared.items())
+    alone = exact_dedup.directory(counts.limit(3), 0, 60).collect()
+    assert [tuple(r) for r in alone] == [(0, 0, 0)]
+
+
+def test_rows_find_their_copies_through_the_directory(spark, monkeypatch):
+    rows = [(i, f"text {i % 40}") for i in range(120)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    found = {r["id"]: r for r in exact_dedup.build_index(docs, capacity=4).collect()}
+    assert all(found[i]["keep_id"] == i % 40 and found[i]["group_size"] == 3 for i in found)
+    assert len({r["bucket"] for r in found.values()}) > 5
+    # a directory that sends each row to two buckets finds every copy twice: rows go where it says
+    wrong = spark.createDataFrame([(0, 0, 0), (0, 0, 1)], "cell int, depth int, bucket int")
+    assert sorted(exact_dedup.build_index(docs, cells=wrong, depth=0).groupBy("bucket").count().collect()) == [(0, 120), (1, 120)]
+    # hot hashes are combined before they are shuffled, and found by whole text or by digest
+    monkeypatch.setattr(exact_dedup, "HOT_ROWS", 3)
+    for most in (8_000_000, 0):
+        monkeypatch.setattr(exact_dedup, "MOST_BROADCAST_BYTES", most)
+        hot = {r["id"]: r for r in exact_dedup.build_index(docs, capacity=4).collect()}
+        assert all(hot[i]["keep_id"] == i % 40 and hot[i]["group_size"] == 3 and hot[i]["sha"] == found[i]["sha"] for i in range(120))
+        assert sorted(r["doc_id"] for r in exact_dedup.kept_rows(docs).collect()) == list(range(40))
+
+
+def test_inner_names_do_not_clash_with_columns(spark):
+    docs = spark.createDataFrame([(1, "a  b", 5, "x", 7), (2, "a b", 6, "y", 8), (3, None, 7, "z", 9)], "doc_id long, text string, row int, h64 string, bucket int")
+    kept = exact_dedup.kept_rows(docs)
+    assert kept.columns == docs.columns and sorted(r["row"] for r in kept.collect()) == [5, 7]
 
 
 # --- 7 byte-level BPE ---
