@@ -21,8 +21,8 @@ from __future__ import annotations
 import base64
 import re
 from array import array
+from bisect import insort
 from collections.abc import Iterable, Iterator
-from itertools import takewhile
 
 import numpy as np
 import pyarrow as pa
@@ -32,10 +32,8 @@ from pyspark.sql import functions as F
 
 from hotkeys.llm.common import table, text_of
 
-MAX_STATES = 150_000
+MAX_STATES = 350_000
 MAX_KNOWN = 400_000
-#: After so many meetings a move is worth keeping.
-MEETINGS = 4
 #: Stands for the end of a pre-token among the bytes.
 _END = 256
 
@@ -113,6 +111,7 @@ class Transducer:
 
     def __init__(self, merges: Merges):
         self.merges = merges
+        self.bytes = [bytes((b,)) for b in range(256)]
         self.clear()
 
     def clear(self) -> None:
@@ -124,7 +123,6 @@ class Transducer:
         self.pending: list[bytes] = [b""]
         self.chains: list[list[int | None]] = [[-1]]
         self.moves: dict[int, tuple[int, tuple[int, ...]]] = {}
-        self.met: dict[int, int] = {}
 
     def _extend(self, tokens: list[int | None], pending: bytes) -> None:
         """Append to tokens the last token of each longer prefix of pending, given those of the shorter.
@@ -153,37 +151,52 @@ class Transducer:
                 break
             tokens.append(found)
 
-    def _path(self, tokens: list[int | None], end: int) -> list[int]:
-        """Where the tokens of the first `end` pending bytes end, from 0 on."""
-        size, cuts = self.merges.size, [end]
-        while cuts[-1]:
-            cuts.append(cuts[-1] - size[tokens[cuts[-1]]])
-        return cuts[::-1]
+    def _path(self, tokens: list[int | None], end: int, start: int = 0) -> list[int]:
+        """The tokens between `start` and the first `end` pending bytes, in order."""
+        size, out = self.merges.size, []
+        while end > start:
+            out.append(tokens[end])
+            end -= size[tokens[end]]
+        return out[::-1]
 
     def _make(self, state: int, byte: int) -> tuple[int, tuple[int, ...]]:
+        """The move from a state by a byte or the end, and the state that it leads to if that is new.
+
+        A state's chain is worked out when a move has to emit something, not before.
+        """
         pending, tokens = self.pending[state >> 9], self.chains[state >> 9]
         if byte == _END:
-            return 0, tuple([tokens[c] for c in self._path(tokens, len(pending))[1:]])
-        pending += bytes((byte,))
-        tokens = list(tokens)
-        self._extend(tokens, pending)
-        starts, size = self.merges.starts, self.merges.size
+            self._extend(tokens, pending)
+            return 0, tuple(self._path(tokens, len(pending)))
+        pending += self.bytes[byte]
+        starts = self.merges.starts
         if pending in starts:  # one token may yet cover all that is pending
             return self._state(pending, tokens), ()
-        n = len(pending)
+        tokens = list(tokens)
+        self._extend(tokens, pending)
+        n, size = len(pending), self.merges.size
         live = [k for k in range(1, n + 1) if tokens[k] is not None and (k == n or pending[k:] in starts)]
-        shared = self._path(tokens, live[0])
-        for k in live[1:]:
-            shared = [x for x, _ in takewhile(lambda xy: xy[0] == xy[1], zip(shared, self._path(tokens, k), strict=False))]
-        cut = shared[-1]
-        chain = tokens
-        if cut:
-            chain = [tokens[cut]]
-            for k in range(cut + 1, n + 1):
-                token = tokens[k]
-                at = k - cut - size[token] if token is not None else -1
-                chain.append(token if at >= 0 and chain[at] is not None else None)
-        return self._state(pending[cut:], chain), tuple([tokens[c] for c in shared[1:]])
+        cut = live.pop()
+        while live:  # the last place that the tokens of all live prefixes share
+            cut -= size[tokens[cut]]
+            if cut == live[-1]:
+                live.pop()
+            elif cut < live[-1]:
+                live[-1], cut = cut, live[-1]
+                if len(live) > 1 and live[-1] <= live[-2]:
+                    low = live.pop()
+                    if low != live[-1]:
+                        insort(live, low)
+            if not cut:
+                break
+        if not cut:
+            return self._state(pending, tokens), ()
+        chain = [tokens[cut]]
+        for k in range(cut + 1, n + 1):
+            token = tokens[k]
+            at = k - cut - size[token] if token is not None else -1
+            chain.append(token if at >= 0 and chain[at] is not None else None)
+        return self._state(pending[cut:], chain), tuple(self._path(tokens, cut))
 
     def _state(self, pending: bytes, chain: list[int | None]) -> int:
         name = (chain[0], pending)
@@ -191,43 +204,26 @@ class Transducer:
         if number is None:
             number = self.states[name] = len(self.pending) << 9
             self.pending.append(pending)
-            self.chains.append(chain)
+            self.chains.append(list(chain))
         return number
 
-    def _rest(self, state: int, data: bytes) -> list[int]:
-        """What is emitted from state on if data is all that follows, without making states."""
-        pending, tokens, size = self.pending[state >> 9] + data, list(self.chains[state >> 9]), self.merges.size
-        self._extend(tokens, pending)
-        out, at = [], len(pending)
-        while at:
-            token = tokens[at]
-            out.append(token)
-            at -= size[token]
-        return out[::-1]
-
     def encode(self, data: bytes) -> list[int]:
-        """Ids of one pre-token.
-
-        A move is made when it has been met MEETINGS times; until then, what is left of a short
-        pre-token is worked out from the state, since most pre-tokens with a new move are new words.
-        """
+        """Ids of one pre-token: a move for each byte and one for the end, made when first met."""
         if len(self.pending) > MAX_STATES:
             self.clear()
-        if len(self.met) > 2 * MAX_STATES:
-            self.met.clear()
         out: list[int] = []
-        state, moves, met, short = 0, self.moves, self.met, len(data) <= 64
-        for at, byte in enumerate((*data, _END)):
+        state, moves = 0, self.moves
+        for byte in data:
             move = moves.get(state + byte)
             if move is None:
-                times = met.get(state + byte, 0)
-                if short and times < MEETINGS:
-                    met[state + byte] = times + 1
-                    return out + self._rest(state, data[at:])
                 move = moves[state + byte] = self._make(state, byte)
             state = move[0]
             if move[1]:
                 out += move[1]
+        move = moves.get(state + _END)
+        if move is None:
+            move = moves[state + _END] = self._make(state, _END)
+        out += move[1]
         return out
 
 

@@ -384,7 +384,7 @@ def bpe():
 
 def test_bpe_equals_the_library(bpe, small, rows):
     own, library = bpe
-    for _ in range(3):  # new words, moves made at the second meeting, and known words
+    for _ in range(3):  # new words, and moves that are there already
         for _, text in [*small, *rows]:
             assert own.encode(text or "") == library.encode_ordinary(text or "")
         own.known.clear()
