@@ -13,7 +13,7 @@ joined. So no link between buckets' members is lost and no group is expanded int
 
 Sets are 64-bit shingle hashes. Defined results: null or wordless text has an empty set, links with
 nothing and is its own component; fewer words than a shingle make one shingle; rows with a null
-id are not compared: `near_duplicates` leaves them out, `kept_rows` keeps them; rows that repeat an
+id are not compared: they are linked with nothing, have a null component and are kept; rows that repeat an
 id share its fate; other columns are not touched.
 """
 
@@ -31,8 +31,11 @@ from hotkeys.llm.common import sized_broadcast, table, text_of, written
 from hotkeys.llm.components import components
 
 FUNCTIONS, BANDS, ROWS = 126, 42, 6
-#: Least share of equal signature bytes with which a pair is worth confirming: four deviations low.
-LIKELY = 0.7
+#: Least share of equal signature bytes with which a pair is worth confirming. A pair at the threshold has fewer
+#: with a chance of 2e-13 (binomial), far under that of sharing no band.
+LIKELY = 0.6
+#: Rows of one shingle set from which on its class travels to the rows instead of the rows to one task.
+HOT_ROWS = 1_000
 BLOCK = 1_500
 MAX_KNOWN = 100_000
 _RANDOM = np.random.Generator(np.random.PCG64(20240917))
@@ -114,7 +117,7 @@ def signature_bytes(found: np.ndarray) -> np.ndarray:
 
 def sketches(docs: DataFrame, k: int, id_col: str, text_col: str) -> DataFrame:
     """id, n (set size), set_hi and set_lo (128-bit digest of the set), bands and sig."""
-    asked = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), text_of(text_col).alias("text"))
+    asked = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), text_of(text_col).alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = _Words()
@@ -249,16 +252,17 @@ def links_across(crowded: DataFrame, percent: int) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, n_shingles and component of every row with an id; needs no order among rows."""
+    """id, n_shingles and component of every row; needs no order among rows."""
     spark = docs.sparkSession
-    made = written(spark, sketches(docs, k, id_col, text_col), "sketches")
-    classes = written(spark, made.filter("n > 0").groupBy("set_hi", "set_lo").agg(F.min("id").alias("rep")), "set-classes")
+    rows = written(spark, sketches(docs, k, id_col, text_col), "sketches")
+    made = rows.filter("n > 0 AND id IS NOT NULL")
+    classes = written(spark, made.groupBy("set_hi", "set_lo").agg(F.min("id").alias("rep"), F.count("*").alias("size")), "set-classes")
     reps = made.join(classes.select(F.col("rep").alias("id")), "id", "left_semi").select("id", "n", "bands", "sig")
     banded = reps.select("id", "n", F.posexplode("bands").alias("band", "key"))
     leaders = banded.groupBy("key").agg(F.min(F.struct("id", "n")).alias("lead"), F.count("*").alias("k")).filter("k > 1")
     shared = written(spark, banded.join(leaders, "key").select("key", "band", "id", "n", "k", F.col("lead.id").alias("lead"), F.col("lead.n").alias("lead_n")), "shared-bands")
     pairs = written(spark, shared.filter("id <> lead AND " + _fits("n", "lead_n", percent)).select(F.col("lead").alias("a"), F.col("id").alias("b")).distinct(), "leader-pairs")
-    own = docs.filter(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), text_of(text_col).alias("text"))
+    own = docs.select(F.col(f"`{id_col}`").cast("long").alias("id"), text_of(text_col).alias("text")).filter("id IS NOT NULL")
 
     def texts_of(ids: DataFrame) -> DataFrame:
         return own.join(sized_broadcast(ids, ids.count(), 500_000), "id", "left_semi")
@@ -273,18 +277,31 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str
     known = made.select("id", "sig", "bands").dropDuplicates(["id"]).join(full_sets(texts_of(rest).dropDuplicates(["id"]), k), "id")
     more = written(spark, links_across(crowded.join(known, "id"), percent), "more-links")
     final = first if more.isEmpty() else written(spark, components(spark, links.union(more)), "components")
-    by_class = classes.join(final.withColumnRenamed("id", "rep"), "rep", "left").select("set_hi", "set_lo", F.coalesce("component", "rep").alias("component"))
-    out = made.select("id", "n", F.when(F.col("n") > 0, F.col("set_hi")).alias("set_hi"), "set_lo").join(by_class, ["set_hi", "set_lo"], "left")
-    return out.select("id", F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component"))
+    digest = ["set_hi", "set_lo"]
+    by_class = classes.join(final.withColumnRenamed("id", "rep"), "rep", "left").select(*digest, "size", F.coalesce("component", "rep").alias("component"))
+    hot = written(spark, by_class.filter(F.col("size") >= HOT_ROWS), "hot-classes")  # at most one for each HOT_ROWS rows
+    n_hot = hot.count()
+    slim = made.select("id", "n", *digest)
+    if n_hot:
+        few = sized_broadcast(hot, n_hot, 500_000)
+        cold = slim.join(few.select(*digest), digest, "left_anti").join(by_class.filter(F.col("size") < HOT_ROWS), digest)
+        joined = slim.join(few, digest).select("id", "n", "component").unionByName(cold.select("id", "n", "component"))
+    else:
+        joined = slim.join(by_class, digest).select("id", "n", "component")
+    alone = rows.filter("n = 0 OR id IS NULL").select("id", "n", F.col("id").alias("component"))
+    return joined.unionByName(alone).select("id", F.col("n").alias("n_shingles"), "component")
 
 
 def kept_rows(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One document of each component, with the columns of docs."""
     spark = docs.sparkSession
-    gone = written(spark, near_duplicates(docs, k, percent, id_col, text_col).filter("id <> component").select(F.col("id").alias("__gone")).distinct(), "near-copies")
-    return docs.join(sized_broadcast(gone, gone.count(), 500_000), F.col(f"`{id_col}`").cast("long") == F.col("__gone"), "left_anti")
+    gone = written(spark, near_duplicates(docs, k, percent, id_col, text_col).filter("id <> component").select(F.col("id").alias("gone")).distinct(), "near-copies")
+    # the input's row stays apart, whatever its names are
+    rows = docs.select(F.struct("*").alias("row"))
+    left = rows.join(sized_broadcast(gone, gone.count(), 500_000), F.col(f"row.`{id_col}`").cast("long") == F.col("gone"), "left_anti")
+    return left.select(*[F.col(f"row.`{c}`") for c in docs.columns])
 
 
 def op9_minmax_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicates(table(spark, sf_dir, "documents"), k=4)
-    return found.select(F.col("id").alias("doc_id"), "n_shingles", F.col("component").alias("component_id"), (F.col("id") == F.col("component")).alias("kept"))
+    return found.select(F.col("id").alias("doc_id"), "n_shingles", F.col("component").alias("component_id"), F.col("id").eqNullSafe(F.col("component")).alias("kept"))
