@@ -27,13 +27,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hotkeys.llm.common import table, text_of, written
+from hotkeys.llm.common import sized_broadcast, table, text_of, written
 
 WINDOW = 100
 GRAM = 40
 CHUNK_BYTES = 131_072
 #: Bytes of contexts that are suffix-sorted at once; whole anchors only.
 SORT_BYTES = 4_000_000
+#: Contexts of one anchor from which on its windows are dealt over all tasks.
+CROWDED = 1_000
 LAST_ID = (1 << 63) - 1
 
 _RANDOM = np.random.Generator(np.random.PCG64(7_2024))
@@ -41,6 +43,7 @@ _GRAM_BYTES = _RANDOM.integers(0, 1 << 64, 256, np.uint64)
 _CONTEXT_BYTES = _RANDOM.integers(0, 1 << 64, 256, np.uint64)
 _BASE = np.uint64(0xD1342543DE82EF95)
 _MIX = np.uint64(0x9E3779B97F4A7C15)
+_OTHER_BASE = np.uint64(0xC2B2AE3D27D4EB4F)
 
 
 def _powers(base: np.uint64, n: int) -> np.ndarray:
@@ -142,15 +145,22 @@ def batch_rows(ids: np.ndarray, texts: list[bytes]) -> tuple[np.ndarray, ...]:
         parts.append((ids[own][row] if len(row) else np.empty(0, np.int64), *rest))
         at = end
     doc, a, span, off, anchor, context = (np.concatenate([p[i] for p in parts]) if parts else np.empty(0, np.int64) for i in range(6))
-    key = anchor.view(np.uint64) + context.view(np.uint64) * _MIX
-    by_key = np.argsort(key, kind="stable")  # rows come in order of id and start, so each key's first is its earliest
-    sorted_key, sorted_doc, sorted_a = key[by_key], doc[by_key], a[by_key]
-    head = np.ones(len(key), bool)
-    head[1:] = sorted_key[1:] != sorted_key[:-1]
-    lead = np.flatnonzero(head)[np.cumsum(head) - 1] if len(key) else by_key
-    repeat = np.zeros(len(key), bool)
+    return marked(anchor, context, doc, a, span, off)
+
+
+def marked(anchor: np.ndarray, context: np.ndarray, doc: np.ndarray, a: np.ndarray, span: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, ...]:
+    """anchor, context, id and place of rows given in order of id and start; all but the first of equal ones are marked.
+
+    Rows are equal if both hashes, 128 bits, are. Marked rows need no further look and are spread over all tasks.
+    """
+    by_key = np.lexsort((context, anchor))  # stable, so each key's first is its earliest
+    sorted_anchor, sorted_context, sorted_doc, sorted_a = anchor[by_key], context[by_key], doc[by_key], a[by_key]
+    head = np.ones(len(anchor), bool)
+    head[1:] = (sorted_anchor[1:] != sorted_anchor[:-1]) | (sorted_context[1:] != sorted_context[:-1])
+    lead = np.flatnonzero(head)[np.cumsum(head) - 1] if len(anchor) else by_key
+    repeat = np.zeros(len(anchor), bool)
     repeat[by_key] = ~head & ((sorted_doc != sorted_doc[lead]) | (sorted_a != sorted_a[lead]))
-    spread = np.where(repeat, _mixed(key + np.arange(len(key), dtype=np.uint64)).view(np.int64), anchor)
+    spread = np.where(repeat, _mixed(anchor.view(np.uint64) + np.arange(len(anchor), dtype=np.uint64)).view(np.int64), anchor)
     return spread, context, doc, _packed(a, span, off, repeat)
 
 
@@ -329,14 +339,63 @@ def sorted_repeats(found: DataFrame) -> DataFrame:
     return dealt.mapInArrow(run, "id long, a long, b long")
 
 
-def removed_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def window_pointers(data: np.ndarray, base: np.uint64, start: np.ndarray) -> np.ndarray:
+    """Bucket pointers at depth 100 of the windows at start, named by hashes, so that tasks can make them apart.
+
+    As in the refinement, a pointer at twice the depth is made of two pointers: that of the place and that of the place behind it.
+    """
+    pointer, depth = _CONTEXT_BYTES[data] * base, 1
+    while 2 * depth <= WINDOW:
+        pointer = _mixed(pointer[:-depth] * base + pointer[depth:])
+        depth *= 2
+    return _mixed(pointer[start] * base + pointer[start + WINDOW - depth] * _MIX).view(np.int64)
+
+
+def pointed_repeats(found: DataFrame) -> DataFrame:
+    """Repeats (id, a, b) among the contexts of crowded anchors, window by window over all tasks.
+
+    A batch marks what repeats in it; of the rest each window goes to the task of its pointers.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 2_000):
+                part = batch.slice(at, 2_000)
+                order = np.lexsort((part.column("a").to_numpy(), part.column("id").to_numpy()))
+                cuts = part.column("bytes").take(pa.array(order)).to_pylist()
+                doc, first = part.column("id").to_numpy()[order], part.column("a").to_numpy()[order]
+                sizes = np.array([len(c) for c in cuts])
+                windows = sizes - WINDOW + 1
+                row = np.repeat(np.arange(len(cuts)), windows)
+                inside = np.arange(len(row)) - np.repeat(np.cumsum(windows) - windows, windows)
+                start = (np.cumsum(sizes) - sizes)[row] + inside
+                data = np.frombuffer(b"".join(cuts), np.uint8)
+                none = np.zeros(len(row), np.int64)
+                arrays = marked(window_pointers(data, _BASE, start), window_pointers(data, _OTHER_BASE, start), doc[row], first[row] + inside, none, none)
+                for lo in range(0, len(row), 100_000):
+                    yield pa.RecordBatch.from_arrays([pa.array(x[lo : lo + 100_000]) for x in arrays], ["anchor", "context", "id", "place"])
+
+    return settled(found.select("id", "a", "bytes").mapInArrow(run, "anchor long, context long, id long, place long")).filter("NOT open").select("id", "a", "b")
+
+
+def removed_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", crowded: int = CROWDED) -> DataFrame:
     """id, text and runs: the repeated windows' first and last starts, null where there is none."""
     spark = docs.sparkSession
-    texts = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(LAST_ID)).alias("id"), text_of(text_col).alias("text"))
+    texts = docs.select(F.coalesce(F.col(f"`{id_col}`").cast("long"), F.lit(LAST_ID)).alias("id"), text_of(text_col).alias("text"))
     known = written(spark, settled(runs(texts)), "repeat-runs")
     dealt = texts.repartition("id")  # both joins read this exchange
     opened = known.filter("open").select("id", "anchor", "a", "b")
-    spans = known.filter("NOT open").select("id", "a", "b").union(sorted_repeats(contexts(dealt, opened)))
+    spans = known.filter("NOT open").select("id", "a", "b")
+    # anchors with so many contexts are few: at most one for each `crowded` open runs
+    busy = written(spark, opened.groupBy("anchor").agg(F.count("*").alias("n")).filter(F.col("n") > crowded).select("anchor"), "crowded-anchors")
+    n_busy = busy.count()
+    found = contexts(dealt, opened)
+    if n_busy:
+        few = sized_broadcast(busy, n_busy, 500_000)
+        found = written(spark, found, "contexts")
+        spans = spans.union(pointed_repeats(found.join(few, "anchor", "left_semi")))
+        found = found.join(few, "anchor", "left_anti")
+    spans = spans.union(sorted_repeats(found))
     return dealt.join(spans.groupBy("id").agg(F.collect_list(F.struct("a", "b")).alias("runs")), "id", "left").select("id", "text", "runs")
 
 
