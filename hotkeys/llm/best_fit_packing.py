@@ -22,6 +22,7 @@ from array import array
 from bisect import bisect_right
 from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -33,9 +34,10 @@ from hotkeys.llm.common import table, text_of, written
 
 CAPACITY = 4096
 MAX_KNOWN = 700_000
-#: Steps of the search after which the incumbent is the answer.
+#: Steps of the search after which the incumbent is the answer; `packed` tells whether it is proved best, and with
+#: None for this and BRANCHES searches on until it is.
 SEARCH_STEPS = 20_000
-#: Fillings looked at for one piece; they come best first.
+#: Fillings branched over for one piece, the least waste first.
 BRANCHES = 4
 SALT_ROWS = 20_000
 Pattern = tuple[tuple[int, ...], int]
@@ -153,90 +155,124 @@ def best_fit(counts: dict[int, int], capacity: int) -> list[Pattern]:
     return out
 
 
-def fillings(left: dict[int, int], lengths: list[int], free: int, limit: int) -> list[tuple[int, tuple[int, ...]]]:
-    """Undominated fillings of free, least waste first: (waste, lengths).
+def fillings(left: dict[int, int], lengths: list[int], free: int, limit: int | None) -> tuple[list[tuple[int, tuple[int, ...]]], bool]:
+    """Undominated fillings of free, least waste first, as (waste, lengths), and whether these are all.
 
     Only fillings into which nothing left fits are kept, and of these the ones in which no single
-    piece could give way to a longer one; a filling without waste ends the search.
+    piece could give way to a longer one; a filling without waste ends the search. With a limit that many are
+    returned, from the first that are met, and each level tries that many lengths.
     """
     found: dict[tuple[int, ...], int] = {}
-    steps = 0
+    steps, whole = 0, True
 
     def dominated(filling: tuple[int, ...], waste: int) -> bool:
         used = Counter(filling)
         for length in used:
             better = bisect_right(lengths, length + waste) - 1
-            if better >= 0 and lengths[better] > length and left[lengths[better]] > used[lengths[better]]:
-                return True
+            while better >= 0 and lengths[better] > length:
+                if left[lengths[better]] > used[lengths[better]]:
+                    return True
+                better -= 1
         return False
 
     def search(at: int, room: int, filling: tuple[int, ...], used: Counter[int]) -> bool:
         """True when the search may stop."""
-        nonlocal steps
+        nonlocal steps, whole
         steps += 1
         at = min(at, bisect_right(lengths, room) - 1)
-        placed = False
         tries = 0
         for i in range(at, -1, -1):
             length = lengths[i]
             if left[length] - used[length] <= 0:
                 continue
-            placed = True
+            if limit is not None and (tries >= limit or steps > 60 * limit and tries):
+                whole = False
+                break
             used[length] += 1
             stop = search(i, room - length, (*filling, length), used)
             used[length] -= 1
             tries += 1
             if stop:
                 return True
-            if tries >= limit or steps > 60 * limit:
-                break
-        if not placed:
+        # in descending order a shorter piece may still fit where it was passed over: then nothing is full
+        if not any(length <= room and left[length] > used[length] for length in lengths[: bisect_right(lengths, room)]):
             if not dominated(filling, room):
                 found[filling] = room
+            if limit is None:
+                return False
+            if len(found) >= 8 * limit:
+                whole = False
             return room == 0 or len(found) >= 8 * limit
         return False
 
     search(len(lengths) - 1, free, (), Counter())
-    return sorted((waste, filling) for filling, waste in found.items())[:limit]
+    best = sorted((waste, filling) for filling, waste in found.items())
+    if best and not best[0][0] and limit is not None:
+        whole = whole and len(best) <= limit
+    return (best, whole) if limit is None else (best[:limit], whole and len(best) <= limit)
+
+
+@dataclass(frozen=True)
+class Packing:
+    """A plan, its bins, the least number that any plan needs, and whether the plan is known to have the fewest."""
 
+    plan: list[Pattern]
+    bins: int
+    least: int
+    proved: bool
 
-def pack(counts: dict[int, int], capacity: int = CAPACITY, steps: int = SEARCH_STEPS) -> list[Pattern]:
-    """Patterns (lengths, how often) that use every piece once, in as few bins as the search finds."""
+
+def packed(counts: dict[int, int], capacity: int = CAPACITY, steps: int | None = SEARCH_STEPS, branches: int | None = BRANCHES) -> Packing:
+    """Patterns (lengths, how often) that use every piece once, in as few bins as the search finds.
+
+    With steps and branches None the search is exact: every undominated filling of every bin, laid once at a
+    time. Otherwise fillings are laid as often as the counts allow, and what is cut off shows in `proved`.
+    """
     counts = {k: n for k, n in counts.items() if n > 0}
     if not counts:
-        return []
+        return Packing([], 0, 0, True)
     best = best_fit(counts, capacity)
     best_bins = sum(n for _, n in best)
     total = sum(k * n for k, n in counts.items())
-    least = -(-total // capacity)
-    budget = steps
-
-    def search(left: dict[int, int], lengths: list[int], waste: int, bins: int, plan: list[Pattern]) -> None:
-        nonlocal best, best_bins, budget
-        stack = [(left, lengths, waste, bins, plan)]
-        while stack and best_bins > least and budget > 0:
-            left, lengths, waste, bins, plan = stack.pop()
-            if not lengths:
-                if bins < best_bins:
-                    best, best_bins = plan, bins
-                continue
-            if waste > (best_bins - 1) * capacity - total:
+    least = max(-(-total // capacity), sum(n for k, n in counts.items() if 2 * k > capacity))
+    whole, exact = True, steps is None and branches is None
+    seen: dict[tuple, int] = {}
+    stack: list[tuple[dict[int, int], list[int], int, int, list[Pattern]]] = [(counts, sorted(counts), 0, 0, [])]
+    while stack and best_bins > least:
+        if steps is not None and steps <= 0:
+            whole = False
+            break
+        left, lengths, waste, bins, plan = stack.pop()
+        if not lengths:
+            if bins < best_bins:
+                best, best_bins = plan, bins
+            continue
+        if waste > (best_bins - 1) * capacity - total:
+            continue
+        if exact:
+            state = tuple((k, left[k]) for k in lengths)
+            if seen.get(state, best_bins) <= bins:
                 continue
-            longest = lengths[-1]
-            rest = dict(left)
-            rest[longest] -= 1
-            options = fillings(rest, lengths, capacity - longest, BRANCHES) or [(capacity - longest, ())]
-            for lost, filling in reversed(options):  # the least waste is popped first
-                used = Counter((longest, *filling))
-                times = min(left[k] // n for k, n in used.items())
-                after = dict(left)
-                for k, n in used.items():
-                    after[k] -= n * times
-                budget -= 1
-                stack.append((after, [k for k in lengths if after[k] > 0], waste + lost * times, bins + times, [*plan, ((longest, *filling), times)]))
-
-    search(counts, sorted(counts), 0, 0, [])
-    return best
+            seen[state] = bins
+        longest = lengths[-1]
+        rest = dict(left)
+        rest[longest] -= 1
+        options, all_of_them = fillings(rest, lengths, capacity - longest, branches)
+        whole = whole and all_of_them
+        for lost, filling in reversed(options or [(capacity - longest, ())]):  # the least waste is popped first
+            used = Counter((longest, *filling))
+            times = 1 if exact else min(left[k] // n for k, n in used.items())
+            whole = whole and (times == 1)
+            after = dict(left)
+            for k, n in used.items():
+                after[k] -= n * times
+            steps = None if steps is None else steps - 1
+            stack.append((after, [k for k in lengths if after[k] > 0], waste + lost * times, bins + times, [*plan, ((longest, *filling), times)]))
+    return Packing(best, best_bins, least, best_bins == least or whole)
+
+
+def pack(counts: dict[int, int], capacity: int = CAPACITY, steps: int | None = SEARCH_STEPS) -> list[Pattern]:
+    return packed(counts, capacity, steps).plan
 
 
 def slots(plan: list[Pattern]) -> list[tuple[int, int, int, int, int]]:
