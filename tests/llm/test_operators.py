@@ -112,6 +112,17 @@ def test_refined_buckets_are_equal_strings(cuts, repeats):
     assert len(set(bucket.tolist())) == len(set(text))
 
 
+def test_crowded_anchors_give_the_same_spans(spark):
+    r = random.Random(8)
+    line = "licensed under the common terms of this licence text that every page repeats at its foot without any change at all"
+    rows = [(i, "".join(r.choice("abcdefgh ") for _ in range(150)) + line + "".join(r.choice("abcdefgh ") for _ in range(r.randrange(120)))) for i in range(40)]
+    rows += [(50 + i, rows[i][1][100:] + rows[i + 1][1][:130]) for i in range(10)]
+    docs = h.frame(spark, rows)
+    want = {r["id"]: r["runs"] and sorted(tuple(x) for x in r["runs"]) for r in repeated_passages.removed_spans(docs).collect()}
+    got = {r["id"]: r["spans"] for r in repeated_passages.cut_spans(repeated_passages.removed_spans(docs, crowded=2)).collect()}
+    assert got == {r["id"]: r["spans"] for r in repeated_passages.without_repeats(docs).collect()} and any(want.values())
+
+
 # --- 3 PII ---
 
 
@@ -311,6 +322,36 @@ def test_plans_use_every_piece_and_beat_best_fit(counts):
     assert -(-sum(k * n for k, n in counts.items()) // 40) <= bins(plan) <= bins(first)
 
 
+def fewest(pieces, capacity):
+    """Bins by trying every piece in every bin."""
+    pieces = sorted(pieces, reverse=True)
+    best = len(pieces)
+
+    def place(i, bins):
+        nonlocal best
+        if len(bins) >= best:
+            return
+        if i == len(pieces):
+            best = len(bins)
+            return
+        for b in range(len(bins)):
+            if bins[b] >= pieces[i] and bins[b] not in bins[:b]:
+                place(i + 1, [*bins[:b], bins[b] - pieces[i], *bins[b + 1 :]])
+        place(i + 1, [*bins, capacity - pieces[i]])
+
+    place(0, [])
+    return best
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.lists(st.integers(1, 30), min_size=1, max_size=9))
+def test_exact_packing_is_proved_and_best(pieces):
+    done = best_fit_packing.packed(Counter(pieces), 30, None, None)
+    assert done.proved and done.bins == fewest(pieces, 30) == sum(n for _, n in done.plan) and done.bins >= done.least
+    usual = best_fit_packing.packed(Counter(pieces), 30)
+    assert usual.bins >= done.bins and (not usual.proved or usual.bins == done.bins)
+
+
 def test_bin_completion_mends_what_best_fit_wastes():
     counts = {6: 1, 5: 2, 4: 1, 3: 2, 2: 2}  # capacity 10: 6+4, 5+5, 3+3+2+2
     assert sum(n for _, n in best_fit_packing.pack(counts, 10)) == 3
@@ -392,6 +433,14 @@ def test_bpe_equals_the_library(bpe, small, rows):
         assert own.encode(text) == library.encode_ordinary(text)
 
 
+def test_bpe_query_equals_the_library(bpe, small, spark, sf):
+    _, library = bpe
+    got = by_id(QUERIES["op7_byte_bpe"](spark, sf))
+    for d, text in small:
+        ids = library.encode_ordinary(text or "")
+        assert tuple(got[d])[1:4] == (len(ids), h.sha(np.array(ids, "<u4").tobytes()), h.sha((text or "").encode()))
+
+
 @settings(max_examples=300, deadline=None)
 @given(st.text(max_size=60) | st.text("abest' \n\t01é😀漢<|>", max_size=60))
 def test_bpe_of_any_text(bpe, text):
@@ -467,6 +516,20 @@ def test_near_copies(rows, docs, empty, k):
     assert minmax_dedup.kept_rows(empty).count() == 0
 
 
+def test_near_copies_of_documents(spark, sf, small):
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in QUERIES["op9_minmax_dedup"](spark, sf).collect()}
+    assert got == h.near_components(small, 4)
+
+
+def test_large_classes_and_null_ids_are_labelled(spark, monkeypatch):
+    monkeypatch.setattr(minmax_dedup, "HOT_ROWS", 5)
+    rows = [(10 + i, "one two three four five six seven") for i in range(8)] + [(3, "a b c d e f g"), (40, "a b c d e f g"), (50, None), (51, " ")]
+    docs = spark.createDataFrame([*rows, (None, "a b c d e f g")], "doc_id long, text string")
+    found = minmax_dedup.near_duplicates(docs).collect()
+    assert len(found) == 13 and {x["id"]: x["component"] for x in found} == {**{10 + i: 10 for i in range(8)}, 3: 3, 40: 3, 50: 50, 51: 51, None: None}
+    assert sorted(str(r["doc_id"]) for r in minmax_dedup.kept_rows(docs).collect()) == ["10", "3", "50", "51", "None"]
+
+
 def test_chains_and_crowded_buckets_lose_no_link(spark, monkeypatch):
     monkeypatch.setattr(minmax_dedup, "BLOCK", 10)
     r = random.Random(2)
