@@ -2,22 +2,26 @@
 
 from __future__ import annotations
 
+import heapq
 import math
-from collections.abc import Hashable
+from collections.abc import Hashable, Iterable
 
 from hotkeys.kernels.minmax import QueryStats, padded
 from hotkeys.spec import exact, exceeds
 
 
 class MinHeapSummary:
-    """Space-Saving on a min-heap: the least count is at the top, a query looks at every counter."""
+    """Space-Saving on a min-heap: the least count is at the top, a query looks at every counter.
+
+    Slots are lists [count, element, over, place] that move as a whole, as in the min-max heap.
+    """
 
     weighted = True
 
     def __init__(self, m: int):
         self.m = padded(m)
-        self.heap: list[list] = []  # [count, order, element, over]
-        self.place: dict[Hashable, int] = {}
+        self.heap: list[list] = []
+        self.place: dict[Hashable, list] = {}
         self.n = 0
         self.stats = QueryStats()
 
@@ -25,56 +29,82 @@ class MinHeapSummary:
     def f_min(self) -> int:
         return self.heap[0][0] if len(self.heap) == self.m else 0
 
-    def _set(self, i: int, item: list) -> None:
-        self.heap[i] = item
-        self.place[item[2]] = i
-
-    def _up(self, i: int) -> None:
-        item = self.heap[i]
-        while i and self.heap[(i - 1) // 2][0] > item[0]:
-            self._set(i, self.heap[(i - 1) // 2])
-            i = (i - 1) // 2
-        self._set(i, item)
-
-    def _down(self, i: int) -> None:
-        item, size = self.heap[i], len(self.heap)
-        while (k := 2 * i + 1) < size:
-            if k + 1 < size and self.heap[k + 1][0] < self.heap[k][0]:
+    def _up(self, i: int, slot: list) -> None:
+        heap, c = self.heap, slot[0]
+        while i and heap[(i - 1) >> 1][0] > c:
+            above = heap[(i - 1) >> 1]
+            heap[i] = above
+            above[3] = i
+            i = (i - 1) >> 1
+        heap[i] = slot
+        slot[3] = i
+
+    def _down(self, i: int, slot: list) -> None:
+        heap, size, c = self.heap, len(self.heap), slot[0]
+        k = 2 * i + 1
+        while k < size:
+            below = heap[k]
+            if k + 1 < size and heap[k + 1][0] < below[0]:
                 k += 1
-            if self.heap[k][0] >= item[0]:
+                below = heap[k]
+            if below[0] >= c:
                 break
-            self._set(i, self.heap[k])
-            i = k
-        self._set(i, item)
+            heap[i] = below
+            below[3] = i
+            i, k = k, 2 * k + 1
+        heap[i] = slot
+        slot[3] = i
 
     def update(self, e: Hashable, w: int = 1) -> None:
         if w <= 0:
             raise ValueError("weights are positive: deletions are not supported")
         self.n += w
-        i = self.place.get(e)
-        if i is not None:
-            self.heap[i][0] += w
-            self._down(i)
+        slot = self.place.get(e)
+        if slot is not None:
+            slot[0] += w
+            self._down(slot[3], slot)
         elif len(self.heap) < self.m:
-            self.heap.append([w, self.n, e, 0])
-            self._up(len(self.heap) - 1)
+            slot = self.place[e] = [w, e, 0, len(self.heap)]
+            self.heap.append(slot)
+            self._up(slot[3], slot)
         else:
-            least = self.heap[0][0]
-            del self.place[self.heap[0][2]]
-            self.heap[0] = [least + w, self.n, e, least]
-            self._down(0)
+            slot = self.heap[0]
+            del self.place[slot[1]]
+            slot[1], slot[2] = e, slot[0]
+            slot[0] += w
+            self.place[e] = slot
+            self._down(0, slot)
+
+    def update_batch(self, elements: Iterable[Hashable], weights: Iterable[int]) -> None:
+        """Register already combined pairs, tracked elements first."""
+        place, rest, changed = self.place, [], False
+        for e, w in zip(elements, weights, strict=True):
+            slot = place.get(e)
+            if slot is None:
+                rest.append((e, w))
+            else:
+                slot[0] += w
+                self.n += w
+                changed = True
+        if changed:  # in ascending order every heap is one
+            self.heap.sort(key=lambda s: s[0])
+            for i, slot in enumerate(self.heap):
+                slot[3] = i
+        for e, w in rest:
+            self.update(e, w)
 
     def query(self, phi, n: int | None = None) -> list[tuple[Hashable, int]]:
         phi, n = exact(phi), self.n if n is None else n
         self.stats = QueryStats(len(self.heap))
-        return [(x[2], x[0]) for x in self.heap if exceeds(x[0], phi, n)]
+        p, q = phi.numerator * n, phi.denominator
+        return [(x[1], x[0]) for x in self.heap if x[0] * q > p]
 
     def estimate(self, e: Hashable) -> int:
-        i = self.place.get(e)
-        return self.f_min if i is None else self.heap[i][0]
+        slot = self.place.get(e)
+        return self.f_min if slot is None else slot[0]
 
     def to_rows(self) -> list[tuple[Hashable, int, int]]:
-        return [(x[2], x[0], x[3]) for x in self.heap]
+        return [(x[1], x[0], x[2]) for x in self.heap]
 
 
 class BucketListSummary:
@@ -173,7 +203,8 @@ class WeightedFrequent:
     """Frequent with weights: when full, what clears the least counter is taken from all and from w.
 
     Subtractions are kept as one offset, and counters leave when the offset reaches them. Estimates
-    are low by `offset`, which is at most n / (m + 1).
+    are low by `offset`, which is at most n / (m + 1). The least counter is at the top of a heap of counts
+    as they were when pushed; one that has grown since is pushed again when it comes up.
     """
 
     weighted = True
@@ -181,26 +212,41 @@ class WeightedFrequent:
     def __init__(self, m: int):
         self.m = m
         self.raw: dict[Hashable, int] = {}
+        self.queue: list[tuple[int, int, Hashable]] = []
+        self.pushed = 0
         self.offset = 0
         self.n = 0
 
+    def _least(self) -> tuple[int, int, Hashable]:
+        """The top of the heap, once it is as large as the counter that it stands for."""
+        queue, raw = self.queue, self.raw
+        while True:
+            c, k, e = queue[0]
+            now = raw[e]
+            if now == c:
+                return queue[0]
+            heapq.heapreplace(queue, (now, k, e))
+
     def update(self, e: Hashable, w: int = 1) -> None:
         if w <= 0:
             raise ValueError("weights are positive: deletions are not supported")
         self.n += w
-        while w:
-            if e in self.raw:
-                self.raw[e] += w
-                return
-            if len(self.raw) < self.m:
-                self.raw[e] = self.offset + w
-                return
-            least = min(self.raw.values()) - self.offset
+        raw = self.raw
+        if e in raw:
+            raw[e] += w
+            return
+        while len(raw) >= self.m:
+            least = self._least()[0] - self.offset
             taken = min(least, w)
             self.offset += taken
             w -= taken
-            if taken == least:
-                self.raw = {k: v for k, v in self.raw.items() if v > self.offset}
+            while raw and self._least()[0] <= self.offset:
+                del raw[heapq.heappop(self.queue)[2]]
+            if not w:
+                return
+        raw[e] = self.offset + w
+        self.pushed += 1
+        heapq.heappush(self.queue, (raw[e], self.pushed, e))
 
     def to_rows(self) -> list[tuple[Hashable, int, int]]:
         """(element, estimate, how much it may be low)."""

@@ -14,11 +14,11 @@ from typing import Any
 
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from hotkeys.frames import drop, keep
 from hotkeys.kernels.buffers import HandoverBuffers
 from hotkeys.kernels.minmax import MinMaxSummary
 from hotkeys.kernels.others import BucketListSummary, MinHeapSummary
@@ -29,13 +29,16 @@ KERNELS = {"minmax": MinMaxSummary, "minheap": MinHeapSummary, "bucketlist": Buc
 
 
 def owner_of(columns: list[str], owners: int, seed: int, how: str = "hash", bounds: list | None = None):
-    """Owner of an element: by hash, by range (bounds are the upper ends of all but the last) or all to 0."""
+    """Owner of an element: by hash, by range (bounds are the upper ends of all but the last), all to 0, or by a given
+    map (bounds are pairs of element and owner, others go by hash)."""
     if how == "hash":
         return F.pmod(F.xxhash64(*columns, F.lit(seed)), F.lit(owners)).cast("int")
     if how == "range":
         return sum((F.col(columns[0]) > b).cast("int") for b in bounds) if bounds else F.lit(0)
     if how == "one":
         return F.lit(0)
+    if how == "map":
+        return F.coalesce(F.element_at(F.create_map(*[x for e, o in bounds for x in (F.lit(e), F.lit(o))]), F.col(columns[0])), owner_of(columns, owners, seed)).cast("int")
     raise ValueError(f"no owner function {how}")
 
 
@@ -60,22 +63,34 @@ def pair_schema(stream: DataFrame) -> T.StructType:
     return T.StructType([T.StructField("owner", T.IntegerType()), T.StructField("src", T.IntegerType()), T.StructField("seq", T.LongType()), stream.schema["e"], T.StructField("w", T.LongType())])
 
 
+def sum_pairs(batch: pa.RecordBatch) -> pa.Table:
+    """(owner, e, w) of a batch, one row for each owner and element."""
+    table = pa.Table.from_batches([batch])
+    kind = table.schema.field("e").type
+    if not pa.types.is_struct(kind):
+        got = table.group_by(["owner", "e"]).aggregate([("w", "sum")])
+        return got.select(["owner", "e", "w_sum"]).rename_columns(["owner", "e", "w"])
+    fields = table.column("e").combine_chunks().flatten()
+    names = [f"e{i}" for i in range(len(fields))]
+    flat = pa.table([table.column("owner"), table.column("w"), *fields], ["owner", "w", *names])
+    got = flat.group_by(["owner", *names]).aggregate([("w", "sum")])
+    e = pa.StructArray.from_arrays([got.column(n).combine_chunks() for n in names], fields=list(kind))
+    return pa.table([got.column("owner"), e, got.column("w_sum")], ["owner", "e", "w"])
+
+
+def summed(batch: pa.RecordBatch) -> list[pa.Table]:
+    """sum_pairs of a batch, a table for each owner in it."""
+    whole = sum_pairs(batch)
+    owners = pc.unique(whole.column("owner"))
+    return [whole] if len(owners) == 1 else [whole.filter(pc.equal(whole.column("owner"), o)) for o in owners]
+
+
 def _combined(batch: pa.RecordBatch, slots: int) -> Iterator[pa.Table]:
     """The batch as weighted pairs; halved until no owner has more distinct elements than slots."""
     todo = [batch]
     while todo:
         part = todo.pop()
-        table = pa.Table.from_batches([part])
-        if pa.types.is_struct(table.schema.field("e").type):
-            fields = table.column("e").combine_chunks().flatten()
-            names = [f"e{i}" for i in range(len(fields))]
-            flat = pa.table([table.column("owner"), table.column("w"), *fields], ["owner", "w", *names])
-            got = flat.group_by(["owner", *names]).aggregate([("w", "sum")])
-            e = pa.StructArray.from_arrays([got.column(n).combine_chunks() for n in names], fields=list(table.schema.field("e").type))
-            pairs = pa.table([got.column("owner"), e, got.column("w_sum")], ["owner", "e", "w"])
-        else:
-            got = table.group_by(["owner", "e"]).aggregate([("w", "sum")])
-            pairs = got.select(["owner", "e", "w_sum"]).rename_columns(["owner", "e", "w"])
+        pairs = sum_pairs(part)
         most = pc.max(pc.value_counts(pairs.column("owner").combine_chunks()).field("counts")).as_py() or 0
         if most > slots and part.num_rows > 1:
             half = part.num_rows // 2
@@ -195,8 +210,11 @@ def summary_batch(kept: dict[int, Any], kind: pa.DataType) -> pa.RecordBatch:
     )
 
 
-def absorb(routed: DataFrame, stream: DataFrame, m: int, inner: str = "minmax") -> DataFrame:
-    """One summary row for each owner that got pairs; the kernel streams over its partition."""
+def absorb(routed: DataFrame, stream: DataFrame, m: int, inner: str = "minmax", bulk: bool = True) -> DataFrame:
+    """One summary row for each owner that got pairs; the kernel streams over its partition.
+
+    With bulk a kernel takes each batch of pairs at once, combined per element; else in the order in which they come.
+    """
     kernel: Callable[[int], Any] = KERNELS[inner]
     weighted = kernel.weighted
 
@@ -205,6 +223,13 @@ def absorb(routed: DataFrame, stream: DataFrame, m: int, inner: str = "minmax")
         kind = None
         for batch in batches:
             kind = batch.column("e").type
+            if bulk and weighted and batch.num_rows:
+                for part in summed(batch):
+                    o = part.column("owner")[0].as_py()
+                    if o not in kept:
+                        kept[o] = kernel(m)
+                    kept[o].update_batch(keys(part.column("e").combine_chunks()), part.column("w").to_pylist())
+                continue
             for o, e, w in zip(batch.column("owner").to_pylist(), keys(batch.column("e")), batch.column("w").to_pylist(), strict=True):
                 own = kept.get(o)
                 if own is None:
@@ -231,7 +256,8 @@ def build_summary(stream: DataFrame, spec: SupportSpec, inner: str = "minmax", h
         pairs = with_owner(stream, spec, how, bounds).select("owner", F.spark_partition_id().alias("src"), F.lit(0).cast("long").alias("seq"), "e", "w")
     else:
         pairs = handover(stream, spec, mode, how, bounds)
-    return absorb(route(pairs, spec.owners, deterministic), stream, spec.per_owner(), inner).persist(StorageLevel.MEMORY_AND_DISK)
+    # without buffers nothing is combined: the kernels see arrivals as they come
+    return keep(absorb(route(pairs, spec.owners, deterministic), stream, spec.per_owner(), inner, bulk=mode != "direct" and not deterministic))
 
 
 def stream_length(summary: DataFrame) -> DataFrame:
@@ -301,6 +327,7 @@ def frequent_certified(stream: DataFrame, spec: SupportSpec, doublings: int | No
         level = certify(summary, spec).first()["level"]
         if level == "full" or doublings == 0:
             break
+        drop(summary)
         doublings = None if doublings is None else doublings - 1
         spec = replace(spec, counters=2 * spec.per_owner())
     return query(summary, spec.phi), level
@@ -309,10 +336,11 @@ def frequent_certified(stream: DataFrame, spec: SupportSpec, doublings: int | No
 def verify_exact(stream: DataFrame, answer: DataFrame, phi, n_rows: int | None = None, most_broadcast: int = 1_000_000) -> DataFrame:
     """(e, f) of the answer's elements that are truly frequent, by a second pass over the stream.
 
-    An answer has at most 1 / (phi - eps) elements; it is broadcast within that bound.
+    An answer has at most 1 / (phi - eps) elements. It is broadcast where the caller gives that bound or a count and it
+    is small; else the size that the run finds decides.
     """
     few = answer.select("e")
-    if n_rows is None or n_rows <= most_broadcast:
+    if n_rows is not None and n_rows <= most_broadcast:
         few = F.broadcast(few)
     counts = stream.join(few, "e", "left_semi").groupBy("e").agg(F.sum("w").alias("f"))
     n = stream.agg(F.sum("w").alias("n"))
@@ -334,27 +362,34 @@ def combine(left: DataFrame, right: DataFrame) -> DataFrame:
     return grouped.select("owner", "m", "n_seen", F.greatest(F.col("floor"), thrown).alias("f_min"), F.col("all")[0]["est"].alias("f_max"), top.alias("slots"))
 
 
-def frequent_by(stream: DataFrame, by: list[str], phi, m: int, inner: str = "minmax") -> DataFrame:
-    """Frequent elements within each group of the columns by: a summary of m counters per group.
+def frequent_by(stream: DataFrame, by: list[str], phi, m: int, inner: str = "minmax", owners: int = 8, slots: int = 4096, every: int = 100_000) -> DataFrame:
+    """Frequent elements within each group of the columns by: (by..., e, est, lower).
 
-    Arrivals are combined per group and element before the shuffle; a group's summary streams over
-    its pairs.
+    A group is split among owners as a whole stream is: its elements are combined in bounded buffers and handed over to
+    summaries of m counters for each (group, owner), so that a group that holds most arrivals isn't one task. What a
+    group's owners have above phi of the group's arrivals is its answer.
     """
-    pairs = stream.groupBy(*by, "e").agg(F.sum("w").alias("w"))
-    kinds = [stream.schema[b] for b in by]
-    schema = T.StructType([*kinds, stream.schema["e"], T.StructField("est", T.LongType()), T.StructField("lower", T.LongType()), T.StructField("n", T.LongType())])
+    spec = SupportSpec(phi, owners=owners, slots=slots, every=every)
+    parts = [f"e.`{f.name}`" for f in stream.schema["e"].dataType.fields] if isinstance(stream.schema["e"].dataType, T.StructType) else ["e"]
+    keyed = stream.select(F.struct(*[F.col(b).alias(f"by{i}") for i, b in enumerate(by)], *[F.col(p).alias(f"e{i}") for i, p in enumerate(parts)]).alias("e"), "w")
+    element = F.col("e.e0") if parts == ["e"] else F.struct(*[F.col(f"e.e{i}").alias(f.name) for i, f in enumerate(stream.schema["e"].dataType.fields)])
+    pairs = handover(keyed, spec).select(*[F.col(f"e.by{i}").alias(f"by{i}") for i in range(len(by))], "owner", element.alias("e"), "w")
+    groups = [f"by{i}" for i in range(len(by))]
+    slot = T.StructType([stream.schema["e"], T.StructField("est", T.LongType()), T.StructField("over", T.LongType())])
+    schema = T.StructType([*[T.StructField(g, stream.schema[b].dataType) for g, b in zip(groups, by, strict=True)], T.StructField("n_seen", T.LongType()), T.StructField("slots", T.ArrayType(slot))])
     kernel = KERNELS[inner]
 
     def run(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own, kind = kernel(m), None
         for batch in batches:
             kind = batch.column("e").type
-            for e, w in zip(keys(batch.column("e")), batch.column("w").to_pylist(), strict=True):
-                own.update(e, w)
-        rows = [r for r in own.to_rows()]
-        n = len(rows)
-        group = [pa.repeat(k, n) for k in key]
-        yield pa.RecordBatch.from_arrays([*group, restored([r[0] for r in rows], kind), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[1] - r[2] for r in rows], pa.int64()), pa.array([own.n] * n, pa.int64())], [f.name for f in schema.fields])
-
-    found = pairs.groupBy(*by).applyInArrow(run, schema)
-    return found.filter(over_threshold("est", "n", phi)).drop("n")
+            for part in summed(batch):
+                own.update_batch(keys(part.column("e").combine_chunks()), part.column("w").to_pylist())
+        made = summary_batch({0: own}, kind)
+        yield pa.RecordBatch.from_arrays([*[pa.repeat(k, 1) for k in key[: len(groups)]], made.column("n_seen"), made.column("slots")], [f.name for f in schema.fields])
+
+    summaries = keep(pairs.groupBy(*groups, "owner").applyInArrow(run, schema))
+    totals = summaries.groupBy(*groups).agg(F.sum("n_seen").alias("n")).select(*[F.col(g).alias(f"t_{g}") for g in groups], "n")
+    on = [F.col(g).eqNullSafe(F.col(f"t_{g}")) for g in groups]
+    held = summaries.join(totals, on).select(*[F.col(g).alias(b) for g, b in zip(groups, by, strict=True)], "n", F.explode("slots").alias("s"))
+    return held.select(*by, "n", "s.e", "s.est", (F.col("s.est") - F.col("s.over")).alias("lower")).filter(over_threshold("est", "n", phi)).drop("n")

@@ -1,18 +1,24 @@
-"""Hashed-counter sketches in plain SQL form: Count-Min, Count Sketch, and either with a candidate heap."""
+"""Hashed-counter sketches: Count-Min, Count Sketch, and either with candidates that are kept beside them.
+
+Tasks fill matrices of a fixed size from their arrivals; what is shuffled is the matrices' cells and few candidates,
+whatever the number of distinct elements.
+"""
 
 from __future__ import annotations
 
 import math
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from hotkeys.frames import keep
 from hotkeys.operators import owner_split as engine
 from hotkeys.operators.exact import over_threshold
-from hotkeys.spec import SupportSpec
+from hotkeys.spec import SupportSpec, exact
 
 
 def width_of(eps) -> int:
@@ -23,20 +29,71 @@ def depth_of(delta: float) -> int:
     return math.ceil(math.log(1 / delta))
 
 
-def _cells(stream: DataFrame, width: int, depth: int, seed: int, signed: bool) -> DataFrame:
-    """A row for each arrival's element and sketch row, elements combined first."""
-    pairs = stream.groupBy("e").agg(F.sum("w").alias("w"))
-    return _hashed(pairs, width, depth, seed, signed)
+def _at(width: int, depth: int, seed: int, signed: bool) -> list:
+    """An element's cell in each row, counted from 1; its sign is the counter's."""
+    cells = [F.pmod(F.xxhash64("e", F.lit(seed + r)), F.lit(width)) + 1 for r in range(depth)]
+    signs = [F.pmod(F.xxhash64("e", F.lit(seed + 7919 + r)), F.lit(2)) * 2 - 1 for r in range(depth)]
+    return [(c * s if signed else c).alias(f"at{r}") for r, (c, s) in enumerate(zip(cells, signs, strict=True))]
 
 
 def _hashed(elements: DataFrame, width: int, depth: int, seed: int, signed: bool) -> DataFrame:
-    rows = [F.struct(F.lit(r).alias("row"), F.pmod(F.xxhash64("e", F.lit(seed + r)), F.lit(width)).alias("cell"), (F.pmod(F.xxhash64("e", F.lit(seed + 7919 + r)), F.lit(2)) * 2 - 1 if signed else F.lit(1).cast("long")).alias("sign")) for r in range(depth)]
-    return elements.withColumn("x", F.explode(F.array(*rows))).select(*elements.columns, "x.row", "x.cell", "x.sign")
+    cells = elements.select("e", F.posexplode(F.array(*_at(width, depth, seed, signed))).alias("row", "at"))
+    return cells.select("e", "row", (F.abs("at") - 1).alias("cell"), F.signum("at").cast("long").alias("sign"))
+
+
+def passed(stream: DataFrame, width: int, depth: int, seed: int = 42, signed: bool = False, share=None) -> DataFrame:
+    """One pass of every task over its arrivals: (row, cell, c) of its matrix, and with a share its candidates as (-1, e).
+
+    A task holds width * depth counters whatever it reads. Its candidates are the elements whose estimate was over
+    the share of its arrivals when they last came; at 4 / share of them those that have fallen under it go. What is
+    frequent in the stream is so in some task, so none is missing where estimates are not low.
+    """
+    share = exact(share) if share is not None else None
+    given = stream.select("e", F.col("w").cast("long").alias("w"), F.xxhash64("e", F.lit(seed - 1)).alias("h"), *_at(width, depth, seed, signed))
+    schema = T.StructType([T.StructField("row", T.IntegerType()), T.StructField("cell", T.LongType()), T.StructField("c", T.LongType()), stream.schema["e"]])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        matrix, n, kind = np.zeros((depth, width), np.int64), 0, None
+        known: dict = {}  # candidate -> its cells
+
+        def estimate(at: np.ndarray) -> np.ndarray:
+            found = np.stack([matrix[r, np.abs(at[r]) - 1] * np.sign(at[r]) for r in range(depth)])
+            return np.median(found, axis=0) if signed else found.min(axis=0)
+
+        for batch in batches:
+            kind = batch.column("e").type
+            _, first, place = np.unique(batch.column("h").to_numpy(), return_index=True, return_inverse=True)
+            if not len(first):
+                continue
+            w = np.zeros(len(first), np.int64)
+            np.add.at(w, place, batch.column("w").to_numpy())
+            n += int(w.sum())
+            at = np.stack([batch.column(f"at{r}").to_numpy()[first] for r in range(depth)])
+            for r in range(depth):
+                np.add.at(matrix[r], np.abs(at[r]) - 1, w * np.sign(at[r]))
+            if share is not None:
+                over = np.flatnonzero(estimate(at) * share.denominator >= share.numerator * n)
+                known.update(zip(engine.keys(batch.column("e").take(pa.array(first[over]))), at[:, over].T, strict=True))
+                if len(known) * share > 4:
+                    still = estimate(np.stack(list(known.values())).T) * share.denominator >= share.numerator * n
+                    known = {e: x for (e, x), stays in zip(known.items(), still, strict=True) if stays}
+        row, cell = np.nonzero(matrix)
+        if len(row):
+            yield pa.RecordBatch.from_arrays([pa.array(row, pa.int32()), pa.array(cell), pa.array(matrix[row, cell]), pa.nulls(len(row), kind)], ["row", "cell", "c", "e"])
+        if known:
+            k = len(known)
+            yield pa.RecordBatch.from_arrays([pa.array([-1] * k, pa.int32()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), engine.restored(list(known), kind)], ["row", "cell", "c", "e"])
+
+    return given.mapInArrow(run, schema)
+
+
+def _matrix(made: DataFrame) -> DataFrame:
+    return made.filter("row >= 0").groupBy("row", "cell").agg(F.sum("c").alias("c"))
 
 
 def sketch(stream: DataFrame, width: int, depth: int, seed: int = 42, signed: bool = False) -> DataFrame:
     """(row, cell, c): at most width * depth counters; sketches of one seed and size add up."""
-    return _cells(stream, width, depth, seed, signed).groupBy("row", "cell").agg(F.sum(F.col("w") * F.col("sign")).alias("c"))
+    return _matrix(passed(stream, width, depth, seed, signed))
 
 
 def merge(left: DataFrame, right: DataFrame) -> DataFrame:
@@ -52,17 +109,19 @@ def estimates(counters: DataFrame, elements: DataFrame, width: int, depth: int,
     return found.groupBy("e").agg(F.min(value).alias("est"))
 
 
-def count_min(stream: DataFrame, spec: SupportSpec, delta: float = 0.01, seed: int = 42) -> DataFrame:
-    """Frequent elements by Count-Min estimates, which are never low."""
-    width, depth = width_of(spec.eps), depth_of(delta)
-    found = estimates(sketch(stream, width, depth, seed), stream.select("e").distinct(), width, depth, seed)
+def count_min(stream: DataFrame, spec: SupportSpec, delta: float = 0.01, seed: int = 42, width: int | None = None, depth: int | None = None) -> DataFrame:
+    """Frequent elements by Count-Min estimates, which are never low, of the candidates that the tasks keep."""
+    width, depth = width or width_of(spec.eps), depth or depth_of(delta)
+    made = keep(passed(stream, width, depth, seed, share=spec.phi))
+    found = estimates(_matrix(made), made.filter("row = -1").select("e").distinct(), width, depth, seed)
     return _over(found, stream, spec, low=False)
 
 
 def count_sketch(stream: DataFrame, spec: SupportSpec, width: int | None = None, depth: int = 5, seed: int = 42) -> DataFrame:
-    """Frequent elements by Count Sketch estimates, which may be high or low."""
+    """Frequent elements by Count Sketch estimates, which may be high or low; candidates from phi - eps on."""
     width = width or width_of(spec.eps)
-    found = estimates(sketch(stream, width, depth, seed, True), stream.select("e").distinct(), width, depth, seed, True)
+    made = keep(passed(stream, width, depth, seed, True, share=spec.phi - spec.eps))
+    found = estimates(_matrix(made), made.filter("row = -1").select("e").distinct(), width, depth, seed, True)
     return _over(found, stream, spec, low=True)
 
 
@@ -104,6 +163,18 @@ def builtin_topk(stream: DataFrame, k: int, most_items: int = 10_000) -> DataFra
     return found.select(F.explode("t").alias("x")).select(F.col("x.item").alias("e"), F.col("x.count").alias("est"))
 
 
+def builtin_topk_merged(stream: DataFrame, by: str, k: int, most_items: int = 10_000) -> DataFrame:
+    """(e, est) by the same aggregate in parts: one state for each value of by, combined, then asked."""
+    parts = stream.groupBy(by).agg(F.expr(f"approx_top_k_accumulate(e, {most_items})").alias("state"))
+    found = parts.agg(F.expr(f"approx_top_k_combine(state, {most_items})").alias("state")).select(F.expr(f"approx_top_k_estimate(state, {k})").alias("t"))
+    return found.select(F.explode("t").alias("x")).select(F.col("x.item").alias("e"), F.col("x.count").alias("est"))
+
+
+def builtin_count_min_bytes(stream: DataFrame, spec: SupportSpec, delta: float = 0.01, seed: int = 42) -> DataFrame:
+    """One row: bytes of Spark's own Count-Min sketch of the same size, whatever the stream's length."""
+    return stream.agg(F.octet_length(F.count_min_sketch("e", F.lit(float(spec.eps)), F.lit(1 - delta), F.lit(seed))).cast("long").alias("sketch_bytes"))
+
+
 def builtin_frequent_items(stream: DataFrame, support: float) -> DataFrame:
     """(e) by Spark's own freqItems: a superset of the elements above the support."""
     return stream.stat.freqItems(["e"], support).select(F.explode("e_freqItems").alias("e"))

@@ -8,6 +8,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from hotkeys.frames import keep
+
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: What splits a text into words: runs of anything but letters and digits.
 NOT_WORD = r"[^\p{L}\p{N}]+"
@@ -125,7 +127,19 @@ def reordered(stream: DataFrame, how: str) -> DataFrame:
     turn = F.row_number().over(W.partitionBy("e").orderBy("ord"))
     both = stream.join(counts, "e").withColumn("turn", turn)
     keys = {"ascending": ["f", "e", "turn"], "descending": [F.desc("f"), "e", "turn"], "round_robin": ["turn", "e"], "tail_first": [F.col("f") > 1, "turn", "e"]}[how]
-    return both.select((F.row_number().over(W.orderBy(*keys)) - 1).cast("long").alias("ord"), "e", "w")
+    return numbered(both, keys).select("ord", "e", "w")
+
+
+def numbered(rows: DataFrame, keys: list) -> DataFrame:
+    """rows with ord, from 0 in the order of the keys: sorted in ranges, each of which starts where those before it end."""
+    placed = keep(rows.repartitionByRange(*keys).sortWithinPartitions(*keys).select(*rows.columns, F.spark_partition_id().alias("part"), F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)).alias("inside")))
+    sizes = {r["part"]: r["n"] for r in placed.groupBy("part").agg(F.count("*").alias("n")).collect()}  # a row for each partition
+    starts, at = [], 0
+    for part in sorted(sizes):
+        starts += [F.lit(part), F.lit(at).cast("long")]
+        at += sizes[part]
+    first = F.element_at(F.create_map(*starts), F.col("part")) if starts else F.lit(0).cast("long")
+    return placed.withColumn("ord", first + F.col("inside")).drop("part", "inside")
 
 
 def stream_files(spark: SparkSession, path: str, name_glob: str, schema: T.StructType, files_per_trigger: int = 1) -> DataFrame:

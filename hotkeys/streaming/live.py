@@ -14,11 +14,11 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql import Window as W
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from hotkeys.kernels.minmax import MinMaxSummary
-from hotkeys.operators.exact import over_threshold
-from hotkeys.operators.owner_split import owner_of
+from hotkeys.operators.owner_split import frequent_by, handover
 from hotkeys.spec import SupportSpec
 
 STATUS = "owner int, m int, n_seen long, f_min long, slots array<struct<e:string,est:bigint,over:bigint>>"
@@ -44,8 +44,8 @@ class OwnerProcessor(StatefulProcessor):
         else:
             own = MinMaxSummary(self.m)
         for part in rows:
-            for e, w in zip(part["e"], part["w"], strict=True):
-                own.update(e, int(w))
+            sums = part.groupby("e", sort=False)["w"].sum()
+            own.update_batch(sums.index.tolist(), sums.tolist())
         held = own.to_rows()
         self.state.update((self.stamp, pickle.dumps((held, own.n)), own.n))
         yield pd.DataFrame({"owner": [int(key[0])], "m": [own.m], "n_seen": [own.n], "f_min": [own.f_min], "slots": [[{"e": e, "est": c, "over": o} for e, c, o in held]]})
@@ -66,8 +66,8 @@ def maintain(stream: DataFrame, spec: SupportSpec) -> DataFrame:
     """
     stamp = f"m={spec.per_owner()} owners={spec.owners} seed={spec.seed}"
     given = stream.select(F.col("e").cast("string").alias("e"), F.col("w").cast("long").alias("w")).filter("e IS NOT NULL")
-    owned = given.withColumn("owner", owner_of(["e"], spec.owners, spec.seed))
-    return owned.groupBy("owner").transformWithStateInPandas(OwnerProcessor(spec.per_owner(), stamp), outputStructType=STATUS, outputMode="Update", timeMode="None")
+    pairs = handover(given, spec).select("owner", "e", "w")  # combined in bounded buffers before they are dealt to owners
+    return pairs.groupBy("owner").transformWithStateInPandas(OwnerProcessor(spec.per_owner(), stamp), outputStructType=STATUS, outputMode="Update", timeMode="None")
 
 
 def publish(status: DataFrame, checkpoint: str, path: str, **trigger):
@@ -106,17 +106,21 @@ def windowed_counts(stream: DataFrame, time: str, window: str, slide: str | None
     return timed.groupBy(span.alias("window"), "e").agg(F.sum("w").alias("w"))
 
 
-def frequent_windowed(stream: DataFrame, time: str, phi, window: str, slide: str | None = None, m: int = 100_003) -> DataFrame:
-    """(start, e, est, lower) of the elements frequent in each window, a summary of m counters per window."""
-    from hotkeys.operators.owner_split import frequent_by
+def frequent_windowed(stream: DataFrame, time: str, phi, window: str, slide: str | None = None, m: int = 1_000, owners: int = 8) -> DataFrame:
+    """(start, e, est, lower) of the elements frequent in each window, owners of m counters each for every window."""
+    timed = with_event_time(stream, time)
+    span = F.window(time, window, slide) if slide else F.window(time, window)
+    return frequent_by(timed.select(span.alias("span"), "e", "w").select(F.col("span.start").alias("start"), "e", "w"), ["start"], phi, m, owners=owners)
 
-    pairs = windowed_counts(stream, time, window, slide).select(F.col("window.start").alias("start"), "e", "w")
-    return frequent_by(pairs, ["start"], phi, m)
 
+def frequent_sessions(stream: DataFrame, time: str, by: str, gap: str, phi, m: int = 1_000, owners: int = 1) -> DataFrame:
+    """(by, start, e, est, lower) of the elements frequent within each session of a key; sessions end after a gap.
 
-def frequent_sessions(stream: DataFrame, time: str, by: str, gap: str, phi) -> DataFrame:
-    """(by, start, e, f) of the elements frequent within each session of a key; sessions end after a gap."""
+    A key's arrivals are walked in order of time, spilling if they are many; each session then has summaries as a group has.
+    """
     timed = with_event_time(stream, time)
-    marked = timed.groupBy(F.session_window(time, gap).alias("session"), by).agg(F.collect_list("e").alias("es"), F.sum("w").alias("n"))
-    counts = marked.select(by, F.col("session.start").alias("start"), "n", F.explode("es").alias("e")).groupBy(by, "start", "n", "e").agg(F.count("*").alias("f"))
-    return counts.filter(over_threshold("f", "n", phi)).drop("n")
+    order = W.partitionBy(by).orderBy(time)
+    fresh = F.lag(time).over(order) + F.expr(f"interval {gap}") <= F.col(time)
+    marked = timed.withColumn("fresh", F.when(F.coalesce(fresh, F.lit(True)), F.col(time)))
+    started = marked.withColumn("start", F.last("fresh", ignorenulls=True).over(order.rowsBetween(W.unboundedPreceding, 0)))
+    return frequent_by(started.select(by, "start", "e", "w"), [by, "start"], phi, m, owners=owners)

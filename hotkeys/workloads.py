@@ -58,7 +58,7 @@ def answers(stream: DataFrame, spec: SupportSpec, tasks: int = 8) -> dict[str, D
 
 def accuracy_report(stream: DataFrame, spec: SupportSpec, methods: list[str] | None = None, tasks: int = 8, **labels) -> DataFrame:
     """(method, labels..., n_true, n_reported, precision, recall, are) of each method."""
-    counts = exact_counts(stream).persist()
+    counts = keep(exact_counts(stream))
     parts = []
     for name, answer in answers(stream, spec, tasks).items():
         if methods is None or name in methods:
