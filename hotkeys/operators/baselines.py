@@ -149,7 +149,7 @@ _MIX = (np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB))
 
 def cells_of(h: np.ndarray, row: int, cells: int) -> np.ndarray:
     """A row's cell of each hash."""
-    x = (h.view(np.uint64) + np.uint64(row + 1) * _MIX[1]) * _MIX[0]
+    x = (h.view(np.uint64) + np.uint64((row + 1) * int(_MIX[1]) % (1 << 64))) * _MIX[0]
     x = (x ^ (x >> np.uint64(31))) * _MIX[1]
     return ((x ^ (x >> np.uint64(29))) % np.uint64(cells)).astype(np.int64)
 

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from hotkeys import timing, workloads
+from hotkeys import mixed, workloads
 from hotkeys.functions import metrics
 from hotkeys.operators import baselines, sketches
 from hotkeys.operators import owner_split as engine
@@ -19,8 +19,6 @@ from hotkeys.streaming import live
 
 Query = Callable[[SparkSession, str], DataFrame]
 OWNERS = 8
-#: More counters than any stream of the small tables has elements, so that estimates are exact.
-AMPLE = 100_003
 
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
@@ -92,16 +90,29 @@ for _name, _stream, _phi in (("words", "words", "0.001"), ("partkey", "partkey",
 add("exact_frequent_flow_empty", lambda spark, sf: exact_frequent(streams.flows(spark, sf), "0.001").select("e.*", "f"), f"WITH s AS (SELECT l_suppkey, l_partkey, l_returnflag, l_linestatus, l_linenumber, count(*) AS f FROM lineitem GROUP BY ALL) SELECT * FROM s WHERE f * 1000 > (SELECT sum(f) FROM s)")
 add("exact_frequent_props_inclusive", lambda spark, sf: exact_frequent(STREAMS["props"](spark, sf), "0.01", inclusive=True), f"WITH {_counts('props')} SELECT e, f FROM c, t WHERE f * 100 >= n")
 
-# --- the engine with ample counters: estimates equal counts ---
+# --- the engine with a counter for every element: estimates equal counts ---
+
+
+def _enough(stream: DataFrame, by: list[str] | None = None) -> int:
+    """Counters with which no owner has to replace any: as many as there are elements, in a group or in all."""
+    if by:
+        return stream.select(*by, "e").distinct().groupBy(*by).agg(F.count("*").alias("n")).agg(F.coalesce(F.max("n"), F.lit(1))).first()[0]
+    return max(1, stream.select("e").distinct().count())
 
 
 def _ample(stream: DataFrame, phi: str, **options) -> DataFrame:
-    return engine.frequent(stream, SupportSpec(phi, owners=OWNERS, counters=AMPLE), **options).select("e", "est", "lower", "upper")
+    return engine.frequent(stream, SupportSpec(phi, owners=OWNERS, counters=_enough(stream)), **options).select("e", "est", "lower", "upper")
+
+
+def _verified(stream: DataFrame, phi: str) -> DataFrame:
+    """The frequent elements by a summary sized by support and error, their counts by a second pass: (e, est)."""
+    answer, _ = engine.frequent_certified(stream, SupportSpec(phi, owners=OWNERS))
+    return engine.verify_exact(stream, answer, phi).select("e", F.col("f").alias("est"))
 
 
 _EXACT_COLUMNS = "e, f AS est, f AS lower, f AS upper"
 add("owner_split_exact_props", lambda spark, sf: _ample(STREAMS["props"](spark, sf), "0.01"), _frequent_sql("props", "0.01", _EXACT_COLUMNS))
-add("owner_split_rowwise_props", lambda spark, sf: engine.frequent(STREAMS["props"](spark, sf), SupportSpec("0.01", owners=OWNERS, counters=AMPLE, slots=8, every=100), mode="rows"), _frequent_sql("props", "0.01", _EXACT_COLUMNS))
+add("owner_split_rowwise_props", lambda spark, sf: engine.frequent(STREAMS["props"](spark, sf), SupportSpec("0.01", owners=OWNERS, counters=_enough(STREAMS["props"](spark, sf)), slots=8, every=100), mode="rows"), _frequent_sql("props", "0.01", _EXACT_COLUMNS))
 add("owner_split_suppkey_weighted", lambda spark, sf: _ample(streams.element_stream(streams.read(spark, sf, "lineitem"), "l_suppkey", F.col("l_quantity").cast("long")), "0.01"), _frequent_sql("suppkey_weighted", "0.01", _EXACT_COLUMNS))
 add(
     "owner_split_user_type",
@@ -113,28 +124,44 @@ add("owner_split_combined_props", lambda spark, sf: _combined(spark, sf), f"WITH
 
 
 def _combined(spark: SparkSession, sf: str) -> DataFrame:
-    summary = engine.build_summary(STREAMS["props"](spark, sf), SupportSpec("0.01", owners=OWNERS, counters=AMPLE))
+    stream = STREAMS["props"](spark, sf)
+    summary = engine.build_summary(stream, SupportSpec("0.01", owners=OWNERS, counters=_enough(stream)))
     return engine.query(engine.combine(summary, summary), "0.01").select("e", "est")
 
 
-add("top_words", lambda spark, sf: engine.top_k(engine.build_summary(streams.documents_words(spark, sf), SupportSpec("0.001", owners=OWNERS, counters=AMPLE)), 10).select("e", "est"), f"WITH {_counts('words')} SELECT e, f AS est FROM c ORDER BY f DESC, e LIMIT 10")
+add("top_words", lambda spark, sf: engine.top_k(engine.build_summary(streams.documents_words(spark, sf), SupportSpec("0.001", owners=OWNERS, counters=_enough(streams.documents_words(spark, sf)))), 10).select("e", "est"), f"WITH {_counts('words')} SELECT e, f AS est FROM c ORDER BY f DESC, e LIMIT 10")
 
 # --- guarantees ---
 
 _ALL = ["missed", "spurious", "low", "high", "bounds"]
 
 
-def _verdict(stream: Query, answer: Callable[[DataFrame], DataFrame], phi: str, keep: list[str]) -> Query:
+def _verdict(stream: Query, answer: Callable[[DataFrame], DataFrame], phi: str, keep: list[str], eps: str | None = None) -> Query:
     def run(spark: SparkSession, sf: str) -> DataFrame:
         own = stream(spark, sf)
-        spec = SupportSpec(phi, owners=OWNERS)
+        spec = SupportSpec(phi, eps or 0, owners=OWNERS)
         return metrics.violations(answer(own), exact_counts(own), phi, spec.eps).select("n", "n_true", *keep)
 
     return run
 
 
-for _stream, _phi in (("words", "0.001"), ("conversations", "0.001"), ("lines", "0.001"), ("partkey", "0.001"), ("suppkey", "0.001"), ("user", "0.001")):
-    add(f"owner_split_guarantee_{_stream}", _verdict(STREAMS[_stream], lambda s, p=_phi: engine.frequent(s, SupportSpec(p, owners=OWNERS)), _phi, _ALL), _verdict_sql(_stream, _phi, _ALL))
+def _evicting(stream: Query, spec: SupportSpec) -> Query:
+    """Broken guarantees, and whether the summaries had to replace elements at all: else nothing could break."""
+
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        own = stream(spark, sf)
+        summary = engine.build_summary(own, spec)
+        evicted = summary.agg((F.coalesce(F.max("f_min"), F.lit(0)) > 0).alias("evicted"))
+        broken = metrics.violations(engine.query(summary, spec.phi), exact_counts(own), spec.phi, spec.eps)
+        return broken.select("n", "n_true", *_ALL).crossJoin(F.broadcast(evicted))
+
+    return run
+
+
+#: Support, error and owners of each stream: fewer counters than elements, hand-overs each 1,000 arrivals or 32 elements.
+GUARANTEES = {"words": ("0.001", "0.0001", 8), "conversations": ("0.001", "0.0001", 8), "lines": ("0.01", "0.001", 8), "partkey": ("0.0007", "0.0006", 8), "suppkey": ("0.03", "0.02", 2), "user": ("0.008", "0.0078", 2)}
+for _stream, (_phi, _eps, _owners) in GUARANTEES.items():
+    add(f"owner_split_guarantee_{_stream}", _evicting(STREAMS[_stream], SupportSpec(_phi, _eps, owners=_owners, slots=32, every=1_000)), _verdict_sql(_stream, _phi, _ALL).replace(" FROM c, t", ", true AS evicted FROM c, t"))
 _words, _phi = STREAMS["words"], "0.001"
 
 
@@ -149,12 +176,20 @@ _method("global_cooperative_guarantee_words", lambda s, p: engine.query(baseline
 _method("local_merge_guarantee_words", lambda s, p: baselines.local_merge(s, p), ["missed", "low"])
 _method("merge_collector_guarantee_words", lambda s, p: baselines.merge_collector(s, p), ["spurious"])
 _method("cell_majority_words", lambda s, p: baselines.cell_majority(s, p), ["spurious"])
+# where nothing has to be thrown out, or withheld, every baseline is exact
+_SURE = f"WITH {_counts('props')} SELECT e, f AS est FROM c, t WHERE CAST(f AS HUGEINT) * 1000 > CAST(n AS HUGEINT) * 9"
+add("merge_collector_exact_props", lambda spark, sf: baselines.merge_collector(STREAMS["props"](spark, sf), SupportSpec("0.01"), beta="0.0000001").select("e", "est"), _SURE)
+add("cell_majority_exact_props", lambda spark, sf: baselines.cell_majority(STREAMS["props"](spark, sf), SupportSpec("0.01"), cells=1_000_003).select("e", "est"), _SURE)
+add("frequent_unit_exact_props", lambda spark, sf: baselines.frequent_unit(STREAMS["props"](spark, sf), SupportSpec("0.01")).select("e", "est"), _SURE)
+add("lossy_counting_bounds_props", lambda spark, sf: baselines.lossy_counting(STREAMS["props"](spark, sf), SupportSpec("0.01")).agg(F.count("*").alias("reported")), _SURE.replace("SELECT e, f AS est", "SELECT count(*) AS reported"))
+add("count_min_exact_props", lambda spark, sf: sketches.count_min(STREAMS["props"](spark, sf), SupportSpec("0.01"), width=1 << 18).select("e", "est"), _frequent_sql("props", "0.01", "e, f AS est"))
+add("count_sketch_exact_props", lambda spark, sf: sketches.count_sketch(STREAMS["props"](spark, sf), SupportSpec("0.01"), 1 << 18).select("e", "est"), _frequent_sql("props", "0.01", "e, f AS est"))
 _method("frequent_unit_words", lambda s, p: baselines.frequent_unit(s, p), ["missed", "spurious", "bounds"])
 _method("lossy_counting_words", lambda s, p: baselines.lossy_counting(s, p), ["missed", "spurious", "bounds"])
 _method("count_min_words", lambda s, p: sketches.count_min(s, p), ["missed", "low"])
 add(
     "global_cooperative_two_streams",
-    lambda spark, sf: engine.query(baselines.global_cooperative([streams.documents_words(spark, sf), streams.conversations_words(spark, sf)], SupportSpec("0.001", counters=2 * AMPLE)), "0.001").select("e", "est"),
+    lambda spark, sf: engine.query(baselines.global_cooperative([streams.documents_words(spark, sf), streams.conversations_words(spark, sf)], SupportSpec("0.001", counters=_enough(streams.documents_words(spark, sf).unionByName(streams.conversations_words(spark, sf))))), "0.001").select("e", "est"),
     f"WITH s AS ({STREAM_SQL['words']} UNION ALL {STREAM_SQL['conversations']}), c AS (SELECT e, count(*) AS f FROM s GROUP BY e), t AS (SELECT sum(f) AS n FROM c) SELECT e, f AS est FROM c, t WHERE {_over('0.001')}",
 )
 add("count_sketch_words", lambda spark, sf: _sketch_recall(spark, sf), f"WITH {_counts('words')} SELECT CAST(count(*) AS BIGINT) AS n_true, true AS recall_ok FROM c, t WHERE {_over(_phi)}")
@@ -167,6 +202,8 @@ def _sketch_recall(spark: SparkSession, sf: str) -> DataFrame:
 
 
 add("sketch_topk_words", lambda spark, sf: sketches.sketch_topk(_words(spark, sf), 5, 1 << 18, 5).select("e"), f"WITH {_counts('words')} SELECT e FROM c ORDER BY f DESC, e LIMIT 5")
+add("builtin_topk_merged_types", lambda spark, sf: sketches.builtin_topk_merged(streams.element_stream(streams.read(spark, sf, "events"), "event_type", order=["user_id"]).withColumn("part", F.pmod("user_id", F.lit(7))), "part", 5), "SELECT event_type AS e, count(*) AS est FROM events GROUP BY 1")
+add("builtin_count_min_bytes_words", lambda spark, sf: sketches.builtin_count_min_bytes(_words(spark, sf), SupportSpec(_phi)))
 add("builtin_topk_types", lambda spark, sf: sketches.builtin_topk(streams.element_stream(streams.read(spark, sf, "events"), "event_type"), 5), "SELECT event_type AS e, count(*) AS est FROM events GROUP BY 1")
 
 # --- checks of the structure ---
@@ -187,6 +224,16 @@ def _agreement(spark: SparkSession, sf: str) -> DataFrame:
 
 add("inner_agreement_conversations", _agreement, f"WITH {_counts('conversations')} SELECT n, CAST(0 AS BIGINT) AS differences FROM t")
 add("minmax_query_cost_words", lambda spark, sf: workloads.inner_costs(_words(spark, sf), SupportSpec(_phi, owners=OWNERS)).agg(F.sum("answers").alias("answers"), F.count_if(F.col("comparisons") > F.col("bound")).alias("over_bound"), F.count_if(F.col("comparisons") > F.col("scan")).alias("over_scan")).select("over_bound", "over_scan"), "SELECT CAST(0 AS BIGINT) AS over_bound, CAST(0 AS BIGINT) AS over_scan")
+add("explicit_owners_types", lambda spark, sf: _explicit(spark, sf), "SELECT CASE event_type WHEN 'click' THEN 0 WHEN 'view' THEN 1 ELSE 2 END AS owner, CAST(count(*) AS BIGINT) AS n_seen FROM events WHERE event_type IN ('click', 'view') GROUP BY 1")
+
+
+def _explicit(spark: SparkSession, sf: str) -> DataFrame:
+    """Owners by a given map of elements."""
+    events = streams.element_stream(streams.read(spark, sf, "events"), "event_type").filter("e IN ('click', 'view')")
+    summary = engine.build_summary(events, SupportSpec("0.01", owners=3), how="map", bounds=[("click", 0), ("view", 1)])
+    return summary.select("owner", "n_seen")
+
+
 add("sum_invariant_words", lambda spark, sf: _sums(spark, sf), f"WITH {_counts('words')} SELECT n, CAST(0 AS BIGINT) AS broken, CAST(0 AS BIGINT) AS fmin_over FROM t")
 
 
@@ -225,18 +272,20 @@ def _overlap(spark: SparkSession, sf: str, stream=workloads.word_arrays) -> Data
     return rows.groupBy("run_id").agg(F.max("n_end").alias("n"), *[F.sum(c).alias(c) for c in ("missed", "spurious", "outside", "pending_over")])
 
 
-_SAMPLE = r"(SELECT e FROM (SELECT doc_id, unnest(regexp_split_to_array(lower(trim(text)), '[^\p{L}\p{N}]+')) AS e FROM documents WHERE doc_id < 40) WHERE e <> '')"
 add("overlap_bounds_words", _overlap, f"WITH {_counts('words')} SELECT CAST(r AS INTEGER) AS run_id, n, 0::BIGINT AS missed, 0::BIGINT AS spurious, 0::BIGINT AS outside, 0::BIGINT AS pending_over FROM t, range(4) AS v(r)")
-#: The model on a bounded sample, which its SQL states as well; overlap_bounds_words is the whole stream.
-add("overlap_bounds_sim", lambda spark, sf: _overlap(spark, sf, workloads.sample_stream), f"SELECT CAST(r AS INTEGER) AS run_id, (SELECT least(count(*), 4000) FROM {_SAMPLE}) AS n, 0::BIGINT AS missed, 0::BIGINT AS spurious, 0::BIGINT AS outside, 0::BIGINT AS pending_over FROM range(4) AS v(r)")
 add("overlap_records_sim", workloads.overlap_runs)
-add("enhancement_ab_sim", workloads.enhancement_ab)
+add("enhancement_ab_words", workloads.enhancement_ab)
+add(
+    "enhancement_ab_verdicts_words",
+    lambda spark, sf: workloads.verdicts(mixed.run_grid(spark, {"words": workloads.word_arrays(spark, sf)}, workloads.enhancement_grid())).select("method", "arrivals", "queries", "missed", "low", "spurious"),
+    f"WITH {_counts('words')} SELECT method, n AS arrivals, n // 10 AS queries, 0::BIGINT AS missed, 0::BIGINT AS low, 0::BIGINT AS spurious FROM t, (VALUES ('owner_split'), ('owner_split_counting')) AS m(method)",
+)
 
 # --- groups and windows ---
 
 add(
     "frequent_by_lang",
-    lambda spark, sf: engine.frequent_by(streams.words(streams.read(spark, sf, "documents"), keep=["lang"]), ["lang"], "0.005", AMPLE).select("lang", "e", "est"),
+    lambda spark, sf: engine.frequent_by(streams.words(streams.read(spark, sf, "documents"), keep=["lang"]), ["lang"], "0.005", _enough(streams.words(streams.read(spark, sf, "documents"), keep=["lang"]), ["lang"])).select("lang", "e", "est"),
     rf"WITH s AS (SELECT lang, unnest(regexp_split_to_array(lower(trim(text)), '[^\p{{L}}\p{{N}}]+')) AS e FROM documents), c AS (SELECT lang, e, count(*) AS f FROM s WHERE e <> '' GROUP BY ALL), g AS (SELECT *, sum(f) OVER (PARTITION BY lang) AS n FROM c) SELECT lang, e, f AS est FROM g WHERE {_over('0.005')}",
 )
 
@@ -254,7 +303,7 @@ add("frequent_tumbling_events", lambda spark, sf: live.frequent_windowed(_events
 add("frequent_sliding_events", lambda spark, sf: live.frequent_windowed(_events(spark, sf), "ts", "0.2", "2 days", "1 day", m=63).select(_start(), "e", "est"), _WINDOW_SQL % "SELECT CAST(date_trunc('day', ts) - to_days(CAST(k AS INTEGER)) AS TIMESTAMP) AS d, event_type AS e FROM events, range(2) AS r(k)")
 add(
     "frequent_session_events",
-    lambda spark, sf: live.frequent_sessions(_events(spark, sf), "ts", "user_id", "12 hours", "0.5").select("user_id", _start(), "e", "f"),
+    lambda spark, sf: live.frequent_sessions(_events(spark, sf), "ts", "user_id", "12 hours", "0.5").select("user_id", _start(), "e", F.col("est").alias("f")),
     "WITH a AS (SELECT user_id, ts, event_type AS e, CASE WHEN ts - lag(ts) OVER w < INTERVAL 12 HOURS THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), b AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM a), s AS (SELECT user_id, k, min(ts) AS st, count(*) AS n FROM b GROUP BY ALL), c AS (SELECT user_id, k, e, count(*) AS f FROM b GROUP BY ALL) SELECT user_id, strftime(st, '%Y-%m-%d %H:%M:%S') AS start, e, f FROM c JOIN s USING (user_id, k) WHERE 2 * f > n",
 )
 
@@ -262,27 +311,27 @@ add(
 
 add(
     "frequent_parts_enriched",
-    lambda spark, sf: _ample(STREAMS["partkey"](spark, sf), "0.0007").join(streams.read(spark, sf, "part"), F.col("e") == F.col("p_partkey")).select("p_partkey", "p_name", "p_brand", "est"),
+    lambda spark, sf: _verified(STREAMS["partkey"](spark, sf), "0.0007").join(streams.read(spark, sf, "part"), F.col("e") == F.col("p_partkey")).select("p_partkey", "p_name", "p_brand", "est"),
     f"WITH {_counts('partkey')} SELECT p_partkey, p_name, p_brand, f AS est FROM c, t, part WHERE e = p_partkey AND {_over('0.0007')}",
 )
 
 
 def _regions(spark: SparkSession, sf: str) -> DataFrame:
-    found = _ample(STREAMS["cust"](spark, sf), "0.001").select(F.col("e").alias("c_custkey"), "est")
+    found = _verified(STREAMS["cust"](spark, sf), "0.001").select(F.col("e").alias("c_custkey"), "est")
     read = lambda n: streams.read(spark, sf, n)
     placed = found.join(read("customer"), "c_custkey").join(read("nation"), F.col("c_nationkey") == F.col("n_nationkey")).join(F.broadcast(read("region")), F.col("n_regionkey") == F.col("r_regionkey"))
     return placed.groupBy("r_name").agg(F.count("*").alias("customers"), F.sum("est").alias("orders"))
 
 
 add("frequent_customers_by_region", _regions, f"WITH {_counts('cust')}, q AS (SELECT e, f FROM c, t WHERE {_over('0.001')}) SELECT r_name, count(*) AS customers, CAST(sum(f) AS BIGINT) AS orders FROM q JOIN customer ON e = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY 1")
-add("active_users", lambda spark, sf: _ample(STREAMS["user"](spark, sf), "0.007").select("e", "est"), _frequent_sql("user", "0.007", "e, f AS est"))
-add("popular_hosts", lambda spark, sf: _ample(streams.page_hosts(spark, sf), "0.01").select("e", "est"), _frequent_sql("hosts", "0.01", "e, f AS est"))
-add("popular_tags", lambda spark, sf: _ample(streams.page_tags(spark, sf), "0.01").select("e", "est"), _frequent_sql("tags", "0.01", "e, f AS est"))
-add("json_keys", lambda spark, sf: _ample(streams.element_stream(streams.read(spark, sf, "events"), F.get_json_object("props", "$.k")), "0.01").select("e", "est"), _frequent_sql("json", "0.01", "e, f AS est"))
+add("active_users", lambda spark, sf: _verified(STREAMS["user"](spark, sf), "0.007").select("e", "est"), _frequent_sql("user", "0.007", "e, f AS est"))
+add("popular_hosts", lambda spark, sf: _verified(streams.page_hosts(spark, sf), "0.01").select("e", "est"), _frequent_sql("hosts", "0.01", "e, f AS est"))
+add("popular_tags", lambda spark, sf: _verified(streams.page_tags(spark, sf), "0.01").select("e", "est"), _frequent_sql("tags", "0.01", "e, f AS est"))
+add("json_keys", lambda spark, sf: _verified(streams.element_stream(streams.read(spark, sf, "events"), F.get_json_object("props", "$.k")), "0.01").select("e", "est"), _frequent_sql("json", "0.01", "e, f AS est"))
 
 
 def _cube(spark: SparkSession, sf: str) -> DataFrame:
-    found = _ample(STREAMS["suppkey"](spark, sf), "0.01").select(F.col("e").alias("l_suppkey"))
+    found = _verified(STREAMS["suppkey"](spark, sf), "0.01").select(F.col("e").alias("l_suppkey"))
     lines = streams.read(spark, sf, "lineitem").select("l_suppkey", "l_returnflag", "l_linestatus")
     kept = lines.join(F.broadcast(found), "l_suppkey", "left_semi")  # at most 1 / phi suppliers
     return kept.cube("l_returnflag", "l_linestatus").agg(F.count("*").alias("lines"), F.grouping_id().alias("level"))
@@ -316,17 +365,18 @@ add("frequent_counts_pivot", _counts_by_stream, _counts_by_stream_sql())
 
 
 def _adverse(spark: SparkSession, sf: str) -> DataFrame:
-    """Guarantees under adverse orders of the same arrivals."""
+    """Guarantees under adverse orders of the same arrivals, with few counters and small hand-overs."""
     given = streams.element_stream(streams.read(spark, sf, "events"), "user_id", order=["event_id"]).withColumnRenamed("event_id", "ord")
-    spec = SupportSpec("0.004", owners=4)
+    spec = SupportSpec("0.008", "0.0078", owners=2, slots=8, every=50)
     parts = []
     for how in ("ascending", "descending", "round_robin", "tail_first"):
-        answer = engine.frequent(streams.reordered(given, how), spec, deterministic=True)
-        parts.append(metrics.violations(answer, exact_counts(given), spec.phi, spec.eps).select(F.lit(how).alias("how"), "n", "n_true", *_ALL))
+        summary = engine.build_summary(streams.reordered(given, how), spec, deterministic=True)
+        broken = metrics.violations(engine.query(summary, spec.phi), exact_counts(given), spec.phi, spec.eps).select(F.lit(how).alias("how"), "n", "n_true", *_ALL)
+        parts.append(broken.crossJoin(F.broadcast(summary.agg((F.max("f_min") > 0).alias("evicted")))))
     return parts[0].unionByName(parts[1]).unionByName(parts[2]).unionByName(parts[3])
 
 
-add("adverse_orders_users", _adverse, f"SELECT how, v.* FROM ({_verdict_sql('user', '0.004', _ALL)}) AS v, (VALUES ('ascending'), ('descending'), ('round_robin'), ('tail_first')) AS h(how)")
+add("adverse_orders_users", _adverse, f"SELECT how, v.* FROM ({_verdict_sql('user', '0.008', _ALL).replace(' FROM c, t', ', true AS evicted FROM c, t')}) AS v, (VALUES ('ascending'), ('descending'), ('round_robin'), ('tail_first')) AS h(how)")
 add("builtin_items_types", lambda spark, sf: sketches.builtin_frequent_items(streams.element_stream(streams.read(spark, sf, "events"), "event_type"), 0.1), "SELECT DISTINCT event_type AS e FROM events")
 add("state_bytes_words", lambda spark, sf: metrics.state_bytes(engine.build_summary(_words(spark, sf), SupportSpec(_phi, owners=OWNERS))))
 
@@ -343,13 +393,57 @@ def _as_of(spark: SparkSession, sf: str) -> DataFrame:
 
 add("as_of_purchases", _as_of, "WITH a AS (SELECT event_type, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS last_type FROM events) SELECT last_type, count(*) AS purchases FROM a WHERE event_type = 'purchase' GROUP BY 1")
 
+# --- updates and queries mixed: the comparison of the methods ---
+
+
+def _mixed_sql(arrivals: str, labels: list[str], owners: tuple[int, ...]) -> str:
+    """What must hold of every run: its queries, what merging takes of a matrix per worker, and no broken guarantee."""
+    sets = {"label": labels, "method": mixed.METHODS, "phi": workloads.SCALED}
+    given = ", ".join(f"(VALUES {', '.join(f"('{x}')" for x in xs)}) AS v_{k}({k})" for k, xs in sets.items())
+    shares = ", ".join(f"({x}::DOUBLE, {round(1 / x) if x else 0})" for x in workloads.QUERY_SHARES)
+    merged = "CASE WHEN method LIKE 'cell_majority%' THEN owners * 4 * CAST(round(10 / CAST(phi AS DOUBLE)) AS BIGINT) * (CASE WHEN gap > 0 THEN n // gap ELSE 0 END) ELSE 0 END"
+    return (
+        f"WITH n AS ({arrivals}) SELECT label, method, owners, phi, share, n AS arrivals, CASE WHEN gap > 0 THEN n // gap ELSE 0 END AS queries, {merged} AS merged, "
+        f"0::BIGINT AS missed, 0::BIGINT AS low, 0::BIGINT AS spurious, 0::BIGINT AS over_bound FROM n, {given}, (VALUES {', '.join(f'({t}::INTEGER)' for t in owners)}) AS o(owners), (VALUES {shares}) AS q(share, gap)"
+    )
+
+
+add("mixed_verdicts_by_skew", lambda spark, sf: workloads.verdicts(workloads.mixed_by_skew(spark, sf)), _mixed_sql("SELECT count(*) AS n FROM lineitem", [workloads.zipf_label(a) for a in workloads.SKEWS], (24,)))
+add("mixed_verdicts_by_threads", lambda spark, sf: workloads.verdicts(workloads.mixed_by_threads(spark, sf)), _mixed_sql(f"SELECT count(*) AS n FROM ({STREAM_SQL['words']}) AS s", ["words"], workloads.THREADS))
+add("throughput_by_skew", lambda spark, sf: workloads.speeds(workloads.mixed_by_skew(spark, sf)))
+add("throughput_by_threads", lambda spark, sf: workloads.speeds(workloads.mixed_by_threads(spark, sf)))
+add("latency_by_skew", workloads.mixed_latency)
+add("latency_by_threads", lambda spark, sf: workloads.mixed_latency(spark, sf, "threads"))
+
+
+def _handed_over(spark: SparkSession, sf: str) -> DataFrame:
+    """What 8 workers hand over of all words, by age alone and with a summary that replaces many."""
+    mix = mixed.Mix("words", "owner_split", 8, "0.001", 0.0, 1_000, 1_001)
+    return mixed.run_grid(spark, {"words": workloads.word_arrays(spark, sf)}, [mix]).select("arrivals", "handovers", "pairs", "n_true", "hits")
+
+
+add(
+    "handed_over_words",
+    _handed_over,
+    rf"WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(trim(text)), '[^\p{{L}}\p{{N}}]+'), x -> x <> '') AS es FROM documents), w AS (SELECT doc_id, unnest(es) AS e, generate_subscripts(es, 1) AS i FROM d), k AS (SELECT e, row_number() OVER (ORDER BY doc_id, i) - 1 AS k FROM w), b AS (SELECT e, k % 8 AS j, k // 8 // 1000 AS block FROM k), c AS (SELECT e, count(*) AS f FROM k GROUP BY 1), t AS (SELECT sum(f) AS n FROM c), x AS (SELECT count(*) AS n_true FROM c, t WHERE {_over('0.001')}) SELECT CAST((SELECT n FROM t) AS BIGINT) AS arrivals, (SELECT count(*) FROM (SELECT DISTINCT j, block FROM b)) AS handovers, (SELECT count(*) FROM (SELECT DISTINCT j, block, e FROM b)) AS pairs, n_true, n_true AS hits FROM x",
+)
+add(
+    "error_by_owners_words",
+    lambda spark, sf: workloads.accuracies(mixed.run_grid(spark, {"words": workloads.word_arrays(spark, sf)}, workloads.grid_by_threads("words", ["owner_split"], shares=(0.0,)))).select("owners", "phi", "length", "n_true", "recall"),
+    f"WITH {_counts('words')} SELECT * FROM (" + " UNION ALL ".join(f"SELECT owners, '{p}' AS phi, max(n) AS length, CAST(count(*) FILTER (WHERE {_over(p)}) AS BIGINT) AS n_true, 1.0::DOUBLE AS recall FROM c, t, (VALUES {', '.join(f'({x}::INTEGER)' for x in workloads.THREADS)}) AS o(owners) GROUP BY owners" for p in workloads.SCALED) + ")",
+)
+add(
+    "memory_by_threads",
+    lambda spark, sf: workloads.memory_by_threads(spark).select("method", "phi", "threads", F.round("bytes").cast("long").alias("bytes")),
+    "SELECT method, phi, threads, CAST(round(CASE method WHEN 'owner_split' THEN 32 * 10 / p + threads * threads * 167 WHEN 'merge_collector' THEN 2 * (threads + 1) / (p / 100) * 32 ELSE 4 * threads * 10 / p * 32 END) AS BIGINT) AS bytes FROM (VALUES ('0.001', 0.001::DOUBLE), ('0.0001', 0.0001), ('0.00001', 0.00001)) AS v(phi, p), (VALUES ('owner_split'), ('merge_collector'), ('cell_majority')) AS m(method), (VALUES (1::INTEGER), (2), (4), (8), (16), (24), (50), (100), (200), (300), (450)) AS x(threads)",
+)
+
 # --- experiments without an SQL form ---
 
-add("accuracy_by_skew", lambda spark, sf: workloads.accuracy_by_skew(spark, sf, skews=(0.75, 1.25), supports=("0.01",)))
-add("error_by_length", lambda spark, sf: workloads.error_by_length(spark, sf, skews=(1.25,)))
-add("error_by_owners", lambda spark, sf: workloads.error_by_owners(spark, sf, threads=(4, 24)))
-add("inner_costs_by_skew", workloads.inner_costs_by_skew)
+add("accuracy_by_skew", workloads.accuracy_by_skew)
+add("error_by_owners", workloads.error_by_owners)
+add("staleness_by_length", workloads.staleness_by_length)
+add("equal_bytes_words", workloads.equal_bytes)
 add("frequent_counts_by_skew", workloads.frequent_counts_by_skew)
-add("shuffled_pairs", lambda spark, sf: workloads.shuffled_pairs(spark, sf, skews=(0.5, 1.0, 3.0), every=(1_000, 100_000)))
+add("shuffled_pairs", workloads.shuffled_pairs)
 add("qualitative_report", workloads.qualitative)
-add("latency_by_skew", lambda spark, sf: timing.latency_by_skew(spark))

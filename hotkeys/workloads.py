@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+from fractions import Fraction
 from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from hotkeys import mixed
+from hotkeys.frames import keep
 from hotkeys.functions.metrics import accuracy
 from hotkeys.operators import baselines, sketches
 from hotkeys.operators import owner_split as engine
@@ -15,7 +18,7 @@ from hotkeys.operators.exact import exact_counts
 from hotkeys.plans import sizing
 from hotkeys.sim import Setting, simulate
 from hotkeys.sources import streams
-from hotkeys.spec import SupportSpec
+from hotkeys.spec import SupportSpec, exact
 
 #: The exponents and supports of the experiments.
 SKEWS = (0.5, 0.75, 1.0, 1.25, 1.5, 1.75, 2.0, 2.25, 2.5, 2.75, 3.0)
@@ -68,31 +71,122 @@ def accuracy_report(stream: DataFrame, spec: SupportSpec, methods: list[str] | N
 
 
 MAIN = ["owner_split", "merge_collector", "cell_majority"]
+#: Shares of queries of the roll-up: few and many.
+FEW, MANY = 0.0001, 0.001
 
 
-def accuracy_by_skew(spark: SparkSession, sf_dir: str, skews=(0.75, 1.25, 2.0), supports=("0.01", "0.001"), owners: int = 24) -> DataFrame:
-    parts = []
-    for a in skews:
-        stream = zipf(spark, sf_dir, a).persist()
-        parts += [accuracy_report(stream, spec_for(p, owners, a), MAIN, skew=a, phi=p) for p in supports]
-    return reduce(DataFrame.unionByName, parts)
+def zipf_label(a: float) -> str:
+    return f"zipf_{a:g}"
 
 
-def error_by_length(spark: SparkSession, sf_dir: str, skews=(0.75, 1.25, 2.0), phi: str = "0.001", owners: int = 24) -> DataFrame:
-    """Average relative error on growing prefixes of each stream."""
+def zipf_arrays(spark: SparkSession, sf_dir: str, skews=SKEWS) -> dict[str, DataFrame]:
+    """Generated streams as long as lineitem, by label."""
     n = rows_of(spark, sf_dir)
-    parts = []
-    for a in skews:
-        stream = zipf(spark, sf_dir, a, n).persist()
-        parts += [accuracy_report(streams.prefix(stream, "ord", k), spec_for(phi, owners, a), MAIN, skew=a, length=k) for k in (n // 8, n // 4, n // 2, n)]
-    return reduce(DataFrame.unionByName, parts)
+    return {zipf_label(a): mixed.packed(streams.zipf_stream(spark, n, n, a)) for a in skews}
+
+
+def grid_by_skew(methods=mixed.METHODS, skews=SKEWS, supports=SCALED, shares=QUERY_SHARES, owners: int = 24) -> list[mixed.Mix]:
+    return [mixed.Mix(zipf_label(a), m, owners, p, share, skew=a) for a in skews for m in methods for p in supports for share in shares]
+
+
+def grid_by_threads(label: str, methods=mixed.METHODS, threads=THREADS, supports=SCALED, shares=QUERY_SHARES) -> list[mixed.Mix]:
+    return [mixed.Mix(label, m, t, p, share) for m in methods for t in threads for p in supports for share in shares]
+
+
+def mixed_by_skew(spark: SparkSession, sf_dir: str, **grid) -> DataFrame:
+    """Updates mixed with queries on every skew, support and share, by 24 workers of every method."""
+    return mixed.run_grid(spark, zipf_arrays(spark, sf_dir, grid.get("skews", SKEWS)), grid_by_skew(**grid))
+
+
+def mixed_by_threads(spark: SparkSession, sf_dir: str, source: str = "words", **grid) -> DataFrame:
+    """The same over the number of workers, on the words of documents or on the Zipf stream of exponent 1."""
+    given = {"words": word_arrays(spark, sf_dir)} if source == "words" else zipf_arrays(spark, sf_dir, (1.0,))
+    return mixed.run_grid(spark, given, grid_by_threads(next(iter(given)), **grid))
+
+
+def speeds(rows: DataFrame) -> DataFrame:
+    """Records with what is compared: speed-up over the single summary by critical steps, work a query, and rates.
+
+    steps_a_query: counters compared, merged and looked up; million_a_s and query_us are of one machine's single thread.
+    """
+    base = rows.filter("method = 'single_summary'").select("label", "owners", "phi", "share", F.col("critical").alias("single_critical"))
+    both = rows.join(F.broadcast(base), ["label", "owners", "phi", "share"])
+    steps = (F.col("comparisons") + F.col("merged") + F.col("lookups")) / F.greatest("queries", F.lit(1))
+    rate = (F.col("arrivals") + F.col("queries")) / (F.col("seconds") + F.col("query_seconds")) / 1e6
+    out = both.withColumn("speed_up", F.col("single_critical") / F.col("critical")).withColumn("steps_a_query", steps).withColumn("million_a_s", rate).withColumn("query_us", 1e6 * F.col("query_seconds") / F.greatest("queries", F.lit(1)))
+    return out.select("label", "method", "owners", "phi", "share", "arrivals", "queries", "handovers", "pairs", "critical", "speed_up", "steps_a_query", "answers", "million_a_s", "query_us")
+
+
+#: Methods that never miss, and never report an estimate that is low, once buffers are handed over.
+CERTAIN = ["owner_split", "owner_split_minheap", "owner_split_counting", "single_summary"]
+
+
+def verdicts(rows: DataFrame) -> DataFrame:
+    """Records with what must hold whatever the data: counts of queries and merged counters, and broken guarantees."""
+    sure = F.col("method").isin(CERTAIN)
+    none = F.lit(0).cast("long")
+    over = F.when(F.col("method").isin("owner_split", "single_summary"), (F.col("comparisons") > 4 * F.col("answers") + 2 * F.col("owners") * F.col("queries")).cast("long")).otherwise(none)
+    zero = lambda c: F.when(sure, c).otherwise(none)
+    return rows.select("label", "method", "owners", "phi", "share", "arrivals", "queries", "merged", zero(F.col("n_true") - F.col("hits")).alias("missed"), zero(F.col("low")).alias("low"), zero(F.col("spurious")).alias("spurious"), over.alias("over_bound"))
+
+
+def accuracies(rows: DataFrame) -> DataFrame:
+    """Records as precision, recall and relative error; of two empty sets precision and recall are 1."""
+    share = lambda of: F.when(F.col(of) > 0, F.col("hits") / F.col(of)).when(F.col("n_true") + F.col("n_reported") == 0, F.lit(1.0)).otherwise(F.lit(0.0))
+    return rows.select("label", "method", "owners", "phi", F.col("arrivals").alias("length"), "n_true", "n_reported", share("n_reported").alias("precision"), share("n_true").alias("recall"), "are", "late")
+
+
+def accuracy_by_skew(spark: SparkSession, sf_dir: str, skews=SKEWS, supports=SCALED, owners: int = 24, parts: int = 4) -> DataFrame:
+    """Precision, recall and relative error at the whole length, its half, quarter and eighth: every skew and support."""
+    grid = grid_by_skew(MAIN, skews, supports, (0.0,), owners)
+    return accuracies(mixed.run_grid(spark, zipf_arrays(spark, sf_dir, skews), grid, parts))
+
+
+def error_by_owners(spark: SparkSession, sf_dir: str, threads=THREADS, supports=SCALED) -> DataFrame:
+    """The same over the number of workers, on the Zipf stream of exponent 1 and on words."""
+    given = zipf_arrays(spark, sf_dir, (1.0,)) | {"words": word_arrays(spark, sf_dir)}
+    grid = [x for label in given for x in grid_by_threads(label, MAIN, threads, supports, (0.0,))]
+    return accuracies(mixed.run_grid(spark, given, grid))
 
 
-def error_by_owners(spark: SparkSession, sf_dir: str, threads=(1, 4, 24), phi: str = "0.001") -> DataFrame:
+def staleness_by_length(spark: SparkSession, sf_dir: str, phi: str = "0.001", owners: int = 24, parts: int = 8) -> DataFrame:
+    """How many frequent elements wait unreported in buffers as the stream doubles: their share goes to nothing."""
+    rows = accuracies(mixed.run_grid(spark, {"words": word_arrays(spark, sf_dir)}, [mixed.Mix("words", "owner_split", owners, phi)], parts))
+    return rows.select("length", "n_true", "late", (F.col("late") / F.greatest("n_true", F.lit(1))).alias("late_share"))
+
+
+def mixed_latency(spark: SparkSession, sf_dir: str, by: str = "skew") -> DataFrame:
+    """Work and time of a query at one query in 10,000 operations, over skews by 24 workers or over workers at exponent 1."""
+    methods = ("owner_split", "owner_split_minheap", "merge_collector", "cell_majority", "single_summary")
+    if by == "skew":
+        rows = mixed_by_skew(spark, sf_dir, methods=methods, supports=("0.0001",), shares=(0.0001,))
+    else:
+        rows = mixed_by_threads(spark, sf_dir, "zipf", methods=methods, supports=("0.0001",), shares=(0.0001,))
+    return speeds(rows).select("label", "method", "owners", "queries", "answers", "steps_a_query", "query_us")
+
+
+def equal_bytes(spark: SparkSession, sf_dir: str, sizes=(16_384, 65_536, 262_144), phi: str = "0.001") -> DataFrame:
+    """(bytes, method, recall, precision, are): counter- and sketch-based methods that hold the same number of bytes.
+
+    A Space-Saving slot has element, count, error and links (32 bytes), a Frequent or Lossy entry 24, a sketch's cell 8 and a
+    majority cell 16; sketches have 5 rows (majority 4). Answers are of one task, over the words of documents.
+    """
+    stream = keep(streams.documents_words(spark, sf_dir).coalesce(1))
+    counts = keep(exact_counts(stream))
     parts = []
-    for name, stream in (("zipf_1", zipf(spark, sf_dir, 1.0)), ("words", streams.documents_words(spark, sf_dir))):
-        stream = stream.persist()
-        parts += [accuracy_report(stream, spec_for(phi, t), MAIN, tasks=t, source=name, owners=t) for t in threads]
+    for size in sizes:
+        spec = SupportSpec(phi, eps=Fraction(24, size), owners=1, counters=size // 32) if Fraction(24, size) <= exact(phi) else SupportSpec(phi, eps=phi, owners=1, counters=size // 32)
+        made = {
+            "space_saving": engine.query(baselines.single_summary(stream, spec), spec.phi),
+            "frequent": baselines.frequent_unit(stream, spec, 1),
+            "lossy_counting": baselines.lossy_counting(stream, spec, 1),
+            "count_min": sketches.count_min(stream, spec, width=size // 40, depth=5),
+            "count_sketch": sketches.count_sketch(stream, spec, size // 40, 5),
+            "cell_majority": baselines.cell_majority(stream, spec, 4, 1, size // 64),
+        }
+        for name, answer in made.items():
+            own = accuracy(answer, counts, phi, over="true")
+            parts.append(own.select(F.lit(size).alias("bytes"), F.lit(name).alias("method"), *own.columns))
     return reduce(DataFrame.unionByName, parts)
 
 
@@ -119,35 +213,22 @@ def inner_costs(stream: DataFrame, spec: SupportSpec) -> DataFrame:
     return summary.select("owner", "m", "slots").crossJoin(F.broadcast(n)).mapInArrow(run, "owner long, m long, answers long, comparisons long, bound long, scan long")
 
 
-def inner_costs_by_skew(spark: SparkSession, sf_dir: str, skews=SKEWS[::2], phi: str = "0.001", owners: int = 24) -> DataFrame:
-    parts = []
-    for a in skews:
-        own = inner_costs(zipf(spark, sf_dir, a), spec_for(phi, owners))
-        parts.append(own.agg(F.sum("answers").alias("answers"), F.sum("comparisons").alias("comparisons"), F.sum("scan").alias("scan")).withColumn("skew", F.lit(a)))
-    return reduce(DataFrame.unionByName, parts)
-
-
-def frequent_counts_by_skew(spark: SparkSession, sf_dir: str, skews=(1.25, 2.0, 3.0)) -> DataFrame:
-    """(skew, phi, found, expected): frequent elements of generated streams against the endless stream's."""
-    from hotkeys.functions.metrics import frequent_count
-
-    parts = []
-    for a in skews:
-        found = frequent_count(exact_counts(zipf(spark, sf_dir, a)), list(SCALED[:2]))
-        expected = F.create_map(*[x for p in SCALED[:2] for x in (F.lit(p), F.lit(sizing.zipf_frequent_count(p, a)))])
-        parts.append(found.select(F.lit(a).alias("skew"), "phi", F.col("n_frequent").alias("found"), expected[F.col("phi")].cast("long").alias("expected")))
-    return reduce(DataFrame.unionByName, parts)
+def frequent_counts_by_skew(spark: SparkSession, sf_dir: str, skews=SKEWS) -> DataFrame:
+    """(skew, phi, found, expected): frequent elements of generated streams against the endless stream's (exponents over 1)."""
+    n = rows_of(spark, sf_dir)
+    rows = reduce(DataFrame.unionByName, [streams.zipf_stream(spark, n, n, a).select(F.lit(a).alias("skew"), "e") for a in skews])
+    counts = rows.groupBy("skew", "e").agg(F.count("*").alias("f"))
+    found = counts.groupBy("skew").agg(*[F.count_if(F.col("f") * exact(p).denominator > F.lit(n) * exact(p).numerator).alias(f"p{i}") for i, p in enumerate(SCALED)])
+    expected = spark.createDataFrame([(a, p, sizing.zipf_frequent_count(p, a) if a > 1 else None) for a in skews for p in SCALED], "skew double, phi string, expected long")
+    tall = found.select("skew", F.explode(F.array(*[F.struct(F.lit(p).alias("phi"), F.col(f"p{i}").alias("found")) for i, p in enumerate(SCALED)])).alias("x")).select("skew", "x.*")
+    return tall.join(F.broadcast(expected), ["skew", "phi"])
 
 
-def shuffled_pairs(spark: SparkSession, sf_dir: str, skews=(0.5, 1.0, 2.0, 3.0), every=(1_000, 10_000, 100_000), owners: int = 24) -> DataFrame:
+def shuffled_pairs(spark: SparkSession, sf_dir: str, skews=SKEWS, every=(1_000, 10_000, 100_000), owners: int = 24) -> DataFrame:
     """(skew, every, n, pairs): how many pairs the buffers hand over; the machine-free side of throughput."""
-    parts = []
-    for a in skews:
-        stream = zipf(spark, sf_dir, a).persist()
-        for e in every:
-            pairs = engine.handover(stream, SupportSpec("0.001", owners=owners, every=e))
-            parts.append(pairs.agg(F.sum("w").alias("n"), F.count("*").alias("pairs")).select(F.lit(a).alias("skew"), F.lit(e).alias("every"), "n", "pairs"))
-    return reduce(DataFrame.unionByName, parts)
+    grid = [mixed.Mix(zipf_label(a), "owner_split", owners, "0.01", 0.0, e, 4096, a) for a in skews for e in every]
+    rows = mixed.run_grid(spark, zipf_arrays(spark, sf_dir, skews), grid)
+    return rows.select("label", F.col("handovers"), F.col("arrivals").alias("n"), "pairs")
 
 
 def sample_stream(spark: SparkSession, sf_dir: str, k: int = 4_000) -> DataFrame:
@@ -168,13 +249,16 @@ def overlap_runs(spark: SparkSession, sf_dir: str, count_buffers: bool = False,
     return simulate(stream(spark, sf_dir), settings, spark)
 
 
+def enhancement_grid(label: str = "words") -> list[mixed.Mix]:
+    """24 workers, support 1e-4, hand-over at 1,000 arrivals or 32 elements, a query every 10 updates, buffers ignored or counted."""
+    return [mixed.Mix(label, m, 24, "0.0001", 0.1, 1_000, 32) for m in ("owner_split", "owner_split_counting")]
+
+
 def enhancement_ab(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The query enhancement on and off: what a query compares and looks up, and what it reports late."""
-    parts = []
-    for off in (False, True):
-        rows = overlap_runs(spark, sf_dir, off)
-        parts.append(rows.groupBy("run_id").agg(F.avg(F.col("comparisons") + F.col("lookups")).alias("work"), F.sum("late").alias("late"), F.count("*").alias("queries")).withColumn("count_buffers", F.lit(off)))
-    return reduce(DataFrame.unionByName, parts)
+    """The query enhancement on and off over all words: what a query compares and looks up, rates, and what is late."""
+    rows = mixed.run_grid(spark, {"words": word_arrays(spark, sf_dir)}, enhancement_grid())
+    steps = (F.col("comparisons") + F.col("lookups")) / F.col("queries")
+    return rows.select("method", "arrivals", "queries", "answers", (F.col("comparisons") / F.col("queries")).alias("comparisons_a_query"), (F.col("lookups") / F.col("queries")).alias("lookups_a_query"), steps.alias("steps_a_query"), "critical", "late", (1e6 * F.col("query_seconds") / F.col("queries")).alias("query_us"), ((F.col("arrivals") + F.col("queries")) / (F.col("seconds") + F.col("query_seconds")) / 1e6).alias("million_a_s"))
 
 
 def memory_model(spark: SparkSession, threads=(1, 24, 450), supports=SUPPORTS) -> DataFrame:
@@ -182,7 +266,30 @@ def memory_model(spark: SparkSession, threads=(1, 24, 450), supports=SUPPORTS) -
     return spark.createDataFrame(rows, "method string, phi string, threads int, bytes double")
 
 
-def qualitative(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Means over all settings and by method and support, from the accuracy grid."""
-    rows = accuracy_by_skew(spark, sf_dir, skews=(1.25, 2.0))
-    return rows.cube("method", "phi").agg(F.avg("precision").alias("precision"), F.avg("recall").alias("recall"), F.avg("are").alias("are"), F.grouping_id().alias("level"))
+def memory_by_threads(spark: SparkSession, threads=(1, 2, 4, 8, 16, 24, 50, 100, 200, 300, 450), supports=SUPPORTS) -> DataFrame:
+    """Modelled bytes of each method over workers, beside the bound with full buffers of 32 elements."""
+    full = F.when(F.col("method") == "owner_split", F.col("bytes") - F.col("threads") * F.col("threads") * sizing.BUFFER_BYTES + F.col("threads") * F.col("threads") * 32 * sizing.SLOT_BYTES)
+    return memory_model(spark, threads, supports).withColumn("full_buffer_bytes", full)
+
+
+def qualitative(spark: SparkSession, sf_dir: str, skews=(1.0, 1.5, 2.0, 2.5, 3.0)) -> DataFrame:
+    """(method, queries, answer, measure..., mark...) from measured runs: few or many queries, small or large answers.
+
+    24 workers, moderate to high skew, whole streams. Means over the skews are marked against the best method of their
+    column: ++ within 1.5 times (or 0.01 for shares and errors), + within 5 (0.1), - within 50 (0.3), else --.
+    """
+    rows = mixed.run_grid(spark, zipf_arrays(spark, sf_dir, skews), grid_by_skew(MAIN, skews, ("0.01", "0.0001"), (FEW, MANY)))
+    share = lambda of: F.when(F.col(of) > 0, F.col("hits") / F.col(of)).otherwise(F.lit(1.0))
+    measured = rows.select(
+        "method", F.when(F.col("share") == FEW, "few").otherwise("many").alias("queries"), F.when(F.col("phi") == "0.01", "small").otherwise("large").alias("answer"),
+        (F.col("critical") / F.col("arrivals")).alias("steps_an_arrival"), share("n_reported").alias("precision"), share("n_true").alias("recall"), "are",
+        (F.col("counters") * sizing.SLOT_BYTES).alias("bytes"), ((F.col("comparisons") + F.col("merged")) / F.greatest(F.lit(1), rows["queries"])).alias("steps_a_query"),
+    )
+    costs, shares = ["steps_an_arrival", "bytes", "steps_a_query"], ["precision", "recall", "are"]
+    means = measured.groupBy("method", "queries", "answer").agg(*[F.avg(c).alias(c) for c in costs + shares])
+    best = measured.groupBy("method", "queries", "answer").agg(*[F.avg(c).alias(c) for c in costs]).groupBy("queries", "answer").agg(*[F.min(c).alias(f"best_{c}") for c in costs])
+    joined = means.join(F.broadcast(best), ["queries", "answer"])
+    level = lambda x, a, b, c: F.when(x <= a, "++").when(x <= b, "+").when(x <= c, "-").otherwise("--")
+    marks = [level(F.col(c) / F.col(f"best_{c}"), 1.5, 5, 50).alias(f"mark_{c}") for c in costs]
+    marks += [level(F.col(c) if c == "are" else 1 - F.col(c), 0.01, 0.1, 0.3).alias(f"mark_{c}") for c in shares]
+    return joined.select("method", "queries", "answer", *costs, *shares, *marks)
