@@ -6,7 +6,7 @@ counted in steps that no machine changes: a counter that is touched by an update
 critical counts. Seconds are measured beside them, of the updates and of the queries.
 
 Each step depends on the last, so a run is one pass of one task; a task makes all runs over one stream at once, and the grid
-of settings is what Spark deals out. At marked lengths buffers are handed over and a query is held against exact counts.
+of settings is what Spark deals out. Queries change no state, so settings that differ only in them share a run. At marked lengths buffers are handed over and a query is held against exact counts.
 """
 
 from __future__ import annotations
@@ -15,10 +15,10 @@ import math
 import time
 import zlib
 from collections import Counter
-from collections.abc import Hashable, Iterator
+from collections.abc import Hashable, Iterable, Iterator
 from dataclasses import dataclass
-from fractions import Fraction
 from itertools import groupby
+from typing import NamedTuple
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -70,17 +70,22 @@ class Hashes(dict):
         return value
 
 
+class Steps(NamedTuple):
+    comparisons: int = 0
+    merged: int = 0
+    lookups: int = 0
+
+
 class Method:
-    """What all methods count. busy has the steps of each worker, the collector's last where there is one."""
+    """What all methods count in updates. busy has the steps of each worker, the collector's last where there is one."""
 
     def __init__(self, mix: Mix, hashes: Hashes):
         self.mix, self.hashes = mix, hashes
         self.phi = exact(mix.phi)
         self.eps = self.phi / 10
         self.t = mix.owners
-        self.n = self.handovers = self.pairs = self.comparisons = self.merged = self.lookups = 0
+        self.n = self.handovers = self.pairs = 0
         self.busy = [0] * self.t
-        self.asked = 0
 
     def counters(self) -> int:
         """Counters for each owner, by the distribution."""
@@ -89,13 +94,13 @@ class Method:
     def feed(self, elements: list[Hashable]) -> None:
         raise NotImplementedError
 
-    def answer(self) -> list[tuple[Hashable, int]]:
+    def answer(self) -> tuple[list[tuple[Hashable, int]], Steps]:
+        """What a query reports now, and its steps; nothing changes by it."""
         raise NotImplementedError
 
-    def query(self) -> int:
-        """A query by the worker whose turn it is; how many elements it reports."""
-        self.asked += 1
-        return len(self.answer())
+    def payers(self, k: int, method: str) -> Iterable[int]:
+        """Workers that are busy with query k."""
+        return (k % self.t,)
 
     def flush(self) -> None:
         """Hand over what waits."""
@@ -130,13 +135,12 @@ class OwnerSplit(Method):
             for e, w in pairs.items():
                 update(e, w)
 
-    def answer(self) -> list[tuple[Hashable, int]]:
-        n, found, before = sum(own.n for own in self.inner), [], self.comparisons
+    def answer(self) -> tuple[list[tuple[Hashable, int]], Steps]:
+        n, found, compared = sum(own.n for own in self.inner), [], 0
         for own in self.inner:
             found += own.query(self.phi, n)
-            self.comparisons += own.stats.comparisons
-        self.busy[self.asked % self.t] += self.comparisons - before
-        return found
+            compared += own.stats.comparisons
+        return found, Steps(compared)
 
     def flush(self) -> None:
         for b in self.buffers:
@@ -149,7 +153,10 @@ class OwnerSplitMinHeap(OwnerSplit):
 
 
 class OwnerSplitCounting(OwnerSplit):
-    """A query also counts what waits in the buffers: summaries are searched from phi N less the most that waits of an element on."""
+    """A query also counts what waits in the buffers: it searches the summaries and then goes through every pair that waits.
+
+    Which elements that adds is kept up to date here, so that the pairs need not be walked to be counted.
+    """
 
     def __init__(self, mix: Mix, hashes: Hashes):
         super().__init__(mix, hashes)
@@ -184,19 +191,15 @@ class OwnerSplitCounting(OwnerSplit):
                 if (self._est(i, e) + self.waiting.get(e, 0)) * self.phi.denominator > self.phi.numerator * self.n:
                     self.near.add(e)
 
-    def answer(self) -> list[tuple[Hashable, int]]:
-        thr = self.phi * self.n
-        self.near = {e for e in self.near if self._est(self.hashes[e] % self.t, e) + self.waiting.get(e, 0) > thr}
-        # what a query has to go through: every pair that waits, and the summaries down to what waiting pairs could lift
-        waits = sum(len(x) for b in self.buffers for x in b.held)
-        low = max(Fraction(0), thr - max((self.waiting[e] for e in self.near), default=0))
-        before = self.comparisons
+    def answer(self) -> tuple[list[tuple[Hashable, int]], Steps]:
+        p, q = self.phi.numerator * self.n, self.phi.denominator
+        self.near = {e for e in self.near if (self._est(self.hashes[e] % self.t, e) + self.waiting.get(e, 0)) * q > p}
+        compared = 0
         for own in self.inner:
-            own.query(low, 1)
-            self.comparisons += own.stats.comparisons
-        self.lookups += waits
-        self.busy[self.asked % self.t] += waits + self.comparisons - before
-        return [(e, self._est(self.hashes[e] % self.t, e) + self.waiting.get(e, 0)) for e in self.near]
+            own.query(self.phi, self.n)
+            compared += own.stats.comparisons
+        found = [(e, self._est(self.hashes[e] % self.t, e) + self.waiting.get(e, 0)) for e in self.near]
+        return found, Steps(compared, 0, sum(len(x) for b in self.buffers for x in b.held))
 
 
 class SingleSummary(Method):
@@ -213,11 +216,11 @@ class SingleSummary(Method):
         self.n += len(elements)
         self.busy[0] += len(elements)
 
-    def answer(self) -> list[tuple[Hashable, int]]:
-        found = self.own.query(self.phi)
-        self.comparisons += self.own.stats.comparisons
-        self.busy[0] += self.own.stats.comparisons
-        return found
+    def answer(self) -> tuple[list[tuple[Hashable, int]], Steps]:
+        return self.own.query(self.phi), Steps(self.own.stats.comparisons)
+
+    def payers(self, k: int, method: str) -> Iterable[int]:
+        return (0,)
 
 
 class MergeCollector(Method):
@@ -253,24 +256,25 @@ class MergeCollector(Method):
             else:
                 grown.pop(e, None)
 
-    def answer(self) -> list[tuple[Hashable, int]]:
+    def answer(self) -> tuple[list[tuple[Hashable, int]], Steps]:
         rows = self.all.to_rows()
-        self.comparisons += len(rows)
-        self.busy[self.t] += len(rows)
         # estimates are low by eps N at most
         low, d = (self.phi - self.eps).numerator * self.n, (self.phi - self.eps).denominator
-        return [(e, c) for e, c, _ in rows if c * d > low]
+        return [(e, c) for e, c, _ in rows if c * d > low], Steps(len(rows))
+
+    def payers(self, k: int, method: str) -> Iterable[int]:
+        return (self.t,)
 
 
 class CellMajority(Method):
-    """T matrices of 4 rows x 1 / eps cells; a query merges all their cells while the workers wait.
+    """T matrices of 4 rows x 1 / eps cells; a query merges all their cells while the workers wait, or, unsynchronised,
+    reads them while the others go on, when what it reads may be torn.
 
     Of the merge the sum of each cell's equal candidates is kept up to date here, so that a query need not be
     carried out cell by cell to be counted; its seconds are not measured.
     """
 
     rows = 4
-    synced = True
 
     def __init__(self, mix: Mix, hashes: Hashes):
         super().__init__(mix, hashes)
@@ -315,22 +319,15 @@ class CellMajority(Method):
             if most * d > low * self.n:
                 self.near.add(e)
 
-    def answer(self) -> list[tuple[Hashable, int]]:
-        cells = self.t * self.rows * self.cells
-        self.merged += cells
-        for j in range(self.t) if self.synced else (self.asked % self.t,):
-            self.busy[j] += cells
+    def answer(self) -> tuple[list[tuple[Hashable, int]], Steps]:
         low, d = (self.phi - self.eps).numerator * self.n, (self.phi - self.eps).denominator
         found = [(e, max(self.sums.get((c, e), 0) for c in self.at[e])) for e in self.near]
         found = [(e, c) for e, c in found if c * d > low]
         self.near = {e for e, _ in found}
-        return found
-
+        return found, Steps(0, self.t * self.rows * self.cells)
 
-class CellMajorityUnsynced(CellMajority):
-    """Queries read while workers go on, so only the asking worker is busy; what it reads may be torn."""
-
-    synced = False
+    def payers(self, k: int, method: str) -> Iterable[int]:
+        return (k % self.t,) if method == "cell_majority_unsynced" else range(self.t)
 
 
 KINDS: dict[str, type[Method]] = {
@@ -339,65 +336,86 @@ KINDS: dict[str, type[Method]] = {
     "owner_split_counting": OwnerSplitCounting,
     "merge_collector": MergeCollector,
     "cell_majority": CellMajority,
-    "cell_majority_unsynced": CellMajorityUnsynced,
+    "cell_majority_unsynced": CellMajority,
     "single_summary": SingleSummary,
 }
 
 FIELDS = "label string, method string, owners int, phi string, share double, arrivals long, queries long, handovers long, pairs long, comparisons long, merged long, lookups long, answers long, critical long, counters long, n_true long, n_reported long, hits long, late long, spurious long, low long, are double, seconds double, query_seconds double"
 
 
-class Run:
-    def __init__(self, mix: Mix, hashes: Hashes):
+class Asked:
+    """The queries of one setting, and what its workers pay for them."""
+
+    def __init__(self, mix: Mix, workers: int):
         self.mix = mix
-        self.own = KINDS[mix.method](mix, hashes)
-        self.seconds = self.query_seconds = 0.0
         self.queries = self.answers = 0
+        self.steps = Steps()
+        self.paid = [0] * workers
+        self.seconds = 0.0
+
+
+class Run:
+    """One method's state over one stream, and the settings that differ in nothing but when and how they ask."""
+
+    def __init__(self, mixes: list[Mix], hashes: Hashes):
+        self.own = KINDS[mixes[0].method](mixes[0], hashes)
+        self.asked = [Asked(mix, len(self.own.busy)) for mix in mixes]
+        self.gaps = sorted({mix.gap for mix in mixes} - {0})
+        self.seconds = 0.0
 
     def feed(self, elements: list[Hashable]) -> None:
-        start, at, gap = time.perf_counter(), 0, self.mix.gap
-        spent = 0.0
+        at = 0
         while at < len(elements):
-            end = min(len(elements), at + gap - self.own.n % gap) if gap else len(elements)
-            self.own.feed(elements[at:end] if (at, end) != (0, len(elements)) else elements)
+            end = min([len(elements), *[at + gap - self.own.n % gap for gap in self.gaps]])
+            start = time.perf_counter()
+            self.own.feed(elements[at:end])
+            self.seconds += time.perf_counter() - start
             at = end
-            if gap and self.own.n % gap == 0:
-                before = time.perf_counter()
-                self.answers += self.own.query()
-                self.queries += 1
-                spent += time.perf_counter() - before
-        self.query_seconds += spent
-        self.seconds += time.perf_counter() - start - spent
-
-    def record(self, truth: Counter, due: dict[Hashable, int]) -> dict:
-        """The run so far, and its accuracy by a query of its own, which counts as none.
+            if due := [x for x in self.asked if x.mix.gap and self.own.n % x.mix.gap == 0]:
+                start = time.perf_counter()
+                found, steps = self.own.answer()
+                spent = time.perf_counter() - start
+                for x in due:
+                    for j in self.own.payers(x.queries, x.mix.method):
+                        x.paid[j] += sum(steps)
+                    x.queries += 1
+                    x.answers += len(found)
+                    x.steps = Steps(*map(sum, zip(x.steps, steps, strict=True)))
+                    x.seconds += spent
+
+    def records(self, truth: Counter, due: dict[Hashable, int]) -> Iterator[dict]:
+        """The settings so far, with the accuracy of a query of its own, which counts as none.
 
         late: frequent elements that are not reported while buffers hold what they hold; the rest is measured after a hand-over.
         """
-        own, mix = self.own, self.mix
-        kept = own.comparisons, own.merged, own.lookups, list(own.busy)
-        before = dict(own.answer())
-        own.comparisons, own.merged, own.lookups, own.busy = *kept[:3], list(kept[3])
+        own = self.own
+        before = dict(own.answer()[0])
         own.flush()
-        kept = own.comparisons, own.merged, own.lookups, list(own.busy)
-        found = dict(own.answer())
-        own.comparisons, own.merged, own.lookups, own.busy = kept[0], kept[1], kept[2], kept[3]
+        found = dict(own.answer()[0])
         hits = [e for e in found if e in due]
         floor = (own.phi - own.eps) * own.n
-        return {
-            "label": mix.label, "method": mix.method, "owners": mix.owners, "phi": mix.phi, "share": mix.share, "arrivals": own.n, "queries": self.queries, "handovers": own.handovers, "pairs": own.pairs,
-            "comparisons": own.comparisons, "merged": own.merged, "lookups": own.lookups, "answers": self.answers, "critical": max(own.busy), "counters": own.held,
-            "n_true": len(due), "n_reported": len(found), "hits": len(hits), "late": sum(e not in before for e in due), "spurious": sum(truth[e] < floor for e in found), "low": sum(c < truth[e] for e, c in found.items()),
-            "are": sum(abs(found[e] - truth[e]) / truth[e] for e in hits) / max(1, len(hits)), "seconds": self.seconds, "query_seconds": self.query_seconds,
-        }
+        for x in self.asked:
+            mix = x.mix
+            yield {
+                "label": mix.label, "method": mix.method, "owners": mix.owners, "phi": mix.phi, "share": mix.share, "arrivals": own.n, "queries": x.queries, "handovers": own.handovers, "pairs": own.pairs,
+                **x.steps._asdict(), "answers": x.answers, "critical": max(a + b for a, b in zip(own.busy, x.paid, strict=True)), "counters": own.held,
+                "n_true": len(due), "n_reported": len(found), "hits": len(hits), "late": sum(e not in before for e in due), "spurious": sum(truth[e] < floor for e in found), "low": sum(c < truth[e] for e, c in found.items()),
+                "are": sum(abs(found[e] - truth[e]) / truth[e] for e in hits) / max(1, len(hits)), "seconds": self.seconds, "query_seconds": x.seconds,
+            }
 
 
 CHUNK = 10_000
+#: Share of queries from which on a run has a task of its own.
+OFTEN = 0.01
 
 
 def run_all(elements: Iterator[Hashable], mixes: list[Mix], marks: list[int]) -> Iterator[dict]:
     """Records of all runs over one stream, at each marked length."""
     hashes, truth = Hashes(), Counter()
-    runs = [Run(mix, hashes) for mix in mixes]
+    alike: dict[tuple, list[Mix]] = {}
+    for mix in mixes:
+        alike.setdefault((KINDS[mix.method], mix.owners, mix.phi, mix.every, mix.slots, mix.skew), []).append(mix)
+    runs = [Run(own, hashes) for own in alike.values()]
     phis = {mix.phi: exact(mix.phi) for mix in mixes}
     n, held = 0, []
 
@@ -415,7 +433,8 @@ def run_all(elements: Iterator[Hashable], mixes: list[Mix], marks: list[int]) ->
             go()
         if n in marks:
             due = {name: {x: f for x, f in truth.items() if f * phi.denominator > phi.numerator * n} for name, phi in phis.items()}
-            yield from (r.record(truth, due[r.mix.phi]) for r in runs)
+            for r in runs:
+                yield from r.records(truth, due[r.asked[0].mix.phi])
 
 
 def packed(stream: DataFrame) -> DataFrame:
@@ -436,11 +455,13 @@ def run_grid(spark: SparkSession, streams: dict[str, DataFrame], mixes: list[Mix
     streams: (ord, es) by label, arrays of elements in the order of ord. Settings of one stream, number of workers and
     support share a task. Elements travel as text.
     """
-    groups = sorted({(m.label, m.owners, m.phi) for m in mixes})
-    own = {g: [m for m in mixes if (m.label, m.owners, m.phi) == g] for g in groups}
+    # runs that ask often are the longest, and get a task each
+    group = lambda m: (m.label, m.owners, m.phi, m.method if m.share >= OFTEN else "")
+    groups = sorted({group(m) for m in mixes})
+    own = {g: [m for m in mixes if group(m) == g] for g in groups}
     lengths = {label: s.agg(F.coalesce(F.sum(F.size("es")), F.lit(0))).first()[0] for label, s in streams.items()}
     marks = {label: [n >> k for k in range(parts) if n >> k] for label, n in lengths.items()}
-    asked = spark.createDataFrame([(k, label) for k, (label, _, _) in enumerate(groups)], "run int, label string")
+    asked = spark.createDataFrame([(k, label) for k, (label, *_) in enumerate(groups)], "run int, label string")
     rows = None
     for label, s in streams.items():
         one = s.select(F.lit(label).alias("label"), F.col("ord").cast("long").alias("ord"), F.col("es").cast("array<string>").alias("es"))

@@ -231,17 +231,11 @@ def shuffled_pairs(spark: SparkSession, sf_dir: str, skews=SKEWS, every=(1_000,
     return rows.select("label", F.col("handovers"), F.col("arrivals").alias("n"), "pairs")
 
 
-def sample_stream(spark: SparkSession, sf_dir: str, k: int = 4_000) -> DataFrame:
-    """The first k words of documents, in order: a bounded stream for the simulator."""
-    ordered = streams.read(spark, sf_dir, "documents").filter("doc_id < 40").select("doc_id", F.posexplode(F.split(F.lower(F.trim("text")), streams.NOT_WORD)).alias("pos", "e")).filter("e <> ''")
-    top = ordered.orderBy("doc_id", "pos").limit(k)
-    return top.select((F.col("doc_id") * 1_000_000 + F.col("pos")).alias("ord"), F.array("e").alias("es"))
-
-
-def word_arrays(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All words of documents in order, an array for each document: the simulator's whole stream."""
+def word_arrays(spark: SparkSession, sf_dir: str, name: str = "documents") -> DataFrame:
+    """All words of documents or conversations in order, an array for each text: the simulator's whole stream."""
     split = F.array_remove(F.split(F.lower(F.trim("text")), streams.NOT_WORD), "")
-    return streams.read(spark, sf_dir, "documents").filter(F.col("text").isNotNull()).select(F.col("doc_id").alias("ord"), split.alias("es"))
+    order = F.col("doc_id") if name == "documents" else F.col("conv_id") * 1_000_000 + F.col("turn")
+    return streams.read(spark, sf_dir, name).filter(F.col("text").isNotNull()).select(order.cast("long").alias("ord"), split.alias("es"))
 
 
 def overlap_runs(spark: SparkSession, sf_dir: str, count_buffers: bool = False, runs: int = 4, stream=word_arrays) -> DataFrame:
