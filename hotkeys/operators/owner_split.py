@@ -375,7 +375,7 @@ def frequent_by(stream: DataFrame, by: list[str], phi, m: int, inner: str = "min
     element = F.col("e.e0") if parts == ["e"] else F.struct(*[F.col(f"e.e{i}").alias(f.name) for i, f in enumerate(stream.schema["e"].dataType.fields)])
     pairs = handover(keyed, spec).select(*[F.col(f"e.by{i}").alias(f"by{i}") for i in range(len(by))], "owner", element.alias("e"), "w")
     groups = [f"by{i}" for i in range(len(by))]
-    slot = T.StructType([stream.schema["e"], T.StructField("est", T.LongType()), T.StructField("over", T.LongType())])
+    slot = T.StructType([T.StructField("e", stream.schema["e"].dataType), T.StructField("est", T.LongType()), T.StructField("over", T.LongType())])
     schema = T.StructType([*[T.StructField(g, stream.schema[b].dataType) for g, b in zip(groups, by, strict=True)], T.StructField("n_seen", T.LongType()), T.StructField("slots", T.ArrayType(slot))])
     kernel = KERNELS[inner]
 

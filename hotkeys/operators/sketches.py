@@ -50,7 +50,7 @@ def passed(stream: DataFrame, width: int, depth: int, seed: int = 42, signed: bo
     """
     share = exact(share) if share is not None else None
     given = stream.select("e", F.col("w").cast("long").alias("w"), F.xxhash64("e", F.lit(seed - 1)).alias("h"), *_at(width, depth, seed, signed))
-    schema = T.StructType([T.StructField("row", T.IntegerType()), T.StructField("cell", T.LongType()), T.StructField("c", T.LongType()), stream.schema["e"]])
+    schema = T.StructType([T.StructField("row", T.IntegerType()), T.StructField("cell", T.LongType()), T.StructField("c", T.LongType()), T.StructField("e", stream.schema["e"].dataType)])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         matrix, n, kind = np.zeros((depth, width), np.int64), 0, None

@@ -284,6 +284,6 @@ def qualitative(spark: SparkSession, sf_dir: str, skews=(1.0, 1.5, 2.0, 2.5, 3.0
     best = measured.groupBy("method", "queries", "answer").agg(*[F.avg(c).alias(c) for c in costs]).groupBy("queries", "answer").agg(*[F.min(c).alias(f"best_{c}") for c in costs])
     joined = means.join(F.broadcast(best), ["queries", "answer"])
     level = lambda x, a, b, c: F.when(x <= a, "++").when(x <= b, "+").when(x <= c, "-").otherwise("--")
-    marks = [level(F.col(c) / F.col(f"best_{c}"), 1.5, 5, 50).alias(f"mark_{c}") for c in costs]
+    marks = [level(F.col(c) / F.greatest(F.col(f"best_{c}"), F.lit(1e-9)), 1.5, 5, 50).alias(f"mark_{c}") for c in costs]
     marks += [level(F.col(c) if c == "are" else 1 - F.col(c), 0.01, 0.1, 0.3).alias(f"mark_{c}") for c in shares]
     return joined.select("method", "queries", "answer", *costs, *shares, *marks)
