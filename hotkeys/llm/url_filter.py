@@ -3,7 +3,8 @@
 Every rule is a regular expression over the host and a prefix of the path, with the literal tokens
 (runs of a-z and 0-9) that any match must hold as whole tokens of the URL. Of these the one found in the fewest URLs of the corpus keys the rule.
 A URL's tokens fetch the candidate rules, and only those run their expressions. Of the address
-rules that fit the longest wins; where none fits, a pattern rule that fits blocks.
+rules that fit the longest wins; where none fits, a pattern rule that fits blocks, unless another one allows. Rules
+come as a table of addresses and patterns; the tokens are read off the patterns.
 
 Defined results: a null url, or one without ://, has an empty host and path, no rule and verdict
 allow; repeated rows are judged each; the rule list travels to every task, so its length is
@@ -15,6 +16,8 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from re._constants import ASSERT_NOT, AT, AT_BEGINNING, AT_BEGINNING_STRING, AT_END, AT_END_STRING, LITERAL
+from re._parser import parse
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -46,9 +49,55 @@ def address_rule(action: str, address: str) -> UrlRule:
     return UrlRule(address, action, r"\A(?:.*\.)?" + re.escape(host) + r"\Z", slash + path, tuple(_TOKEN.findall(host) + _TOKEN.findall(whole)), len(address))
 
 
+def literal_tokens(pattern: str) -> tuple[str, ...]:
+    """Tokens that every match of a pattern holds whole: literal runs of a-z and 0-9 that no such character can adjoin.
+
+    Only what stands outside of groups, choices and repeats is certain. A run is whole between other literals, the
+    ends of the text, and assertions that no token character is there.
+    """
+    out: list[str] = []
+    run, whole = "", False
+
+    def ended(closed: bool) -> None:
+        nonlocal run, whole
+        if run and whole and closed:
+            out.append(run)
+        run, whole = "", closed
+
+    for op, value in parse(pattern):
+        if op is LITERAL and _TOKEN.fullmatch(chr(value)):
+            run += chr(value)
+        elif op is LITERAL and chr(value).lower() == chr(value):
+            ended(True)
+        elif op is AT and value in (AT_BEGINNING, AT_BEGINNING_STRING, AT_END, AT_END_STRING):
+            ended(True)
+        elif op is ASSERT_NOT and list(value[1]) == list(parse("[a-z0-9]")):
+            ended(True)
+        else:
+            ended(False)
+    ended(False)
+    return tuple(dict.fromkeys(out))
+
+
+def pattern_rule(name: str, action: str, host_pattern: str, path_prefix: str = "") -> UrlRule:
+    """A regular expression over the host, found anywhere in it, and a start of the path."""
+    return UrlRule(name, action, host_pattern, path_prefix, literal_tokens(host_pattern))
+
+
 def word_rule(word: str) -> UrlRule:
     """Blocks hosts with word, which may hold hyphens, as a whole hyphen-or-dot-bounded part."""
-    return UrlRule(word, "block", rf"(?<![a-z0-9]){re.escape(word)}(?![a-z0-9])", "", tuple(_TOKEN.findall(word)))
+    return pattern_rule(word, "block", rf"(?<![a-z0-9]){re.escape(word)}(?![a-z0-9])")
+
+
+def rules_of(table: DataFrame) -> tuple[UrlRule, ...]:
+    """Rules from a table (name, action, address, host_pattern, path_prefix): an address, or else a pattern.
+
+    At most MAX_RULES rows may come; a longer table is refused, for the rules travel to every task.
+    """
+    rows = table.select("name", "action", "address", "host_pattern", "path_prefix").orderBy("name", "action").take(MAX_RULES + 1)
+    if len(rows) > MAX_RULES:
+        raise ValueError(f"more than {MAX_RULES} rules")
+    return tuple([address_rule(r["action"], r["address"]) if r["address"] else pattern_rule(r["name"], r["action"], r["host_pattern"], r["path_prefix"] or "") for r in rows])
 
 
 #: The address rules of the op4 contract.
@@ -108,11 +157,16 @@ class RuleIndex:
         address = max((r for r in fits if r.rank), key=lambda r: (r.rank, r.name), default=None)
         if address:
             return address.name, address.action, len(candidates)
-        return None, "block" if fits else "allow", len(candidates)
+        # of pattern rules one that allows outweighs those that block
+        return None, "block" if fits and all(r.action == "block" for r in fits) else "allow", len(candidates)
+
 
+def judge_urls(pages: DataFrame, rules: tuple[UrlRule, ...] | DataFrame = RULES, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
+    """id, host, path, rule, verdict and the number of candidates tried, for each row; no shuffle.
 
-def judge_urls(pages: DataFrame, rules: tuple[UrlRule, ...] = RULES, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
-    """id, host, path, rule, verdict and the number of candidates tried, for each row; no shuffle."""
+    rules: a tuple, or a table as `rules_of` takes it.
+    """
+    rules = rules if isinstance(rules, tuple) else rules_of(rules)
     counts = token_counts(pages, rules, url_col)
     asked = pages.select(F.col(id_col).alias("id"), F.col(url_col).cast("string").alias("url"))
     id_type = asked.schema["id"].dataType.simpleString()

@@ -274,6 +274,19 @@ def test_urls(spark):
     assert "en" not in index.by_token and "example.net/en/" in {r.name for r, _ in index.by_token["net"]}
 
 
+def test_rules_come_from_a_table(spark):
+    tokens = url_filter.literal_tokens
+    assert tokens(r"(?<![a-z0-9])free\-bets(?![a-z0-9])") == ("free", "bets") and tokens(r"\Aads\.[a-z]+\.com\Z") == ("ads", "com")
+    assert tokens(r"ads") == tokens(r"(?:ads|pop)\.") == tokens(r"x+ads?\.") == () and tokens(r"\.track\.") == ("track",)
+    rows = [("net", "block", "net/", None, None), ("tracker", "block", None, r"(?<![a-z0-9])track[a-z]*\.", None), ("pixel", "block", None, r"\Apixel\.", "/p"), ("ours", "allow", None, r"\.ours\.example\Z", None)]
+    rules = spark.createDataFrame(rows, "name string, action string, address string, host_pattern string, path_prefix string")
+    urls = ["http://a.net/x", "http://tracking.org/", "http://track.ours.example/", "http://pixel.org/p1", "http://pixel.org/q", "http://plain.org/"]
+    pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    got = by_id(url_filter.judge_urls(pages, rules), "page_id")
+    assert [(got[i]["rule"], got[i]["verdict"]) for i in range(6)] == [("net/", "block"), (None, "block"), (None, "allow"), (None, "block"), (None, "allow"), (None, "allow")]
+    assert all(set(word.split("-")) == set(url_filter.word_rule(word).tokens) for word in url_filter.BLOCK_WORDS)
+
+
 # --- 5 packing ---
 
 
