@@ -99,9 +99,11 @@ def _combined(batch: pa.RecordBatch, slots: int) -> Iterator[pa.Table]:
             yield pairs
 
 
-def handover(stream: DataFrame, spec: SupportSpec, mode: str = "batch", how: str = "hash", bounds: list | None = None) -> DataFrame:
+def handover(stream: DataFrame, spec: SupportSpec, mode: str = "batch", how: str = "hash", bounds: list | None = None, mark_rest: bool = False) -> DataFrame:
     """Weighted pairs (owner, src, seq, e, w) as the buffers hand them over, the rest at the end.
 
+    With mark_rest what no trigger has handed over, but only the end, has seq -1.
+
     mode 'batch' combines up to `every` arrivals at a time in Arrow and keeps to `slots` by halving;
     mode 'rows' inserts arrivals one by one, with both triggers exactly where they fall.
     """
@@ -117,14 +119,14 @@ def handover(stream: DataFrame, spec: SupportSpec, mode: str = "batch", how: str
         held: list[pa.RecordBatch] = []
         rows = 0
 
-        def out() -> Iterator[pa.RecordBatch]:
+        def out(last: bool = False) -> Iterator[pa.RecordBatch]:
             nonlocal seq, rows
             whole = pa.Table.from_batches(held).combine_chunks()
             src = whole.column("src")[0]
             for part in whole.to_batches():
                 for pairs in _combined(part, slots):
                     n = pairs.num_rows
-                    yield from pa.table([pairs.column("owner"), pa.repeat(src, n), pa.repeat(pa.scalar(seq, pa.int64()), n), pairs.column("e"), pairs.column("w")], ["owner", "src", "seq", "e", "w"]).combine_chunks().to_batches()
+                    yield from pa.table([pairs.column("owner"), pa.repeat(src, n), pa.repeat(pa.scalar(-1 if last and mark_rest else seq, pa.int64()), n), pairs.column("e"), pairs.column("w")], ["owner", "src", "seq", "e", "w"]).combine_chunks().to_batches()
                     seq += 1
             held.clear()
             rows = 0
@@ -139,19 +141,19 @@ def handover(stream: DataFrame, spec: SupportSpec, mode: str = "batch", how: str
                 if rows >= every:
                     yield from out()
         if rows:
-            yield from out()
+            yield from out(True)
 
     def by_row(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         buffers = HandoverBuffers(owners, slots, every)
         seq, kind, src = 0, None, 0
 
-        def out(flushed) -> pa.RecordBatch:
+        def out(flushed, last: bool = False) -> pa.RecordBatch:
             nonlocal seq
             rows = [(i, e, w) for i, held in flushed for e, w in held.items()]
             seq += 1
             n = len(rows)
             return pa.RecordBatch.from_arrays(
-                [pa.array([r[0] for r in rows], pa.int32()), pa.array([src] * n, pa.int32()), pa.array([seq - 1] * n, pa.int64()), restored([r[1] for r in rows], kind), pa.array([r[2] for r in rows], pa.int64())], ["owner", "src", "seq", "e", "w"]
+                [pa.array([r[0] for r in rows], pa.int32()), pa.array([src] * n, pa.int32()), pa.array([-1 if last and mark_rest else seq - 1] * n, pa.int64()), restored([r[1] for r in rows], kind), pa.array([r[2] for r in rows], pa.int64())], ["owner", "src", "seq", "e", "w"]
             )
 
         for batch in batches:
@@ -163,7 +165,7 @@ def handover(stream: DataFrame, spec: SupportSpec, mode: str = "batch", how: str
                 if flushed := buffers.insert(o, e, w):
                     yield out(flushed)
         if rest := buffers.flush():
-            yield out(rest)
+            yield out(rest, True)
 
     return given.mapInArrow(by_row if mode == "rows" else by_batch, pair_schema(stream))
 
@@ -260,6 +262,32 @@ def build_summary(stream: DataFrame, spec: SupportSpec, inner: str = "minmax", h
     return keep(absorb(route(pairs, spec.owners, deterministic), stream, spec.per_owner(), inner, bulk=mode != "direct" and not deterministic))
 
 
+def build_with_pending(stream: DataFrame, spec: SupportSpec, inner: str = "minmax", mode: str = "batch") -> tuple[DataFrame, DataFrame]:
+    """The summary of what was handed over by a trigger, and the pairs (e, w) that still wait: `query` takes both."""
+    pairs = keep(handover(stream, spec, mode, mark_rest=True))
+    summary = keep(absorb(route(pairs.filter("seq >= 0"), spec.owners), stream, spec.per_owner(), inner))
+    return summary, pairs.filter("seq < 0").select("e", "w")
+
+
+def worker_totals(pairs: DataFrame) -> DataFrame:
+    """(src, n, handovers): arrivals and hand-overs of each worker, from its pairs."""
+    return pairs.groupBy("src").agg(F.sum("w").alias("n"), F.countDistinct("seq").alias("handovers"))
+
+
+def drift(left: DataFrame, right: DataFrame) -> DataFrame:
+    """(owner, e, before, after): estimates of each element in two summaries with the same owners, null where it has no slot."""
+    kind = left.schema["slots"].dataType.elementType["e"].dataType
+    schema = T.StructType([T.StructField("owner", T.IntegerType()), T.StructField("e", kind), T.StructField("before", T.LongType()), T.StructField("after", T.LongType())])
+
+    def run(key: tuple, a: pa.Table, b: pa.Table) -> pa.Table:
+        rows = [{s["e"]: s["est"] for x in side.column("slots").to_pylist() for s in x} for side in (a, b)]
+        elements = list(dict.fromkeys([*rows[0], *rows[1]]))
+        return pa.table([pa.repeat(key[0], len(elements)), pa.array(elements), pa.array([rows[0].get(e) for e in elements], pa.int64()), pa.array([rows[1].get(e) for e in elements], pa.int64())], ["owner", "e", "before", "after"])
+
+    slim = lambda x: x.select("owner", "slots").groupBy("owner")
+    return slim(left).cogroup(slim(right)).applyInArrow(run, schema)
+
+
 def stream_length(summary: DataFrame) -> DataFrame:
     return summary.agg(F.coalesce(F.sum("n_seen"), F.lit(0)).alias("n"))
 

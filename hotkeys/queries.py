@@ -20,6 +20,7 @@ from hotkeys.streaming import live
 
 Query = Callable[[SparkSession, str], DataFrame]
 OWNERS = 8
+_words: Query = streams.documents_words
 
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
@@ -130,6 +131,26 @@ def _combined(spark: SparkSession, sf: str) -> DataFrame:
     return engine.query(engine.combine(summary, summary), "0.01").select("e", "est")
 
 
+
+
+def _counted_pending(spark: SparkSession, sf: str) -> DataFrame:
+    stream = STREAMS["props"](spark, sf)
+    summary, pending = engine.build_with_pending(stream, SupportSpec("0.01", owners=OWNERS, counters=_enough(stream), every=700, slots=50))
+    return engine.query(summary, "0.01", pending=pending).select("e", "est", "lower", "upper")
+
+
+add("owner_split_pending_counted_props", _counted_pending, _frequent_sql("props", "0.01", "e, f AS est, f AS lower, f AS upper"))
+
+
+def _drift(spark: SparkSession, sf: str) -> DataFrame:
+    """Estimates of event types in the first and the second half of the users."""
+    events = streams.element_stream(streams.read(spark, sf, "events"), "event_type", order=["user_id"])
+    spec = SupportSpec("0.01", owners=3, counters=63)
+    return engine.drift(engine.build_summary(events.filter("user_id % 2 = 0"), spec), engine.build_summary(events.filter("user_id % 2 = 1"), spec)).select("e", "before", "after")
+
+
+add("drift_types", _drift, "SELECT event_type AS e, count(*) FILTER (WHERE user_id % 2 = 0) AS before, count(*) FILTER (WHERE user_id % 2 = 1) AS after FROM events GROUP BY 1")
+add("worker_totals_words", lambda spark, sf: engine.worker_totals(engine.handover(_words(spark, sf), SupportSpec("0.001", owners=OWNERS, every=1_000, slots=32))).agg(F.sum("n").alias("n")), f"WITH {_counts('words')} SELECT n FROM t")
 add("top_words", lambda spark, sf: engine.top_k(engine.build_summary(streams.documents_words(spark, sf), SupportSpec("0.001", owners=OWNERS, counters=_enough(streams.documents_words(spark, sf)))), 10).select("e", "est"), f"WITH {_counts('words')} SELECT e, f AS est FROM c ORDER BY f DESC, e LIMIT 10")
 
 # --- guarantees ---

@@ -111,6 +111,11 @@ def zipf_stream(spark: SparkSession, n: int, u: int, a: float, seed: int = 42, p
     return drawn.mapInArrow(run, "ord long, e long, w long")
 
 
+def sampled_by(stream: DataFrame, by: str, shares: dict, seed: int = 42) -> DataFrame:
+    """Arrivals sampled by a column's values, each with its own share."""
+    return stream.sampleBy(by, shares, seed)
+
+
 def prefix(stream: DataFrame, order: str, k: int) -> DataFrame:
     """The first k arrivals of a stream whose order column counts from 0 without gaps."""
     return stream.filter(F.col(order) < k)

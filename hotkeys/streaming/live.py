@@ -25,14 +25,17 @@ STATUS = "owner int, m int, n_seen long, f_min long, slots array<struct<e:string
 
 
 class OwnerProcessor(StatefulProcessor):
-    """Keeps one owner's summary; each batch's combined pairs go in, the owner's status comes out."""
+    """Keeps one owner's summary; each batch's combined pairs go in, the owner's status comes out.
 
-    def __init__(self, m: int, stamp: str):
-        self.m, self.stamp = m, stamp
+    With ttl_ms an owner that gets nothing for so long starts anew.
+    """
+
+    def __init__(self, m: int, stamp: str, ttl_ms: int | None = None):
+        self.m, self.stamp, self.ttl_ms = m, stamp, ttl_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
         schema = T.StructType([T.StructField("stamp", T.StringType()), T.StructField("summary", T.BinaryType()), T.StructField("n_seen", T.LongType())])
-        self.state = handle.getValueState("summary", schema)
+        self.state = handle.getValueState("summary", schema, self.ttl_ms)
 
     def handleInputRows(self, key: Any, rows: Iterator[pd.DataFrame], timerValues: Any) -> Iterator[pd.DataFrame]:
         if self.state.exists():
@@ -59,15 +62,20 @@ def with_event_time(stream: DataFrame, column: str) -> DataFrame:
     return stream.withColumn(column, F.col(column).cast("timestamp"))
 
 
-def maintain(stream: DataFrame, spec: SupportSpec) -> DataFrame:
+def deduplicated(stream: DataFrame, columns: list[str], time: str, watermark: str) -> DataFrame:
+    """A live stream without arrivals that repeat the columns of one within the watermark."""
+    return with_event_time(stream, time).withWatermark(time, watermark).dropDuplicatesWithinWatermark(columns)
+
+
+def maintain(stream: DataFrame, spec: SupportSpec, ttl_ms: int | None = None) -> DataFrame:
     """Streaming (owner, m, n_seen, f_min, slots): the status of every owner that a batch reached.
 
-    stream: (e, w), elements as text. The spec is kept in the state; another one is refused.
+    stream: (e, w), elements as text. The spec is kept in the state; another one is refused. ttl_ms: how long an idle owner's state lasts.
     """
     stamp = f"m={spec.per_owner()} owners={spec.owners} seed={spec.seed}"
     given = stream.select(F.col("e").cast("string").alias("e"), F.col("w").cast("long").alias("w")).filter("e IS NOT NULL")
     pairs = handover(given, spec).select("owner", "e", "w")  # combined in bounded buffers before they are dealt to owners
-    return pairs.groupBy("owner").transformWithStateInPandas(OwnerProcessor(spec.per_owner(), stamp), outputStructType=STATUS, outputMode="Update", timeMode="None")
+    return pairs.groupBy("owner").transformWithStateInPandas(OwnerProcessor(spec.per_owner(), stamp, ttl_ms), outputStructType=STATUS, outputMode="Update", timeMode="ProcessingTime" if ttl_ms else "None")
 
 
 def publish(status: DataFrame, checkpoint: str, path: str, **trigger):

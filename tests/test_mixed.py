@@ -129,6 +129,20 @@ def test_groups_are_split_among_owners(spark):
     assert {(r["e"]["a"], r["est"]) for r in engine.frequent_by(pairs, ["g"], "0.2", 10).collect()} == {(0, 30), (1, 30), (2, 30)}
 
 
+def test_pending_pairs_complete_the_counts(spark):
+    ship(spark)
+    stream = spark.createDataFrame([(f"e{k % 7}", 1) for k in range(1_000)], "e string, w long").repartition(2)
+    for mode in ("batch", "rows"):
+        summary, pending = engine.build_with_pending(stream, SupportSpec("0.01", owners=2, every=300, slots=100), mode=mode)
+        n, waits = engine.stream_length(summary).first()["n"], pending.agg(F.sum("w")).first()[0]
+        assert 0 < n < 1_000 and n + waits == 1_000
+        assert {r["e"]: r["est"] for r in engine.query(summary, "0.01", pending=pending).collect()} == {f"e{k}": 143 if k < 6 else 142 for k in range(7)}
+    totals = engine.worker_totals(engine.handover(stream, SupportSpec("0.01", owners=2, every=300, slots=100))).collect()
+    assert sum(r["n"] for r in totals) == 1_000 and all(r["handovers"] >= -(-r["n"] // 300) for r in totals)
+    half = streams.sampled_by(stream, "e", {"e0": 1.0})
+    assert {r["e"] for r in half.collect()} == {"e0"} and half.count() == 143
+
+
 def test_given_owners_and_ranges_of_order(spark):
     ship(spark)
     stream = spark.createDataFrame([("a", 1), ("b", 1), ("a", 1), ("c", 1)], "e string, w long")

@@ -59,3 +59,15 @@ def test_windows_in_a_stream_with_a_watermark(spark, files, tmp_path):
     query.awaitTermination()
     last = spark.table("live_windows").groupBy("window", "e").agg(F.max("w").alias("w")).agg(F.sum("w")).first()[0]
     assert last == 1000
+
+
+def test_repeats_within_the_watermark_and_idle_owners(spark, files, tmp_path):
+    path, events = files
+    twice = events.select("event_id", "user_id", "event_type", "ts").unionAll(events.select("event_id", "user_id", "event_type", "ts"))
+    folder = str(tmp_path / "twice")
+    twice.coalesce(1).write.parquet(folder)
+    given = streams.stream_files(spark, folder, "*.parquet", twice.schema)
+    once = live.deduplicated(given, ["event_id"], "ts", "9999 days").select(F.col("event_type").alias("e"), F.lit(1).cast("long").alias("w"))
+    out = str(tmp_path / "out")
+    live.publish(live.maintain(once, SupportSpec("0.01", owners=2, counters=63), ttl_ms=3_600_000), str(tmp_path / "check"), out).awaitTermination()
+    assert live.snapshot(spark, out).agg(F.sum("n_seen")).first()[0] == events.select("event_id").distinct().count()
