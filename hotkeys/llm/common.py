@@ -51,13 +51,30 @@ def shared_folder(spark: SparkSession) -> str:
     return folder
 
 
+_WRITTEN: list[str] = []
+
+
 def written(spark: SparkSession, frame: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage of frame with a table in the shared folder; a lost executor can't lose it."""
+    """Cut the lineage of frame with a table in the shared folder; a lost executor can't lose it.
+
+    The table stays until `clear`, since results are read from it when they are asked for.
+    """
     path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
     frame.write.parquet(path)
+    _WRITTEN.append(path)
     return spark.read.schema(frame.schema).parquet(path)
 
 
+def clear(spark: SparkSession) -> int:
+    """Delete all tables that this driver has written, once their results are read; how many there were."""
+    jvm = spark.sparkContext._jvm
+    gone = 0
+    while _WRITTEN:
+        path = jvm.org.apache.hadoop.fs.Path(_WRITTEN.pop())
+        gone += path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    return gone
+
+
 def sized_broadcast(frame: DataFrame, rows: int, most_rows: int) -> DataFrame:
     """Hint a broadcast where the counted rows are few, else leave the join to the optimizer."""
     return F.broadcast(frame) if rows <= most_rows else frame

@@ -6,7 +6,7 @@ import public_tokenizers as P
 from tokenizers import Tokenizer
 
 import corpus_pipeline
-from hotkeys.llm import quality_rules
+from hotkeys.llm import common, quality_rules
 from hotkeys.shipping import ship
 from tests.llm import helpers as h
 from tests.llm.test_operators import check_packing
@@ -53,3 +53,14 @@ def test_empty_table_goes_through(spark, sf):
     for _, stage in corpus_pipeline.STAGES:
         docs = stage(spark, docs, sf)
     assert docs.count() == 0
+
+
+def test_clashing_columns_and_nulls_go_through_and_tables_are_cleared(spark, tmp_path):
+    ship(spark)
+    words = " ".join(f"the word{i} and of{i}" for i in range(40))
+    rows = [(1, words, "en", "web", 5, "a", 1, "x"), (2, words.replace(" ", "  "), None, None, None, "b", 2, None), (3, None, "en", "web", 5, "c", 3, "y"), (None, words + " more", "en", "web", 5, "d", 4, "z")]
+    folder = str(tmp_path)
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, __h64 string, row int, id string").write.parquet(f"{folder}/documents.parquet")
+    found = corpus_pipeline.run(spark, folder).collect()
+    assert {r["doc_id"] for r in found} <= {1, None} and found
+    assert common.clear(spark) > 0 and common.clear(spark) == 0
