@@ -63,6 +63,23 @@ def pair_schema(stream: DataFrame) -> T.StructType:
     return T.StructType([T.StructField("owner", T.IntegerType()), T.StructField("src", T.IntegerType()), T.StructField("seq", T.LongType()), stream.schema["e"], T.StructField("w", T.LongType())])
 
 
+#: Pairs that an owner combines before its summary takes them.
+ABSORB_ROWS = 200_000
+
+
+def gathered(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[pa.RecordBatch]:
+    """The same rows in batches of at least so many, the last one but for what is left."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        if batch.num_rows:
+            held.append(batch)
+        if sum(b.num_rows for b in held) >= rows:
+            yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+            held = []
+    if held:
+        yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+
+
 def sum_pairs(batch: pa.RecordBatch) -> pa.Table:
     """(owner, e, w) of a batch, one row for each owner and element."""
     table = pa.Table.from_batches([batch])
@@ -223,9 +240,9 @@ def absorb(routed: DataFrame, stream: DataFrame, m: int, inner: str = "minmax",
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept: dict[int, Any] = {}
         kind = None
-        for batch in batches:
+        for batch in gathered(batches, ABSORB_ROWS) if bulk and weighted else batches:
             kind = batch.column("e").type
-            if bulk and weighted and batch.num_rows:
+            if bulk and weighted:
                 for part in summed(batch):
                     o = part.column("owner")[0].as_py()
                     if o not in kept:
@@ -409,7 +426,7 @@ def frequent_by(stream: DataFrame, by: list[str], phi, m: int, inner: str = "min
 
     def run(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own, kind = kernel(m), None
-        for batch in batches:
+        for batch in gathered(batches, ABSORB_ROWS):
             kind = batch.column("e").type
             for part in summed(batch):
                 own.update_batch(keys(part.column("e").combine_chunks()), part.column("w").to_pylist())

@@ -108,7 +108,8 @@ def guaranteed_rank(n_start: int, owners: int, every: int, phi, a: float) -> flo
 
 
 SLOT_BYTES = 32
-#: Mean bytes of a buffer that the printed totals of 34, 37 and 65.8 MB at 450 threads imply.
+#: A fit, not a bound: mean bytes of a buffer that the printed totals of 34, 37 and 65.8 MB at 450 threads imply. The
+#: bound is buffer_counters(threads, slots) * SLOT_BYTES.
 BUFFER_BYTES = 167
 
 
