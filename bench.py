@@ -61,7 +61,7 @@ def main() -> None:
     by = {(r["method"], r["phi"], r["share"]): r for r in mixed.run_all(iter(arrivals), mixes, [len(arrivals)])}
     speed_up = {f"{m}_{p}_{share:g}": round(by["single_summary", p, share]["critical"] / by[m, p, share]["critical"], 3) for m, p, share in by if m != "single_summary"}
     # one owner of 24 at support 1e-4, and a single summary at 1e-3: a query every 10,000 updates
-    inner = {f"zipf_{a:g}_m{m}": timing.inner_timing(timing.zipf_list(200_000, a), m, p) for a in (0.5, 0.75, 1.0, 1.25, 2.0, 3.0) for m, p in ((4_167, "0.0001"), (10_000, "0.001"))}
+    inner = {f"zipf_{a:g}_m{m}": timing.inner_timing(timing.zipf_list(200_000, a), m, p, owners=t) for a in (0.5, 0.75, 1.0, 1.25, 2.0, 3.0) for m, p, t in ((4_167, "0.0001", 24), (10_000, "0.001", 1))}
     ratio = lambda a, b: round(a / b, 2)
     out = {
         "metric": "owner_split_words_seconds",
