@@ -17,7 +17,7 @@ from hotkeys.operators import owner_split as engine
 from hotkeys.operators.exact import exact_counts
 from hotkeys.shipping import ship
 from hotkeys.sources import streams
-from hotkeys.spec import SupportSpec
+from hotkeys.spec import SupportSpec, exact
 
 ARRIVALS = [str(x) for x in timing.zipf_list(20_000, 1.0)]
 
@@ -178,3 +178,37 @@ def test_qualitative_report_ranks_as_published(spark, sf):
         own, mcb, cmj = (rows[m, "many", a] for m in ("owner_split", "merge_collector", "cell_majority"))
         assert cmj["steps_an_arrival"] > own["steps_an_arrival"] and cmj["steps_a_query"] > own["steps_a_query"]
         assert mcb["bytes"] > own["bytes"] and cmj["bytes"] > own["bytes"]
+
+
+def test_queries_search_the_heaps_as_they_lie():
+    """A query of summaries in arrays goes through their own min-max heaps: what it compares follows from how counts lie there."""
+    hashes, t, m = mixed.Ranks(), 3, 40
+    ids = np.array([int(x) for x in ARRIVALS])
+    own = mixed.Slots(t, m)
+    for start in range(0, len(ids), 3_000):
+        one, w = np.unique(ids[start : start + 3_000], return_counts=True)
+        own.take(one, w, (hashes.many(one) % np.uint64(t)).astype(np.int64))
+        own.ordered()
+        for i in range(2, own.m + 1):  # every heap is one
+            odd, up = i.bit_length() % 2 == 0, own.heap[:, i >> 1]
+            assert ((own.heap[:, i] >= up) if odd else (own.heap[:, i] <= up)).all()
+            assert i < 4 or ((own.heap[:, i] <= own.heap[:, i >> 2]) if odd else (own.heap[:, i] >= own.heap[:, i >> 2])).all()
+    assert (own.count[own.at[:, 1:]] == own.heap[:, 1:]).all()
+    seen = set()
+    for turn in range(2):
+        kernels = [MinMaxSummary(m) for _ in range(t)]
+        if turn:  # another order of the heaps, as updates one by one leave it
+            for e, c in zip(own.element.tolist(), own.count.tolist(), strict=True):
+                for part in (c // 2, c - c // 2):
+                    kernels[hashes[e] % t].update(e, part) if part else None
+            own.heap[:] = [[s[0] for s in k.heap] for k in kernels]
+            own.at[:] = [[0, *[int(own.slot.of[s[1]]) for s in k.heap[1:]]] for k in kernels]
+        else:
+            kernels = [MinMaxSummary.from_rows(m, [(int(own.element[i]), int(own.count[i]), 0) for i in range(k * own.m, (k + 1) * own.m)]) for k in range(t)]
+        for phi in ("0.9", "0.05", "0.01", "0.004", "0.0001"):
+            at, compared = own.query(exact(phi))
+            found = [k.query(phi, own.n) for k in kernels]
+            assert dict(zip(own.element[at].tolist(), own.count[at].tolist(), strict=True)) == dict(x for f in found for x in f)
+            assert len(at) == len(set(at.tolist())) and compared == sum(k.stats.comparisons for k in kernels)
+            seen.add((phi, compared))
+    assert len(seen) > 5  # the two orders are not searched with the same steps
